@@ -43,32 +43,25 @@ def prefix_size(n: int, percent: int) -> int:
     return n - -(-percent * n // 100) + 1
 
 
-def _signatures(batches: Iterator[pa.RecordBatch], k: int, cut: int) -> Iterator[pa.RecordBatch]:
+def _signatures(batches: Iterator[pa.RecordBatch], k: int, cut: int, percent: int) -> Iterator[pa.RecordBatch]:
+    """(id, text) -> size and digest of the set, its shingles below the cut, and more of them if
+    the prefix needs them."""
     hasher = WordHasher()
     for batch in batches:
-        n, low, d1, d2 = [], [], [], []
-        for text in batch.column("text").to_pylist():
-            s = shingle_set(hasher, text, k)
-            digest = xxhash.xxh3_128_digest(s.tobytes())
-            n.append(len(s))
-            low.append(int(np.searchsorted(s, cut)))
-            d1.append(int.from_bytes(digest[:8], "little", signed=True))
-            d2.append(int.from_bytes(digest[8:], "little", signed=True))
-        yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(n, pa.int64()), pa.array(low, pa.int64()), pa.array(d1, pa.int64()), pa.array(d2, pa.int64())], names=["id", "n", "low", "d1", "d2"])
-
-
-def _counted(batches: Iterator[pa.RecordBatch], k: int, cut: int, percent: int) -> Iterator[pa.RecordBatch]:
-    """(id, text) -> (x, id): shingles below the cut, and more if the prefix needs them."""
-    hasher = WordHasher()
-    for batch in batches:
-        ids, texts = batch.column("id").to_numpy(), batch.column("text").to_pylist()
-        for at in range(0, len(texts), 2_000):
-            parts, sizes = [], []
-            for text in texts[at : at + 2_000]:
+        texts = batch.column("text").to_pylist()
+        for at in range(0, len(texts), 1_000):
+            n, low, d1, d2, parts = [], [], [], [], []
+            for text in texts[at : at + 1_000]:
                 s = shingle_set(hasher, text, k)
-                parts.append(s[: max(int(np.searchsorted(s, cut)), min(len(s), prefix_size(len(s), percent)))] if len(s) else s)
-                sizes.append(len(parts[-1]))
-            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(parts)), pa.array(np.repeat(ids[at : at + 2_000], sizes))], names=["x", "id"])
+                digest = xxhash.xxh3_128_digest(s.tobytes())
+                n.append(len(s))
+                low.append(int(np.searchsorted(s, cut)))
+                d1.append(int.from_bytes(digest[:8], "little", signed=True))
+                d2.append(int.from_bytes(digest[8:], "little", signed=True))
+                parts.append(s[: max(low[-1], min(len(s), prefix_size(len(s), percent)))])
+            offsets = pa.array(np.r_[0, np.cumsum([len(x) for x in parts])].astype(np.int32))
+            lists = pa.ListArray.from_arrays(offsets, pa.array(np.concatenate(parts)))
+            yield pa.RecordBatch.from_arrays([batch.column("id").slice(at, 1_000), *(pa.array(x, pa.int64()) for x in (n, low, d1, d2)), lists], names=["id", "n", "low", "d1", "d2", "x"])
 
 
 def _sets(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[pa.RecordBatch]:
@@ -160,18 +153,19 @@ def jaccard_components(docs: DataFrame, percent: int = PERCENT, k: int = K, id_c
     counted = max(COUNTED, 1.25 * (100 - percent) / 100)
     cut = int(counted * 2**63) if counted < 1 else 2**63 - 1
     rows = docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).alias("text"))
-    signed = materialise(rows.mapInArrow(lambda b: _signatures(b, k, cut), "id bigint, n bigint, low bigint, d1 bigint, d2 bigint"), "signatures")
+    # these tables grow with the corpus: merge joins, never a broadcast
+    signed = materialise(rows.mapInArrow(lambda b: _signatures(b, k, cut, percent), "id bigint, n bigint, low bigint, d1 bigint, d2 bigint, x array<bigint>"), "signatures")
     classes = materialise(signed.where("n > 0 and id is not null").groupBy("n", "low", "d1", "d2").agg(F.min("id").alias("class_id")), "classes")
     release(spark)
 
     named = rows.where("id is not null")
-    x = named.mapInArrow(lambda b: _counted(b, k, cut, percent), "x bigint, id bigint")
+    x = signed.where("id is not null").select("id", F.explode("x").alias("x"))
     often = x.groupBy("x").agg(F.count("*").alias("df")).where("df > 1")
-    shared = x.join(often, "x").select("id", "x", "df")
+    shared = x.join(often.hint("merge"), "x").select("id", "x", "df")
     # a set's shared shingles in the common order: the counted ones by number, then the others
     need = (F.col("n") - F.ceil(F.col("n") * percent / 100) + 1) - (F.col("low") - F.count(F.when(F.col("x") < cut, 1)).over(Window.partitionBy("id")))
     order = Window.partitionBy("id").orderBy((F.col("x") >= cut), F.when(F.col("x") < cut, F.col("df")).otherwise(0), "x")
-    prefix = shared.join(classes.select(F.col("class_id").alias("id"), "n", "low"), "id").withColumn("need", need).withColumn("turn", F.row_number().over(order)).where("turn <= need").select("id", "x")
+    prefix = shared.join(classes.select(F.col("class_id").alias("id"), "n", "low").hint("merge"), "id").withColumn("need", need).withColumn("turn", F.row_number().over(order)).where("turn <= need").select("id", "x")
     prefix = materialise(prefix, "prefixes")
     release(spark)
 
@@ -186,12 +180,12 @@ def jaccard_components(docs: DataFrame, percent: int = PERCENT, k: int = K, id_c
     every = F.sequence(F.lit(0).cast("bigint"), F.col("blocks") - 1)
     tasks = F.transform(every, lambda j: F.xxhash64("cluster", F.least(j, F.col("block")), F.greatest(j, F.col("block"))))
     placed = clusters.join(sizes, "cluster").withColumn("block", block).select("id", tasks.alias("tasks"))
-    sets = named.join(placed, "id").select("id", "text", "tasks").mapInArrow(lambda b: _sets(b, k), "id bigint, tasks array<bigint>, shingles binary")
+    sets = named.join(placed.hint("merge"), "id").select("id", "text", "tasks").mapInArrow(lambda b: _sets(b, k), "id bigint, tasks array<bigint>, shingles binary")
     work = sets.select("id", F.explode("tasks").alias("task"), "shingles").repartition("task").sortWithinPartitions("task")
     links = materialise(work.mapInArrow(lambda b: _link(b, percent), "a bigint, b bigint"), "links")
     release(spark)
 
     found = components(links)
     per_class = classes.join(found.withColumnRenamed("id", "class_id"), "class_id", "left").select("n", "d1", "d2", "class_id", F.coalesce("component_id", "class_id").alias("component_id"))
-    out = signed.join(per_class, ["n", "d1", "d2"], "left")
+    out = signed.drop("x").join(per_class.hint("merge"), ["n", "d1", "d2"], "left")
     return out.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("class_id", "id").alias("class_id"), F.coalesce("component_id", "id").alias("component_id"))
