@@ -14,27 +14,24 @@ def mix(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> _S)
 
 
+class _Numbers(dict):
+    def __missing__(self, word: bytes) -> int:
+        h = self[word] = xxhash.xxh3_64_intdigest(word)
+        return h
+
+
 class WordHasher:
     """Words are the runs between the ASCII characters space and 9 to 13."""
 
     def __init__(self, limit: int = 400_000) -> None:
-        self.limit, self.memo = limit, {}
-
-    def words(self, text: str | None) -> list[bytes]:
-        return (text or "").encode().split()
+        self.limit, self.memo = limit, _Numbers()
 
     def numbers(self, words: list[bytes]) -> np.ndarray:
         memo = self.memo
-        try:
-            return np.fromiter(map(memo.__getitem__, words), np.uint64, len(words))
-        except KeyError:
-            if len(memo) > self.limit:
-                for key in list(memo)[: self.limit // 2]:
-                    del memo[key]
-            for w in set(words):
-                if w not in memo:
-                    memo[w] = xxhash.xxh3_64_intdigest(w)
-            return np.fromiter(map(memo.__getitem__, words), np.uint64, len(words))
+        if len(memo) > self.limit:
+            for key in list(memo)[: self.limit // 2]:
+                del memo[key]
+        return np.fromiter(map(memo.__getitem__, words), np.uint64, len(words))
 
 
 def grams(h: np.ndarray, k: int) -> np.ndarray:

@@ -110,14 +110,13 @@ def representatives(h: np.ndarray, length: int, gram: int) -> tuple[np.ndarray,
 def _anchors(batches: Iterator[pa.RecordBatch], length: int, gram: int) -> Iterator[pa.RecordBatch]:
     hasher = WordHasher()
     for batch in batches:
-        ids, texts = batch.column("id").to_numpy(), batch.column("text").to_pylist()
+        texts = batch.column("text").to_pylist()
         for a in range(0, len(texts), 2_000):
-            found, sizes = [], []
-            for text in texts[a : a + 2_000]:
-                found.append(representatives(hasher.numbers(hasher.words(text)), length, gram))
-                sizes.append(len(found[-1][0]))
+            found = [representatives(hasher.numbers((text or "").encode().split()), length, gram) for text in texts[a : a + 2_000]]
+            offsets = pa.array(np.r_[0, np.cumsum([len(x[0]) for x in found])].astype(np.int32))
             y, _, first, last = (np.concatenate(x) for x in zip(*found, strict=True))
-            yield pa.RecordBatch.from_arrays([pa.array(y), pa.array(np.repeat(ids[a : a + 2_000], sizes)), pa.array(first.astype(np.int32)), pa.array((last - first).astype(np.int32))], names=["y", "id", "first", "more"])
+            at = pa.StructArray.from_arrays([pa.array(y), pa.array(first.astype(np.int32)), pa.array((last - first).astype(np.int32))], names=["y", "first", "more"])
+            yield pa.RecordBatch.from_arrays([batch.column("id").slice(a, 2_000), pa.ListArray.from_arrays(offsets, at)], names=["id", "at"])
 
 
 def _stretches(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordBatch]:
@@ -212,14 +211,16 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_c
     """
     spark = docs.sparkSession
     rows = docs.where(F.col(text_col).isNotNull() & F.col(id_col).isNotNull()).select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).alias("text"))
-    anchors = rows.mapInArrow(lambda b: _anchors(b, length, gram), "y bigint, id bigint, first int, more int")
+    listed = materialise(rows.mapInArrow(lambda b: _anchors(b, length, gram), "id bigint, at array<struct<y:bigint,first:int,more:int>>"), "representatives")
+    anchors = listed.select("id", F.explode("at").alias("at")).select("id", "at.*")
+    # these tables grow with the corpus: merge joins, never a broadcast
     again = anchors.groupBy("y").agg(F.count("*").alias("m")).where("m > 1")
-    kept = anchors.join(again, "y").select("id", F.struct("y", "first", "more", (F.col("m") > frequent).alias("often")).alias("at"))
+    kept = anchors.join(again.hint("merge"), "y").select("id", F.struct("y", "first", "more", (F.col("m") > frequent).alias("often")).alias("at"))
     kept = materialise(kept.groupBy("id").agg(F.collect_list("at").alias("at")), "anchors")
     release(spark)
 
     schema = "y bigint, d bigint, id bigint, starts array<int>, windows int, words binary"
-    seen = materialise(rows.join(kept, "id").select("id", "text", "at").mapInArrow(lambda b: _stretches(b, length), schema), "stretches")
+    seen = materialise(rows.join(kept.hint("merge"), "id").select("id", "text", "at").mapInArrow(lambda b: _stretches(b, length), schema), "stretches")
     release(spark)
 
     first = seen.select("y", "words", "d", "id", F.col("starts")[0].alias("start"), F.size("starts").alias("n"))
@@ -228,7 +229,7 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_c
     grown = materialise(grown, "grown")
     release(spark)
 
-    told = seen.select("y", "d", "id", "starts", "windows").join(grown.select("y", "d", F.col("id").alias("f_id"), F.col("start").alias("f_start"), "repeated"), ["y", "d"])
+    told = seen.select("y", "d", "id", "starts", "windows").join(grown.select("y", "d", F.col("id").alias("f_id"), F.col("start").alias("f_start"), "repeated").hint("merge"), ["y", "d"])
     spans = told.mapInArrow(lambda b: _spans(b, length), "id bigint, start int, stop int")
     return spans.groupBy("id").agg(F.collect_list(F.struct("start", "stop")).alias("spans"))
 
@@ -269,7 +270,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_c
     kept = [f for f in docs.schema.fields if f.name not in (*made, "spans") and (with_text or f.name in (id_col, text_col))]
     rows = docs.select(*(F.col(f"`{f.name}`") for f in kept))
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in kept if with_text or f.name != text_col), "n_words bigint, n_removed bigint, kept_sha256 string"])
-    joined = rows.join(spans.withColumnRenamed("id", "span_id"), F.col(f"`{id_col}`").cast("bigint") == F.col("span_id"), "left").drop("span_id")
+    joined = rows.join(spans.withColumnRenamed("id", "span_id").hint("merge"), F.col(f"`{id_col}`").cast("bigint") == F.col("span_id"), "left").drop("span_id")
     return joined.mapInArrow(lambda b: _removed(b, text_col, with_text, made), schema)
 
 
