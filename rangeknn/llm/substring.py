@@ -23,9 +23,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .blocks import runs
 from .shingles import WordHasher, grams
-from .storage import materialise, release
+from .storage import discard, materialise, release
 
 LENGTH = 20
 GRAM = 6
@@ -119,31 +118,62 @@ def _anchors(batches: Iterator[pa.RecordBatch], length: int, gram: int) -> Itera
             yield pa.RecordBatch.from_arrays([batch.column("id").slice(a, 2_000), pa.ListArray.from_arrays(offsets, at)], names=["id", "at"])
 
 
+def _signed(x: int) -> int:
+    return x - (1 << 64) * (x >> 63)
+
+
 def _stretches(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordBatch]:
     """(id, text, at) -> the distinct stretches of each document with the windows they start at."""
+    types = {"y": pa.int64(), "d": pa.int64(), "id": pa.int64(), "starts": pa.list_(pa.int32()), "windows": pa.int32(), "words": pa.binary()}
+    digest = xxhash.xxh3_64_intdigest
+    for whole in batches:
+        for row in range(0, whole.num_rows, 500):
+            batch = whole.slice(row, 500)
+            lists = batch.column("at")
+            flat, edge = lists.flatten(), np.r_[0, np.cumsum(lists.value_lengths().to_numpy())].tolist()
+            ys, firsts, mores, oftens = (flat.field(c).to_pylist() for c in ("y", "first", "more", "often"))
+            out: list[tuple] = []
+            for i, text, a, b in zip(batch.column("id").to_pylist(), batch.column("text").to_pylist(), edge[:-1], edge[1:], strict=True):
+                words = text.encode().split()
+                own: dict[tuple[int, bytes], list[int]] = {}
+                for y, first, more, often in zip(ys[a:b], firsts[a:b], mores[a:b], oftens[a:b], strict=True):
+                    if often:
+                        for s in range(first, first + more + 1):
+                            w = b" ".join(words[s : s + length])
+                            own.setdefault((_signed(digest(w, y & 0xFFFFFFFF)), w), []).append(s)
+                    else:
+                        own.setdefault((y, b" ".join(words[first : first + more + length])), []).append(first)
+                for (y, w), starts in own.items():
+                    if len(starts) > 1:
+                        starts.sort()
+                    out.append((y, _signed(digest(w, 1)), i, starts, w.count(b" ") + 2 - length, w))
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), types.values(), strict=True)], names=list(types))
+
+
+def _combine(batches: Iterator[pa.RecordBatch], limit: int = 20_000) -> Iterator[pa.RecordBatch]:
+    """Equal stretches of a partition become one row: first occurrence and number. What a
+    very common passage sends on is bounded by the number of partitions, not of documents."""
+    held: dict[tuple[int, int], list] = {}
+
+    def flush() -> pa.RecordBatch:
+        rows = [(*k, *v) for k, v in held.items()]
+        held.clear()
+        types = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.binary())
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], names=["y", "d", "id", "start", "m", "words"])
+
     for batch in batches:
-        out: dict[str, list] = {c: [] for c in ("y", "d", "id", "starts", "windows", "words")}
-        for i, text, at in zip(batch.column("id").to_pylist(), batch.column("text").to_pylist(), batch.column("at").to_pylist(), strict=True):
-            words = text.encode().split()
-            own: dict[tuple[int, bytes], list[int]] = {}
-            for r in at:
-                y, first, stop = r["y"], r["first"], r["first"] + r["more"] + 1
-                if r["often"]:
-                    for s in range(first, stop):
-                        w = b" ".join(words[s : s + length])
-                        own.setdefault((xxhash.xxh3_64_intdigest(w, y & 0xFFFFFFFF), w), []).append(s)
-                else:
-                    own.setdefault((y & 0xFFFFFFFFFFFFFFFF, b" ".join(words[first : stop + length - 1])), []).append(first)
-            for (y, w), starts in own.items():
-                out["y"].append(y - (1 << 64) * (y >> 63))
-                digest = xxhash.xxh3_64_intdigest(w, 1)
-                out["d"].append(digest - (1 << 64) * (digest >> 63))
-                out["id"].append(i)
-                out["starts"].append(sorted(starts))
-                out["windows"].append(w.count(b" ") + 2 - length)
-                out["words"].append(w)
-        types = {"y": pa.int64(), "d": pa.int64(), "id": pa.int64(), "starts": pa.list_(pa.int32()), "windows": pa.int32(), "words": pa.binary()}
-        yield pa.RecordBatch.from_arrays([pa.array(out[c], t) for c, t in types.items()], names=list(types))
+        for y, d, i, starts, words in zip(*(batch.column(c).to_pylist() for c in ("y", "d", "id", "starts", "words")), strict=True):
+            if (own := held.get((y, d))) is None:
+                held[y, d] = [i, starts[0], len(starts), words]
+            else:
+                own[2] += len(starts)
+                if i < own[0]:
+                    own[0], own[1] = i, starts[0]
+        if len(held) > limit:
+            yield flush()
+    if held:
+        yield flush()
 
 
 def earlier_windows(stretches: list[list[bytes]], length: int) -> list[list[int]]:
@@ -156,30 +186,45 @@ def earlier_windows(stretches: list[list[bytes]], length: int) -> list[list[int]
 
 
 def _grow(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordBatch]:
-    """Distinct stretches of a representative, by first occurrence -> repeated windows of each."""
-    for batch in _chunks(runs(batches, "y"), 20_000):
-        out: dict[str, list] = {c: [] for c in ("y", "d", "id", "start", "repeated")}
-        for y, t in batch:
-            t = t.sort_by([("id", "ascending"), ("start", "ascending")]) if t.num_rows > 1 else t
-            texts = t["words"].to_pylist()
-            windows = earlier_windows([w.split(b" ") for w in texts], length) if len(texts) > 1 else [[]]
-            for d, i, s, m, w in zip(t["d"].to_pylist(), t["id"].to_pylist(), t["start"].to_pylist(), t["m"].to_pylist(), windows, strict=True):
-                if m > 1 or w:
-                    for c, v in zip(out, (y, d, i, s, w), strict=True):
-                        out[c].append(v)
-        types = {"y": pa.int64(), "d": pa.int64(), "id": pa.int64(), "start": pa.int32(), "repeated": pa.list_(pa.int32())}
-        yield pa.RecordBatch.from_arrays([pa.array(out[c], t) for c, t in types.items()], names=list(types))
-
-
-def _chunks(items: Iterator, size: int) -> Iterator[list]:
-    held = []
-    for x in items:
-        held.append(x)
-        if len(held) >= size:
-            yield held
-            held = []
-    if held:
-        yield held
+    """Stretches sorted by representative -> first occurrence and repeated windows of each
+    distinct one that occurs again or holds some."""
+    types = {"y": pa.int64(), "d": pa.int64(), "id": pa.int64(), "start": pa.int32(), "repeated": pa.list_(pa.int32())}
+    out: list[tuple] = []
+
+    def settle(y: int, firsts: dict[int, list]) -> None:
+        if len(firsts) == 1:
+            ((d, (i, start, m, _)),) = firsts.items()
+            if m > 1:
+                out.append((y, d, i, start, ()))
+            return
+        ranked = sorted(firsts.items(), key=lambda x: x[1][:2])
+        windows = earlier_windows([x[3].split(b" ") for _, x in ranked], length)
+        out.extend((y, d, i, start, w) for (d, (i, start, m, _)), w in zip(ranked, windows, strict=True) if m > 1 or w)
+
+    def table() -> pa.RecordBatch:
+        made = pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), types.values(), strict=True)], names=list(types))
+        out.clear()
+        return made
+
+    current, firsts = None, {}
+    for batch in batches:
+        for y, d, i, start, m, words in zip(*(batch.column(c).to_pylist() for c in ("y", "d", "id", "start", "m", "words")), strict=True):
+            if y != current:
+                if firsts:
+                    settle(current, firsts)
+                current, firsts = y, {}
+            if (own := firsts.get(d)) is None:
+                firsts[d] = [i, start, m, words]
+            else:
+                own[2] += m
+                if (i, start) < (own[0], own[1]):
+                    own[0], own[1] = i, start
+        if len(out) > 10_000:
+            yield table()
+    if firsts:
+        settle(current, firsts)
+    if out:
+        yield table()
 
 
 def _spans(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordBatch]:
@@ -217,15 +262,15 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_c
     again = anchors.groupBy("y").agg(F.count("*").alias("m")).where("m > 1")
     kept = anchors.join(again.hint("merge"), "y").select("id", F.struct("y", "first", "more", (F.col("m") > frequent).alias("often")).alias("at"))
     kept = materialise(kept.groupBy("id").agg(F.collect_list("at").alias("at")), "anchors")
+    discard(listed)
     release(spark)
 
     schema = "y bigint, d bigint, id bigint, starts array<int>, windows int, words binary"
     seen = materialise(rows.join(kept.hint("merge"), "id").select("id", "text", "at").mapInArrow(lambda b: _stretches(b, length), schema), "stretches")
     release(spark)
 
-    first = seen.select("y", "words", "d", "id", F.col("starts")[0].alias("start"), F.size("starts").alias("n"))
-    distinct = first.groupBy("y", "words").agg(F.min("d").alias("d"), F.min("id").alias("id_"), F.min_by("start", "id").alias("start"), F.sum("n").alias("m")).withColumnRenamed("id_", "id")
-    grown = distinct.repartition("y").sortWithinPartitions("y").mapInArrow(lambda b: _grow(b, length), "y bigint, d bigint, id bigint, start int, repeated array<int>")
+    combined = seen.select("y", "d", "id", "starts", "words").mapInArrow(_combine, "y bigint, d bigint, id bigint, start int, m bigint, words binary")
+    grown = combined.repartition("y").sortWithinPartitions("y").mapInArrow(lambda b: _grow(b, length), "y bigint, d bigint, id bigint, start int, repeated array<int>")
     grown = materialise(grown, "grown")
     release(spark)
 
@@ -237,11 +282,14 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_c
 def _removed(batches: Iterator[pa.RecordBatch], text_col: str, with_text: bool, made: list[str]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         n, gone, sha, kept = [], [], [], []
-        for text, spans in zip(batch.column(text_col).to_pylist(), batch.column("spans").to_pylist(), strict=True):
+        lists = batch.column("spans")
+        flat, edge = lists.flatten(), np.r_[0, np.cumsum(np.nan_to_num(lists.value_lengths().to_numpy(zero_copy_only=False)).astype(np.int64))].tolist()
+        start, stop = flat.field("start").to_numpy(), flat.field("stop").to_numpy()
+        for text, a, b in zip(batch.column(text_col).to_pylist(), edge[:-1], edge[1:], strict=True):
             words = (text or "").encode().split()
             n.append(len(words))
-            if spans:
-                mask = covered(np.array([s["start"] for s in spans]), np.array([s["stop"] for s in spans]), len(words))
+            if a < b:
+                mask = covered(start[a:b], stop[a:b], len(words))
                 words = [w for w, m in zip(words, mask.tolist(), strict=True) if not m]
             gone.append(n[-1] - len(words))
             joined = b" ".join(words)
