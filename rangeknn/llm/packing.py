@@ -21,6 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .batch_bpe import BatchBpe
 from .segments import SegmentEncoder
 from .storage import materialise
 
@@ -126,12 +127,7 @@ class Island:
 
 @lru_cache(maxsize=2)
 def _encoder(path: str, spaced: bool, limit: int) -> SegmentEncoder:
-    from tokenizers import Tokenizer
-
-    tokenizer = Tokenizer.from_file(path)
-    tokenizer.no_truncation()
-    tokenizer.no_padding()
-    return SegmentEncoder(lambda xs: [np.array(e.ids, "<u4").tobytes() for e in tokenizer.encode_batch_fast(xs, add_special_tokens=False)], spaced, limit)
+    return SegmentEncoder(BatchBpe(path).encode_many, spaced, limit)
 
 
 def _pieces(batches: Iterator[pa.RecordBatch], path: str, spaced: bool, capacity: int, end_id: int, limit: int) -> Iterator[pa.RecordBatch]:
@@ -152,7 +148,7 @@ def _pieces(batches: Iterator[pa.RecordBatch], path: str, spaced: bool, capacity
         yield pa.RecordBatch.from_arrays([batch.column("id").take(pa.array(row, pa.int64())), pa.array(piece, pa.int32()), pa.array(start, pa.int64()), pa.array(length, pa.int64()), pa.array(crc, pa.int64())], names=["id", "piece", "start", "length", "ids_crc32"])
 
 
-def pieces(docs: DataFrame, tokenizer_path: str, capacity: int = 4096, end_id: int = 1, id_col: str = "doc_id", text_col: str = "text", spaced: bool = False, limit: int = 300_000) -> DataFrame:
+def pieces(docs: DataFrame, tokenizer_path: str, capacity: int = 4096, end_id: int = 1, id_col: str = "doc_id", text_col: str = "text", spaced: bool = False, limit: int = 600_000) -> DataFrame:
     """(id, piece, start, length, ids_crc32): token sequences, those over capacity cut into pieces.
 
     A null text is empty: its one piece is the end id alone. Repeated rows give pieces each.

@@ -23,7 +23,8 @@ class SegmentEncoder:
 
     ``spaced``: segments after a text's first keep the space they were cut at (byte-level
     vocabularies). Otherwise white space has no tokens and words stand alone. The memo holds
-    at most about ``limit`` segments; when it is full its older half goes.
+    at most about ``limit`` segments; when it is full its middle half goes, as the oldest ones
+    are the most frequent.
     """
 
     def __init__(self, encode_many: Callable[[list[str]], list], spaced: bool, limit: int = 400_000) -> None:
@@ -42,17 +43,30 @@ class SegmentEncoder:
         head, *rest = _CUT.split(text)
         return head, [x[1:] for x in rest]
 
-    def values(self, texts: list[str], chunk: int = 128) -> Iterator[list]:
+    def values(self, texts: list[str], chunk: int = 500) -> Iterator[list]:
         """For each text the values of its segments in order."""
         memo, lead = self.memo, " " if self.spaced else ""
         for at in range(0, len(texts), chunk):
             if len(memo) > self.limit:
-                for key in list(memo)[: self.limit // 2]:
+                for key in list(memo)[self.limit // 4 : 3 * self.limit // 4]:
                     del memo[key]
-            plans = [self._cut(text) for text in texts[at : at + chunk]]
-            todo = list({x for _, rest in plans for x in rest if x not in memo})
+            rows, heads, holes = [], [], []
+            for text in texts[at : at + chunk]:
+                head, rest = self._cut(text)
+                found = list(map(memo.get, rest))
+                i = -1
+                try:
+                    while True:
+                        i = found.index(None, i + 1)
+                        holes.append((found, i, rest[i]))
+                except ValueError:
+                    pass
+                rows.append(found)
+                heads.append(head)
+            todo = list(dict.fromkeys(x for *_, x in holes))
             memo.update(zip(todo, self.encode_many([lead + x for x in todo]), strict=True))
-            heads = iter(self.encode_many([head for head, _ in plans if head is not None]))
-            for head, rest in plans:
-                found = list(map(memo.__getitem__, rest))
-                yield found if head is None else [next(heads), *found]
+            for found, i, x in holes:
+                found[i] = memo[x]
+            first = iter(self.encode_many([head for head in heads if head is not None]))
+            for head, found in zip(heads, rows, strict=True):
+                yield found if head is None else [next(first), *found]
