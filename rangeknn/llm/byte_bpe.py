@@ -81,10 +81,18 @@ class BytePairCoder:
         self.pieces = regex.compile(unicode_pattern(pattern)).findall
         self.token_of = dict(zip(self.ids, tokens, strict=True))
         self.memo: dict[str, bytes] = {}
+        #: Answers of the perfect hash for short strings of bytes, most of them merge candidates.
+        self.ranks: dict[bytes, int] = {}
 
     def rank(self, token: bytes) -> int:
-        i = self.table.get(token)
-        return self.ids[i] if i >= 0 else -1
+        if (r := self.ranks.get(token)) is None:
+            i = self.table.get(token)
+            r = self.ids[i] if i >= 0 else -1
+            if len(token) <= 12:
+                if len(self.ranks) >= 400_000:
+                    self.ranks.clear()
+                self.ranks[token] = r
+        return r
 
     def merge(self, piece: bytes) -> list[int]:
         """Ids of a pre-token that is not a token itself."""
@@ -122,7 +130,7 @@ class BytePairCoder:
     def encode_segments(self, segments: list[str]) -> list[bytes]:
         memo, out = self.memo, []
         if len(memo) > 400_000:
-            for key in list(memo)[:200_000]:
+            for key in list(memo)[100_000:300_000]:
                 del memo[key]
         for segment in segments:
             ids = b""
@@ -146,7 +154,7 @@ def read_ranks(path: str) -> dict[bytes, int]:
 def coder(path: str, pattern: str) -> tuple[BytePairCoder, SegmentEncoder]:
     """One coder for each worker process; the vocabulary bounds its size."""
     own = BytePairCoder(read_ranks(path), pattern)
-    return own, SegmentEncoder(own.encode_segments, spaced=True, limit=300_000)
+    return own, SegmentEncoder(own.encode_segments, spaced=True, limit=700_000)
 
 
 def _batches(batches: Iterator[pa.RecordBatch], path: str, pattern: str, with_ids: bool) -> Iterator[pa.RecordBatch]:
