@@ -25,19 +25,21 @@ _A, _B, _C = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.ui
 
 @dataclass(frozen=True)
 class Settings:
-    """alpha, beta: learning rate; l1, l2: regularisation; skip: widest gap of a skip-gram.
+    """alpha, beta: learning rate; l1, l2: regularisation; skip: widest gap of a skip-gram;
+    positive_weight: of the rarer label 1 in the loss.
 
     ``max_train`` bounds the labelled rows that are fitted (all of them are candidates; those
     with the smallest hash of their id are taken, the same at every size of the corpus).
     """
 
     bits: int = 20
-    skip: int = 2
-    alpha: float = 0.2
+    skip: int = 1
+    alpha: float = 1.0
     beta: float = 1.0
-    l1: float = 1.0
+    l1: float = 12.0
     l2: float = 0.5
-    epochs: int = 2
+    epochs: int = 4
+    positive_weight: float = 2.0
     max_train: int = 20_000
 
 
@@ -80,7 +82,7 @@ class FtrlProximal:
     def update(self, features: np.ndarray, label: int) -> None:
         at = np.append(np.unique(features), len(self.z) - 1)
         w = self.weights(at)
-        g = _sigmoid(float(w.sum())) - label
+        g = (_sigmoid(float(w.sum())) - label) * (self.s.positive_weight if label else 1.0)
         sigma = (np.sqrt(self.n[at] + g * g) - np.sqrt(self.n[at])) / self.s.alpha
         self.z[at] += g - sigma * w
         self.n[at] += g * g
