@@ -1,9 +1,10 @@
 """Format-preserving pseudonyms for personal data and secrets.
 
 A value that passes its validation (check digit, calendar, octets, numbering plan) is mapped by
-a keyed Feistel permutation of the set of all valid values of its format. Lengths, separators
-and validity stay; equal values get equal pseudonyms in every document, different values
-different ones. No table is kept and rows are independent: no exchange.
+a keyed Feistel permutation of the set of all valid values of its format. Separators and
+validity stay, and so do lengths but for the octets of network addresses and days and months of
+one digit; equal values get equal pseudonyms in every document, different values different
+ones. No table is kept and rows are independent: no exchange.
 """
 
 from __future__ import annotations
