@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from rangeknn.functions import vectors
 from rangeknn.operators import baselines, exact, index, kernels, metrics
 from rangeknn.operators.index import graph_kernel, materialise, scan_kernel
+from rangeknn.plans import surface
 from rangeknn.sources.catalog import TABLES, held_out, intervals, objects, table
 from rangeknn.streaming import stream
 
@@ -334,3 +335,5 @@ FROM embeddings a JOIN orders ON a.vec_id = o_orderkey JOIN embeddings z ON z.ve
 }
 for _name in ("exact_knn_range", "range_search_saturated", "range_search_entry_first", "range_search_entry_random", "range_search_entry_centre", "prefilter_scan", "postfilter_overfetch", "ivf_probe_all", "stream_range_search"):
     ORACLES[_name] = _knn()
+QUERIES |= surface.QUERIES
+ORACLES |= surface.ORACLES
