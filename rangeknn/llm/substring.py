@@ -259,11 +259,18 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_c
     listed = materialise(rows.mapInArrow(lambda b: _anchors(b, length, gram), "id bigint, at array<struct<y:bigint,first:int,more:int>>"), "representatives")
     anchors = listed.select("id", F.explode("at").alias("at")).select("id", "at.*")
     # these tables grow with the corpus: merge joins, never a broadcast
-    again = anchors.groupBy("y").agg(F.count("*").alias("m")).where("m > 1")
-    kept = anchors.join(again.hint("merge"), "y").select("id", F.struct("y", "first", "more", (F.col("m") > frequent).alias("often")).alias("at"))
-    kept = materialise(kept.groupBy("id").agg(F.collect_list("at").alias("at")), "anchors")
+    # both sides and the result are written, so that nothing but the join needs a representative's
+    # rows together and a very common one can be split over tasks
+    again = materialise(anchors.groupBy("y").agg(F.count("*").alias("m")).where("m > 1"), "again")
+    release(spark)
+    found = anchors.join(again.hint("merge"), "y").select("id", F.struct("y", "first", "more", (F.col("m") > frequent).alias("often")).alias("at"))
+    found = materialise(found, "found")
     discard(listed)
     release(spark)
+    kept = materialise(found.groupBy("id").agg(F.collect_list("at").alias("at")), "anchors")
+    discard(again)
+    discard(found)
+    release(spark)
 
     schema = "y bigint, d bigint, id bigint, starts array<int>, windows int, words binary"
     seen = materialise(rows.join(kept.hint("merge"), "id").select("id", "text", "at").mapInArrow(lambda b: _stretches(b, length), schema), "stretches")
