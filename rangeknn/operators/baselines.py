@@ -192,3 +192,99 @@ def ivf_search(packed: DataFrame, queries: DataFrame, nprobe: int = 4, rerank: i
         return got, work, 0
 
     return search(packed, queries, run)
+
+
+class DensePredicateGraph:
+    """Predicate-agnostic: gamma * m nearest of every node are kept, and a query sees the first m
+    passing ones among one and two hops, whatever the predicate is."""
+
+    def __init__(self, vecs: np.ndarray, m: int = 8, gamma: int = 4) -> None:
+        self.vecs, self.m, self.near = vecs, m, kernels.knn_exact(vecs, gamma * m)
+
+    def neighbours(self, x: int, passes: np.ndarray) -> np.ndarray:
+        one = self.near[x]
+        first = one[passes[one]]
+        if len(first) < self.m:
+            two = self.near[one].ravel()
+            both = np.concatenate([first, two[passes[two]]])
+            _, at = np.unique(both, return_index=True)
+            first = both[np.sort(at)]
+        return first[first != x][: self.m]
+
+    def search(self, q: np.ndarray, passes: np.ndarray, k: int, ef: int) -> tuple[list[tuple[float, int]], int]:
+        inside = np.flatnonzero(passes)
+        if not len(inside):
+            return [], 0
+        lists = [self.neighbours(x, passes) if passes[x] else np.zeros(0, np.int64) for x in range(len(self.vecs))]
+        start, nbrs = np.r_[0, np.cumsum([len(v) for v in lists])], np.concatenate(lists)
+        got, n_dist, _ = kernels.beam(start, nbrs, self.vecs, q, 0, len(self.vecs) - 1, k, ef, int(inside[0]), passes=passes)
+        return got, n_dist
+
+
+def dense_predicate_search(packed: DataFrame, queries: DataFrame, m: int = 8, gamma: int = 4, ef: int = 64) -> DataFrame:
+    made: dict[int, DensePredicateGraph] = {}
+
+    def run(s: Shard, q: np.ndarray, lo: int, hi: int, k: int, qid: int):
+        key = int(s.ids[0])
+        if key not in made:
+            made.clear()
+            made[key] = DensePredicateGraph(s.vecs, m, gamma)
+        passes = np.zeros(len(s.ids), bool)
+        passes[lo : hi + 1] = True
+        got, work = made[key].search(q, passes, k, ef)
+        return got, work, 0
+
+    return search(packed, queries, run)
+
+
+class Layered:
+    """Layers of a navigable graph: a node's level falls off geometrically by a hash of its id;
+    greedy steps go down to the bottom, where the beam runs."""
+
+    def __init__(self, vecs: np.ndarray, ids: np.ndarray, m: int = 12, spatial: int = 32) -> None:
+        self.vecs = vecs
+        u = ((ids.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(11)).astype(float) / 2**53
+        self.level = np.minimum(np.floor(-np.log(np.maximum(u, 1e-12)) / np.log(m)), 12).astype(int)
+        self.layers = []
+        for lv in range(int(self.level.max(initial=0)) + 1):
+            rows = np.flatnonzero(self.level >= lv)
+            near = kernels.knn_exact(vecs[rows], spatial)
+            cap = 2 * m if lv == 0 else m
+            kept = [rows[kernels.nearest_first(i, near[i], vecs[rows], cap)] if len(rows) > 1 else rows[:0] for i in range(len(rows))]
+            out: dict[int, set[int]] = {int(r): set(map(int, v)) for r, v in zip(rows, kept, strict=True)}
+            for r, v in zip(rows, kept, strict=True):
+                for w in v.tolist():
+                    out[w].add(int(r))
+            self.layers.append(out)
+        lists = [sorted(self.layers[0][x]) for x in range(len(vecs))]
+        self.start, self.nbrs = np.r_[0, np.cumsum([len(v) for v in lists])], np.array([w for v in lists for w in v], np.int64)
+        self.top = int(np.argmax(self.level))
+
+    def entry(self, q: np.ndarray) -> int:
+        at = self.top
+        best = float(kernels.d2(q, self.vecs[at : at + 1])[0])
+        for layer in reversed(self.layers[1:]):
+            while True:
+                near = sorted(layer.get(at, ()))
+                if not near:
+                    break
+                d = kernels.d2(q, self.vecs[near])
+                if d.min() >= best:
+                    break
+                best, at = float(d.min()), near[int(d.argmin())]
+        return at
+
+
+def layered_search(packed: DataFrame, queries: DataFrame, ef: int = 64, through: bool = True) -> DataFrame:
+    """In-filter search on the layered graph, from the entry that greedy descent finds."""
+    made: dict[int, Layered] = {}
+
+    def run(s: Shard, q: np.ndarray, lo: int, hi: int, k: int, qid: int):
+        key = int(s.ids[0])
+        if key not in made:
+            made.clear()
+            made[key] = Layered(s.vecs, s.ids)
+        g = made[key]
+        return kernels.beam(g.start, g.nbrs, s.vecs, q, lo, hi, k, ef, g.entry(q), through=through)
+
+    return search(packed, queries, run)

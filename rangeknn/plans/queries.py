@@ -266,6 +266,8 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "infilter_spatial_approx": with_baseline(lambda s: baselines.in_filter(s.built(kernels.Params(16, 0, 32, prune="spatial")), s.queries)),
     "ivf_probe_approx": with_baseline(lambda s: baselines.ivf_search(s.packed(), s.queries)),
     "segment_tree_approx": with_baseline(lambda s: baselines.segment_tree_search(s.packed(), s.queries)),
+    "dense_predicate_approx": with_baseline(lambda s: baselines.dense_predicate_search(s.packed(), s.queries)),
+    "layered_graph_approx": with_baseline(lambda s: baselines.layered_search(s.packed(), s.queries)),
     "postfilter_graph_approx": with_baseline(lambda s: baselines.post_filter(s.built(), s.queries, graph=True)),
     "window_candidates": window_candidates,
     "exact_between_graph": lambda spark, d: exact.between_graph(Setup(spark, d).ranked),

@@ -65,6 +65,17 @@ def test_edges_of_bad_input(spark, data):
     assert index.search(index.shards(index.with_rank(objs.limit(0))), queries).count() == 0
 
 
+def test_graph_baselines_stay_in_range_and_find_most(data):
+    objs, queries, truth = data
+    packed = index.shards(index.with_rank(objs))
+    for method in (baselines.dense_predicate_search, baselines.layered_search, baselines.segment_tree_search):
+        got = answers(method(packed, queries))
+        lost = [len(set(truth[q]) - set(got.get(q, []))) for q in truth]
+        assert sum(lost) <= 0.3 * sum(map(len, truth.values())), (method.__name__, lost)
+    attrs = {r["id"]: r["attr"] for r in objs.collect()}
+    assert all(5 <= attrs[i] <= 20 for i in got[1000])
+
+
 def test_save_and_load(spark, data, tmp_path):
     objs, queries, truth = data
     built = index.build(index.with_rank(objs))
