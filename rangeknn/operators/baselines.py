@@ -114,12 +114,12 @@ class SegmentTree:
     def n_edges(self) -> int:
         return sum(len(v) for lists in self.levels for v in lists.values())
 
-    def search(self, q: np.ndarray, lo: int, hi: int, k: int, ef: int) -> list[tuple[float, int]]:
-        wanted = np.arange(lo, hi + 1)
-        lists = {int(x): self.neighbours(int(x), lo, hi) for x in wanted}
-        start = np.r_[0, np.cumsum([len(lists[x]) if x in lists else 0 for x in range(len(self.vecs))])]
-        nbrs = np.array([v for x in range(len(self.vecs)) for v in lists.get(x, [])], np.int64)
-        return kernels.beam(start, nbrs, self.vecs, q, lo, hi, k, ef, lo)[0]
+    def search(self, q: np.ndarray, lo: int, hi: int, k: int, ef: int, passes: np.ndarray | None = None) -> tuple[list[tuple[float, int]], int, int]:
+        entry = lo if passes is None else lo + int(np.argmax(passes[lo : hi + 1]))
+        if passes is not None and not passes[entry]:
+            return [], 0, 0
+        none = np.zeros(0, np.int64)
+        return kernels.beam(none, none, self.vecs, q, lo, hi, k, ef, entry, passes=passes, expand=lambda x: np.array(self.neighbours(x, lo, hi), np.int64))
 
 
 def segment_tree_search(packed: DataFrame, queries: DataFrame, m: int = 16, ef: int = 64) -> DataFrame:
@@ -130,8 +130,7 @@ def segment_tree_search(packed: DataFrame, queries: DataFrame, m: int = 16, ef:
         if key not in made:
             made.clear()
             made[key] = SegmentTree(s.vecs, m)
-        got = made[key].search(q, lo, hi, k, ef)
-        return got, hi - lo + 1, 0
+        return made[key].search(q, lo, hi, k, ef)
 
     return search(packed, queries, run)
 
@@ -215,9 +214,8 @@ class DensePredicateGraph:
         inside = np.flatnonzero(passes)
         if not len(inside):
             return [], 0
-        lists = [self.neighbours(x, passes) if passes[x] else np.zeros(0, np.int64) for x in range(len(self.vecs))]
-        start, nbrs = np.r_[0, np.cumsum([len(v) for v in lists])], np.concatenate(lists)
-        got, n_dist, _ = kernels.beam(start, nbrs, self.vecs, q, 0, len(self.vecs) - 1, k, ef, int(inside[0]), passes=passes)
+        none = np.zeros(0, np.int64)
+        got, n_dist, _ = kernels.beam(none, none, self.vecs, q, 0, len(self.vecs) - 1, k, ef, int(inside[0]), passes=passes, expand=lambda x: self.neighbours(x, passes))
         return got, n_dist
 
 

@@ -181,11 +181,12 @@ def header_entry(closer: np.ndarray, lo: int, hi: int) -> int:
     return at
 
 
-def beam(start: np.ndarray, nbrs: np.ndarray, vecs: np.ndarray, q: np.ndarray, lo: int, hi: int, k: int, ef: int, entry: int, pool: str = "ef", passes: np.ndarray | None = None, through: bool = False) -> tuple[list[tuple[float, int]], int, int]:
+def beam(start: np.ndarray, nbrs: np.ndarray, vecs: np.ndarray, q: np.ndarray, lo: int, hi: int, k: int, ef: int, entry: int, pool: str = "ef", passes: np.ndarray | None = None, through: bool = False, expand=None) -> tuple[list[tuple[float, int]], int, int]:
     """((d2, position) ascending, distances, hops); neighbours outside [lo, hi] are skipped.
 
     pool 'ef' keeps max(ef, k) results while searching, 'k' only k. through: walk over
-    outsiders without returning them. passes: a mask for further predicates.
+    outsiders without returning them. passes: a mask for further predicates. expand: the
+    neighbours of a position for this query, if they are not simply those of the lists.
     """
     if lo > hi:
         return [], 0, 0
@@ -200,7 +201,8 @@ def beam(start: np.ndarray, nbrs: np.ndarray, vecs: np.ndarray, q: np.ndarray, l
         if len(found) >= size and (d, p) > (-found[0][0], -found[0][1]):
             break
         hops += 1
-        new = [v for v in nbrs[start[p] : start[p + 1]].tolist() if v not in seen and (through or ok(v))]
+        ends = nbrs[start[p] : start[p + 1]] if expand is None else expand(p)
+        new = [v for v in ends.tolist() if v not in seen and (through or ok(v))]
         if not new:
             continue
         seen.update(new)
@@ -216,3 +218,39 @@ def beam(start: np.ndarray, nbrs: np.ndarray, vecs: np.ndarray, q: np.ndarray, l
         if pool == "ef" and len(todo) > 4 * size:
             todo = heapq.nsmallest(2 * size, todo)
     return sorted((-a, -b) for a, b in found)[:k], n_dist, hops
+
+
+def greedy_path(start: np.ndarray, nbrs: np.ndarray, vecs: np.ndarray, x: int, y: int) -> list[int]:
+    """Walk from x to the stored target y, each step to the neighbour nearest to y; ends where none is nearer."""
+    path = [x]
+    here = float(d2(vecs[y], vecs[x : x + 1])[0])
+    while path[-1] != y:
+        near = nbrs[start[path[-1]] : start[path[-1] + 1]]
+        if (near == y).any():
+            path.append(y)
+            break
+        if not len(near):
+            break
+        d = d2(vecs[y], vecs[near])
+        best = int(np.lexsort((near, d))[0])
+        if d[best] >= here:
+            break
+        here = float(d[best])
+        path.append(int(near[best]))
+    return path
+
+
+def box_graph(vecs: np.ndarray, attrs: np.ndarray, how: Params) -> tuple[np.ndarray, np.ndarray]:
+    """Graph over several attributes: spatial neighbours and a window in each attribute's order, pruned by boxes."""
+    n, n_attr = attrs.shape
+    ranks = np.stack([np.unique(attrs[:, j], return_inverse=True)[1] for j in range(n_attr)], axis=1)
+    orders = [np.lexsort((np.arange(n), attrs[:, j])) for j in range(n_attr)]
+    places = [np.argsort(o) for o in orders]
+    near = knn_exact(vecs, min(how.spatial, max(n - 1, 0)))
+    lists = []
+    for x in range(n):
+        windows = [o[max(0, p[x] - how.window) : p[x] + how.window + 1] for o, p in zip(orders, places, strict=True)]
+        cand = np.unique(np.concatenate([near[x], *windows]))
+        lists.append(in_box(x, cand[cand != x], vecs, ranks, how.m))
+    start = np.r_[0, np.cumsum([len(v) for v in lists])].astype(np.int64)
+    return start, np.concatenate(lists).astype(np.int64) if n else np.zeros(0, np.int64)

@@ -12,34 +12,11 @@ from pyspark.sql import functions as F
 from rangeknn.functions import vectors
 from rangeknn.operators import baselines, exact, index, kernels, metrics
 from rangeknn.operators.index import graph_kernel, materialise, scan_kernel
-from rangeknn.plans import surface
-from rangeknn.sources.catalog import TABLES, held_out, intervals, objects, table
+from rangeknn.plans import methods, surface  # noqa: F401  methods adds its queries to those of surface
+from rangeknn.plans.workload import E_SQL, LARGE_EF, SMALL, Setup, index_sql, intervals_sql, scan_graph_sql, shown
+from rangeknn.sources.catalog import TABLES, intervals, objects, table
 from rangeknn.streaming import stream
 
-#: Parameters for tables of a few hundred to a few thousand objects.
-SMALL = kernels.Params(spatial=16, window=32, m=32)
-LARGE_EF = 1_000_000
-
-
-class Setup:
-    """Ranked objects and interval queries of one object table."""
-
-    def __init__(self, spark: SparkSession, sf_dir: str, name: str = "E", share: float | None = 0.1, k: int = 10) -> None:
-        objs, asked = held_out(index.validate(objects(spark, sf_dir, name)))
-        self.ranked = materialise(index.with_rank(objs), "ranked")
-        self.queries = materialise(intervals(self.ranked, asked, share, k), "queries")
-
-    def packed(self, rows: int = index.SHARD_ROWS) -> DataFrame:
-        return index.shards(self.ranked, rows)
-
-    def built(self, how: kernels.Params = SMALL, rows: int = index.SHARD_ROWS) -> DataFrame:
-        return index.build(self.ranked, how, rows)
-
-
-def shown(found: DataFrame) -> DataFrame:
-    return found.select("qid", "rn", "id", F.round(F.sqrt("d2"), 6).alias("dist"))
-
-
 def exact_knn(share: float | None = 0.1, name: str = "E", k: int = 10, rows: int = index.SHARD_ROWS):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         s = Setup(spark, sf_dir, name, share, k)
@@ -109,8 +86,7 @@ def rank_interval(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def window_candidates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    r = Setup(spark, sf_dir).ranked.select("rank")
-    return r.select(F.col("rank").alias("src")).join(r.select(F.col("rank").alias("dst")), F.col("dst").between(F.col("src") - 8, F.col("src") + 8) & (F.col("dst") != F.col("src")))
+    return index.window_pairs(Setup(spark, sf_dir).ranked, 8)
 
 
 def heredity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -202,40 +178,16 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shown(index.search(s.built(), s.queries, graph_kernel(64)))
 
 
-_E = """o AS (SELECT vec_id AS id, embedding::DOUBLE[] AS vec, o_totalprice::DOUBLE AS attr FROM embeddings JOIN orders ON vec_id = o_orderkey),
-r AS (SELECT *, row_number() OVER (ORDER BY attr, id) AS rank FROM o WHERE id % 25 <> 7)"""
 _PS = """o AS (SELECT vec_id AS id, embedding::DOUBLE[] AS vec, p_size::DOUBLE AS attr FROM embeddings JOIN part ON vec_id = p_partkey),
 r AS (SELECT *, row_number() OVER (ORDER BY attr, id) AS rank FROM o WHERE id % 25 <> 7)"""
 
 
-def _intervals(share: str = "0.1") -> str:
-    return f"""w AS (SELECT id AS qid, vec AS qvec, greatest(1, floor({share} * n))::BIGINT AS w, n FROM o, (SELECT count(*) AS n FROM r) WHERE id % 25 = 7),
-q AS (SELECT qid, qvec, a.attr AS lo, b.attr AS hi FROM (SELECT *, 1 + (qid * 7919) % (n - w + 1) AS r1 FROM w) JOIN r a ON a.rank = r1 JOIN r b ON b.rank = r1 + w - 1)"""
-
-
-def _knn(base: str = _E, share: str = "0.1", k: int = 10, cond: str = "attr BETWEEN lo AND hi") -> str:
-    return f"""WITH {base}, {_intervals(share)},
+def _knn(base: str = E_SQL, share: str = "0.1", k: int = 10, cond: str = "attr BETWEEN lo AND hi") -> str:
+    return f"""WITH {base}, {intervals_sql(share)},
 d AS (SELECT qid, id, list_distance(vec, qvec) AS dist FROM q JOIN r ON {cond})
 SELECT qid, rn, id, round(dist, 6) AS dist FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY dist, id) AS rn FROM d) WHERE rn <= {k}"""
 
 
-def _scan_graph(cand: str = "", cap: str = "") -> str:
-    """Two-sided witness scan by rank gap as a recursive table; cand restricts, cap bounds."""
-    return f"""WITH RECURSIVE {_E},
-p AS MATERIALIZED (SELECT a.rank AS x, list(list_distance(a.vec, b.vec) ORDER BY b.rank) AS ds FROM r a, r b GROUP BY a.rank),
-n AS (SELECT count(*) AS n FROM r){cand},
-scan(x, side, g, kept) AS (
-  SELECT rank, side, 0, []::BIGINT[] FROM r, (VALUES (-1), (1)) s(side)
-  UNION ALL
-  SELECT s.x, side, g + 1, CASE WHEN {"NOT list_contains(c.near, s.x + side * (g + 1)) OR " if cand else ""}{cap}len(list_filter(kept, lambda z: a.ds[z] < a.ds[s.x + side * (g + 1)] AND b.ds[z] < a.ds[s.x + side * (g + 1)])) > 0 THEN kept ELSE list_append(kept, s.x + side * (g + 1)) END
-  FROM scan s JOIN p a ON a.x = s.x JOIN p b ON b.x = s.x + side * (g + 1){" JOIN c ON c.x = s.x" if cand else ""}),
-graph AS (SELECT x AS src, unnest(kept) AS dst FROM (SELECT x, side, max_by(kept, g) AS kept FROM scan GROUP BY x, side))"""
-
-
-_CAND = """,
-near AS (SELECT x, y FROM (SELECT a.rank AS x, b.rank AS y, row_number() OVER (PARTITION BY a.rank ORDER BY list_distance(a.vec, b.vec), b.rank) AS k FROM r a JOIN r b ON a.rank <> b.rank) WHERE k <= 16),
-c AS MATERIALIZED (SELECT x, list(DISTINCT y) AS near FROM (SELECT x, y FROM near UNION SELECT a.rank, b.rank FROM r a JOIN r b ON b.rank BETWEEN a.rank - 32 AND a.rank + 32 AND a.rank <> b.rank) GROUP BY x)"""
-_INDEX = _scan_graph(_CAND, "len(kept) >= 16 OR ")
 _COVERS = """lv AS (SELECT unnest(range(0, 30)) AS i), sz AS (SELECT i, ceil(n / pow(2, i))::BIGINT AS size, n FROM lv, n),
 used AS (SELECT * FROM sz WHERE i <= (SELECT min(i) FROM sz WHERE size <= 32)),
 st AS (SELECT i, size, n, greatest(1, size // 2) AS stride FROM used),
@@ -296,21 +248,21 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 ORACLES: dict[str, str] = {
     "scan_all_counts": " UNION ALL ".join(f"SELECT '{t}' AS name, count(*) AS n FROM {t}" for t in TABLES),
     "rank_attr": "SELECT vec_id AS id, p_size::DOUBLE AS attr, row_number() OVER (ORDER BY p_size, vec_id) AS rank FROM embeddings JOIN part ON vec_id = p_partkey",
-    "rank_interval": f"WITH {_PS}, {_intervals()} SELECT qid, min(rank) AS r_lo, max(rank) AS r_hi FROM q JOIN r ON attr BETWEEN lo AND hi GROUP BY qid",
+    "rank_interval": f"WITH {_PS}, {intervals_sql()} SELECT qid, min(rank) AS r_lo, max(rank) AS r_hi FROM q JOIN r ON attr BETWEEN lo AND hi GROUP BY qid",
     "range_search_ties": _knn(_PS),
     "exact_knn_range_mixed": _knn(share="pow(2, -(id % 8))"),
     "auto_placement": _knn(share="pow(2, -(id % 8))"),
-    "exact_knn_range_time": _knn(_E.replace("o_totalprice::DOUBLE", "epoch_us(ts)::DOUBLE").replace("orders ON vec_id = o_orderkey", "events ON vec_id = event_id"), "0.5"),
+    "exact_knn_range_time": _knn(E_SQL.replace("o_totalprice::DOUBLE", "epoch_us(ts)::DOUBLE").replace("orders ON vec_id = o_orderkey", "events ON vec_id = event_id"), "0.5"),
     "exact_knn_range_k40": _knn(k=40),
     "range_search_open_ended": _knn(cond="CASE WHEN qid % 2 = 0 THEN attr >= lo ELSE attr <= hi END"),
     "range_search_empty": "SELECT 0::BIGINT AS n",
     "range_search_k_exceeds": _knn(share="0.01", k=20),
     "sharded_search_saturated": _knn(share="0.5"),
     "unfiltered_knn_saturated": _knn(share="1.0"),
-    "window_candidates": f"WITH {_E} SELECT a.rank AS src, b.rank AS dst FROM r a JOIN r b ON b.rank BETWEEN a.rank - 8 AND a.rank + 8 AND a.rank <> b.rank",
-    "exact_between_graph": f"{_scan_graph()} SELECT src, dst FROM graph",
-    "induced_subgraph": f"{_scan_graph()} SELECT src, dst FROM graph WHERE src BETWEEN 101 AND 300 AND dst BETWEEN 101 AND 300",
-    "exact_mrng": f"""WITH RECURSIVE {_E},
+    "window_candidates": f"WITH {E_SQL} SELECT a.rank AS src, b.rank AS dst FROM r a JOIN r b ON b.rank BETWEEN a.rank - 8 AND a.rank + 8 AND a.rank <> b.rank",
+    "exact_between_graph": f"{scan_graph_sql()} SELECT src, dst FROM graph",
+    "induced_subgraph": f"{scan_graph_sql()} SELECT src, dst FROM graph WHERE src BETWEEN 101 AND 300 AND dst BETWEEN 101 AND 300",
+    "exact_mrng": f"""WITH RECURSIVE {E_SQL},
 p AS MATERIALIZED (SELECT a.rank AS x, list(list_distance(a.vec, b.vec) ORDER BY b.rank) AS ds, list(b.rank ORDER BY list_distance(a.vec, b.vec), b.rank) FILTER (b.rank <> a.rank) AS ord FROM r a, r b GROUP BY a.rank),
 scan(x, j, kept) AS (
   SELECT rank, 0, []::BIGINT[] FROM r
@@ -320,15 +272,15 @@ scan(x, j, kept) AS (
 SELECT x AS src, unnest(kept) AS dst FROM (SELECT x, max_by(kept, j) AS kept FROM scan GROUP BY x)""",
     "heredity_diff": "SELECT 0::BIGINT AS n",
     "monotone_violations": "SELECT 0::BIGINT AS n",
-    "pruned_index_edges": f"{_INDEX} SELECT src, dst FROM graph",
-    "index_degree_stats": f"{_INDEX} SELECT (SELECT n FROM n) AS nodes, count(*) AS edges, round(count(*) / (SELECT n FROM n), 6) AS mean_degree, 4 * count(*) + 4 * (SELECT n FROM n) AS bytes FROM graph",
-    "entry_header_lookup": f"""WITH {_E}, {_intervals()},
+    "pruned_index_edges": f"{index_sql()} SELECT src, dst FROM graph",
+    "index_degree_stats": f"{index_sql()} SELECT (SELECT n FROM n) AS nodes, count(*) AS edges, round(count(*) / (SELECT n FROM n), 6) AS mean_degree, 4 * count(*) + 4 * (SELECT n FROM n) AS bytes FROM graph",
+    "entry_header_lookup": f"""WITH {E_SQL}, {intervals_sql()},
 c AS (SELECT list(m ORDER BY i) AS centre FROM (SELECT i, avg(v) AS m FROM (SELECT unnest(vec) AS v, generate_subscripts(vec, 1) AS i FROM r) GROUP BY i))
 SELECT qid, arg_min(id, list_distance(vec, centre)) AS id FROM q JOIN r ON attr BETWEEN lo AND hi, c GROUP BY qid""",
-    "cover_choice": f"""WITH {_E}, {_intervals()}, n AS (SELECT count(*) AS n FROM r), {_COVERS},
+    "cover_choice": f"""WITH {E_SQL}, {intervals_sql()}, n AS (SELECT count(*) AS n FROM r), {_COVERS},
 qr AS (SELECT qid, min(rank) AS r_lo, max(rank) AS r_hi FROM q JOIN r ON attr BETWEEN lo AND hi GROUP BY qid)
 SELECT qid, b.c_lo AS c_lo, b.c_hi AS c_hi FROM (SELECT qid, min({{'w': c_hi - c_lo, 'c_lo': c_lo, 'c_hi': c_hi}}) AS b FROM qr JOIN win ON c_lo <= r_lo AND c_hi >= r_hi GROUP BY qid)""",
-    "recall_rollup": f"""WITH {_E}, {_intervals()}, h AS (SELECT qid, least(10, count(*)) AS hits FROM q JOIN r ON attr BETWEEN lo AND hi GROUP BY qid)
+    "recall_rollup": f"""WITH {E_SQL}, {intervals_sql()}, h AS (SELECT qid, least(10, count(*)) AS hits FROM q JOIN r ON attr BETWEEN lo AND hi GROUP BY qid)
 SELECT qid % 4 AS part, count(*) AS queries, sum(hits)::BIGINT AS hits, round(avg(hits / 10), 6) AS recall FROM h GROUP BY ROLLUP (qid % 4)""",
     "knn_label_range": """SELECT a.vec_id, round(list_distance(a.embedding::DOUBLE[], z.embedding::DOUBLE[]), 6) AS l2, round(list_cosine_similarity(a.embedding::DOUBLE[], z.embedding::DOUBLE[]), 6) AS cosine
 FROM embeddings a JOIN orders ON a.vec_id = o_orderkey JOIN embeddings z ON z.vec_id = 0 AND z.label = a.label WHERE a.vec_id <> 0 AND o_totalprice BETWEEN 50000 AND 200000""",
