@@ -128,7 +128,7 @@ def knn_graph_exact(spark: SparkSession, sf_dir: str) -> DataFrame:
 def knn_graph_bucketed_approx(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Recall of the bucketed graph against the exact one."""
     ranked = Setup(spark, sf_dir).ranked
-    return metrics.edge_coverage(frontier.bucketed_knn(ranked, 16, cell_rows=200, copies=4), frontier.bucketed_knn(ranked, 16, cell_rows=1 << 30).select("src", "dst"))
+    return metrics.edge_coverage(frontier.bucketed_knn(ranked, 16, cell_rows=64, copies=3), frontier.bucketed_knn(ranked, 16, cell_rows=1 << 30).select("src", "dst"))
 
 
 _INSIDE = E_SQL.replace("r AS (", "whole AS (") + ", r AS (SELECT * REPLACE (rank - 100 AS rank) FROM whole WHERE rank BETWEEN 101 AND 300)"
@@ -184,19 +184,27 @@ def cost_at_recall(spark: SparkSession, sf_dir: str) -> DataFrame:
 BASE = 1_000
 
 
-def swept(queries: DataFrame, settings: list[tuple[str, DataFrame, int, int]]) -> DataFrame:
-    """queries(qid, qvec) under every setting (label, its queries with lo and hi, ef, k): qid is qid * BASE + place."""
-    out = None
-    for i, (_, with_range, _, k) in enumerate(settings):
-        one = with_range.withColumn("qid", F.col("qid") * BASE + i).withColumn("k", F.lit(k))
+Setting = tuple[str, int, int]  # label of the share, ef, k
+
+
+def swept(s: Setup, shares: list[float | None], efs: list[int], ks: tuple[int, ...]) -> tuple[DataFrame, list[Setting]]:
+    """The held-out queries under every setting: qid is qid * BASE + place of the setting."""
+    asked, settings, out = s.queries.select("qid", "qvec"), [], None
+    for share in shares:
+        label = "mixed" if share is None else f"{share:g}"
+        mine = [(label, ef, k) for ef in efs for k in ks]
+        codes = F.array(*(F.struct(F.lit(len(settings) + i).cast("bigint").alias("place"), F.lit(k).alias("k")) for i, (_, _, k) in enumerate(mine)))
+        settings += mine
+        one = intervals(s.ranked, asked, share).select("qid", "qvec", "lo", "hi", F.explode(codes).alias("c"))
+        one = one.select((F.col("qid") * BASE + F.col("c.place")).alias("qid"), "qvec", "lo", "hi", F.col("c.k").alias("k"))
         out = one if out is None else out.unionByName(one)
-    return materialise(out, "sweep")
+    return materialise(out, "sweep"), settings
 
 
-def by_setting(found: DataFrame, truth: DataFrame, settings: list, method: str) -> DataFrame:
+def by_setting(found: DataFrame, truth: DataFrame, settings: list[Setting], method: str) -> DataFrame:
     """(method, share, ef, k, recall, n_dist) of one method; queries without an answer count as recall 0."""
     spark = found.sparkSession
-    names = F.broadcast(spark.createDataFrame([(i, s, ef, k) for i, (s, _, ef, k) in enumerate(settings)], "place bigint, share string, ef bigint, k bigint"))
+    names = F.broadcast(spark.createDataFrame([(i, s, ef, k) for i, (s, ef, k) in enumerate(settings)], "place bigint, share string, ef bigint, k bigint"))
     cost = found.groupBy("qid").agg(F.max("n_dist").alias("n_dist"))
     n = truth.groupBy("qid").agg(F.count("*").alias("n"))
     hits = found.select("qid", "id").join(truth.select("qid", "id"), ["qid", "id"]).groupBy("qid").agg(F.count("*").alias("hits"))
@@ -207,10 +215,8 @@ def by_setting(found: DataFrame, truth: DataFrame, settings: list, method: str)
 
 def experiment(s: Setup, methods: dict[str, tuple[DataFrame, Callable]], shares: list[float | None], efs: list[int], ks: tuple[int, ...] = (10,)) -> DataFrame:
     """Every method at every share, pool and k: a table of recall and distance computations."""
-    asked = s.queries.select("qid", "qvec")
-    settings = [("mixed" if share is None else f"{share:g}", intervals(s.ranked, asked, share), ef, k) for share in shares for ef in efs for k in ks]
-    queries = swept(asked, settings)
-    pools = [ef for _, _, ef, _ in settings]
+    queries, settings = swept(s, shares, efs, ks)
+    pools = [ef for _, ef, _ in settings]
     truth = materialise(index.search(s.packed(), queries), "truth")
     out = None
     for name, (packed, make) in methods.items():
