@@ -188,7 +188,10 @@ Setting = tuple[str, int, int]  # label of the share, ef, k
 
 
 def swept(s: Setup, shares: list[float | None], efs: list[int], ks: tuple[int, ...]) -> tuple[DataFrame, list[Setting]]:
-    """The held-out queries under every setting: qid is qid * BASE + place of the setting."""
+    """The held-out queries under every setting: qid is qid * BASE + place of the setting.
+
+    Hashed ids keep their low 52 bits, so that the product fits; smaller ids stay as they are.
+    """
     asked, settings, out = s.queries.select("qid", "qvec"), [], None
     for share in shares:
         label = "mixed" if share is None else f"{share:g}"
@@ -196,7 +199,7 @@ def swept(s: Setup, shares: list[float | None], efs: list[int], ks: tuple[int, .
         codes = F.array(*(F.struct(F.lit(len(settings) + i).cast("bigint").alias("place"), F.lit(k).alias("k")) for i, (_, _, k) in enumerate(mine)))
         settings += mine
         one = intervals(s.ranked, asked, share).select("qid", "qvec", "lo", "hi", F.explode(codes).alias("c"))
-        one = one.select((F.col("qid") * BASE + F.col("c.place")).alias("qid"), "qvec", "lo", "hi", F.col("c.k").alias("k"))
+        one = one.select((F.col("qid").bitwiseAND(F.lit((1 << 52) - 1)) * BASE + F.col("c.place")).alias("qid"), "qvec", "lo", "hi", F.col("c.k").alias("k"))
         out = one if out is None else out.unionByName(one)
     return materialise(out, "sweep"), settings
 

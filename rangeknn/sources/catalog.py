@@ -63,7 +63,7 @@ def intervals(ranked: DataFrame, queries: DataFrame, share: float | None, k: int
     n = ranked.count()
     s = F.lit(share) if share is not None else F.pow(F.lit(2.0), -F.pmod("qid", F.lit(8)))
     w = F.greatest(F.lit(1), F.floor(s * n)).cast("bigint")
-    first = F.lit(1) + F.pmod(F.col("qid") * 7919, F.lit(n) - w + 1)
+    first = F.lit(1) + F.pmod(F.pmod("qid", F.lit(2_147_483_647)) * 7919, F.lit(n) - w + 1)
     q = queries.withColumn("r_lo", first).withColumn("r_hi", first + w - 1)
     edge = ranked.select("rank", "attr")
     lo, hi = edge.select(F.col("rank").alias("r_lo"), F.col("attr").alias("lo")), edge.select(F.col("rank").alias("r_hi"), F.col("attr").alias("hi"))
