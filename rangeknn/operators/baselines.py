@@ -5,16 +5,29 @@ from __future__ import annotations
 import math
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import kernels
 from .index import Shard, graph_kernel, scan_kernel, search
 
 
-def pre_filter(packed: DataFrame, queries: DataFrame) -> DataFrame:
-    """Filter, then scan what is in range: exact."""
-    return search(packed, queries, scan_kernel)
+def subset_kernel(ef: int = 64, how: kernels.Params = kernels.Params(16, 0, 32, prune="spatial")):
+    """A spatial graph made for the interval when the query comes, then a beam search on all of it."""
+
+    def run(s: Shard, q: np.ndarray, lo: int, hi: int, k: int, qid: int):
+        part = s.vecs[lo : hi + 1]
+        start, nbrs = kernels.build(part, how)
+        first = int(np.argmin(kernels.d2(part.mean(axis=0), part)))
+        got, work, hops = kernels.beam(start, nbrs, part, q, 0, len(part) - 1, k, ef, first)
+        return [(d, lo + p) for d, p in got], work, hops
+
+    return run
+
+
+def pre_filter(packed: DataFrame, queries: DataFrame, inner: str = "scan", ef: int = 64) -> DataFrame:
+    """Filter, then search what is in range: by a scan, which is exact, or by a graph made for it."""
+    return search(packed, queries, scan_kernel if inner == "scan" else subset_kernel(ef))
 
 
 def post_kernel(overfetch: int, graph: bool, ef: int = 64):
@@ -86,21 +99,21 @@ def choose_cover(queries: DataFrame, n: int, base: int = 32) -> DataFrame:
 
 
 class SegmentTree:
-    """A spatial graph in every segment of every level of a binary tree over positions."""
+    """A spatial graph in every segment of every level of a tree over positions."""
 
-    def __init__(self, vecs: np.ndarray, m: int = 16, spatial: int = 16) -> None:
+    def __init__(self, vecs: np.ndarray, m: int = 16, spatial: int = 16, fanout: int = 2) -> None:
         self.vecs, self.m = vecs, m
         self.levels: list[dict[int, np.ndarray]] = []
-        level = 1
-        while (1 << level) < 2 * len(vecs):
+        width = fanout
+        while width < fanout * len(vecs):
             lists: dict[int, np.ndarray] = {}
-            for a in range(0, len(vecs), 1 << level):
-                rows = np.arange(a, min(len(vecs), a + (1 << level)))
+            for a in range(0, len(vecs), width):
+                rows = np.arange(a, min(len(vecs), a + width))
                 near = kernels.knn_exact(vecs[rows], spatial)
                 for i, x in enumerate(rows):
                     lists[int(x)] = rows[kernels.nearest_first(i, near[i], vecs[rows], m)] if len(rows) > 1 else rows[:0]
             self.levels.append(lists)
-            level += 1
+            width *= fanout
 
     def neighbours(self, x: int, lo: int, hi: int) -> list[int]:
         """From the coarsest segment inside [lo, hi] down to finer ones, until m are found."""
@@ -122,14 +135,29 @@ class SegmentTree:
         return kernels.beam(none, none, self.vecs, q, lo, hi, k, ef, entry, passes=passes, expand=lambda x: np.array(self.neighbours(x, lo, hi), np.int64))
 
 
-def segment_tree_search(packed: DataFrame, queries: DataFrame, m: int = 16, ef: int = 64) -> DataFrame:
+def hashed_search(ranked: DataFrame, queries: DataFrame, tables: int = 4, width: float = 0.15, seed: int = 11) -> DataFrame:
+    """The hashing family: random projections cut into buckets; what shares a bucket with the query
+    in any table is compared, range and top-k after it."""
+    from pyspark.ml.feature import BucketedRandomProjectionLSH
+    from pyspark.ml.functions import array_to_vector
+
+    objs = ranked.select("id", "attr", array_to_vector(F.col("vec").cast("array<double>")).alias("v"))
+    asked = queries.select("qid", "lo", "hi", "k", array_to_vector(F.col("qvec").cast("array<double>")).alias("v"))
+    model = BucketedRandomProjectionLSH(inputCol="v", outputCol="h", numHashTables=tables, bucketLength=width, seed=seed).fit(objs)
+    met = model.approxSimilarityJoin(asked, objs, float("inf"), "dist").select("datasetA.qid", "datasetA.lo", "datasetA.hi", "datasetA.k", "datasetB.id", "datasetB.attr", "dist")
+    near = met.where("(lo is null or attr >= lo) and (hi is null or attr <= hi)").withColumn("d2", F.col("dist") * F.col("dist"))
+    best = Window.partitionBy("qid").orderBy("d2", "id")
+    return near.withColumn("rn", F.row_number().over(best)).where("rn <= k").select("qid", "rn", "id", "d2")
+
+
+def segment_tree_search(packed: DataFrame, queries: DataFrame, m: int = 16, ef: int = 64, fanout: int = 2) -> DataFrame:
     made: dict[int, SegmentTree] = {}
 
     def run(s: Shard, q: np.ndarray, lo: int, hi: int, k: int, qid: int):
         key = int(s.ids[0])
         if key not in made:
             made.clear()
-            made[key] = SegmentTree(s.vecs, m)
+            made[key] = SegmentTree(s.vecs, m, fanout=fanout)
         return made[key].search(q, lo, hi, k, ef)
 
     return search(packed, queries, run)

@@ -6,7 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import kernels
@@ -88,6 +88,29 @@ def difference(a: DataFrame, b: DataFrame) -> DataFrame:
     return a.exceptAll(b).union(b.exceptAll(a))
 
 
+def missing_links(edges: DataFrame, ranked: DataFrame) -> DataFrame:
+    """(src, dst): consecutive ranks without an edge. If none is missing, in either direction, every
+    interval of ranks is strongly connected."""
+    r = ranked.select("rank")
+    up = r.join(r.select((F.col("rank") - 1).alias("rank")), "rank").select(F.col("rank").alias("a"), (F.col("rank") + 1).alias("b"))
+    return up.union(up.select("b", "a")).toDF("src", "dst").join(edges, ["src", "dst"], "left_anti")
+
+
+def knn_join(objs: DataFrame, queries: DataFrame, k: int, max_queries: int = 10_000) -> DataFrame:
+    """(qid, rn, id, d2) of the k nearest in range, by column expressions alone; null ends are open.
+
+    The queries are broadcast, so their number is checked: beyond it use ``index.search``.
+    """
+    from rangeknn.functions.vectors import l2_sq
+
+    if queries.count() > max_queries:
+        raise ValueError(f"more than {max_queries} queries: search in shards instead")
+    inside = (F.col("lo").isNull() | (F.col("attr") >= F.col("lo"))) & (F.col("hi").isNull() | (F.col("attr") <= F.col("hi")))
+    met = objs.select("id", "vec", "attr").join(F.broadcast(queries.select("qid", "qvec", "lo", "hi")), inside)
+    best = Window.partitionBy("qid").orderBy("d2", "id")
+    return met.select("qid", "id", l2_sq(F.col("vec"), F.col("qvec")).alias("d2")).withColumn("rn", F.row_number().over(best)).where(F.col("rn") <= k).select("qid", "rn", "id", "d2")
+
+
 def monotone_violations(edges: DataFrame, ranked: DataFrame) -> DataFrame:
     """Ordered pairs (x, y) of which x has no neighbour nearer to y than x is."""
     from rangeknn.functions.vectors import l2_sq

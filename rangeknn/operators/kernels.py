@@ -138,7 +138,8 @@ def knn_descent(vecs: np.ndarray, k: int, iters: int = 8, delta: float = 0.002,
 class Params:
     """spatial: neighbours from the k-NN graph; window: ranks on each side; m: degree cap.
 
-    prune 'between' is the index, 'spatial' its ablation; window 0 the other one.
+    prune 'between' is the index, 'spatial' its ablation; window 0 the other one. repair adds edges
+    until the node nearest to the shard's own centroid reaches every other.
     """
 
     spatial: int = 32
@@ -146,20 +147,61 @@ class Params:
     m: int | None = 64
     knn: str = "exact"
     prune: str = "between"
+    repair: bool = False
 
 
-def build(vecs: np.ndarray, how: Params, seed: int = 0) -> tuple[np.ndarray, np.ndarray]:
+def nearest(vecs: np.ndarray, how: Params, seed: int = 0) -> np.ndarray:
+    """The k-NN graph, which may serve several prunes."""
+    k = min(how.spatial, max(len(vecs) - 1, 0))
+    return {"exact": knn_exact, "nn_descent": lambda v, n: knn_descent(v, n, seed=seed)}[how.knn](vecs, k)
+
+
+def pruned(vecs: np.ndarray, near: np.ndarray, how: Params, within: tuple[int, int] | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """(start, neighbours) from a k-NN graph. within: only these positions have edges and are candidates."""
+    n = len(vecs)
+    lo, hi = within or (0, n - 1)
+    lists = [np.zeros(0, np.int64)] * n
+    for x in range(max(lo, 0), min(hi, n - 1) + 1):
+        window = np.arange(max(lo, x - how.window), min(hi, n - 1, x + how.window) + 1)
+        cand = np.unique(np.concatenate([near[x], window]))
+        cand = cand[(cand != x) & (cand >= lo) & (cand <= hi)]
+        lists[x] = two_sided(x, cand, vecs, how.m) if how.prune == "between" else nearest_first(x, cand, vecs, how.m)
+    start = np.r_[0, np.cumsum([len(x) for x in lists])].astype(np.int64)
+    nbrs = np.concatenate(lists).astype(np.int64) if n else np.zeros(0, np.int64)
+    if how.repair and n:
+        return reachable(start, nbrs, vecs, int(np.argmin(d2(vecs.mean(axis=0), vecs))))
+    return start, nbrs
+
+
+def build(vecs: np.ndarray, how: Params, seed: int = 0, within: tuple[int, int] | None = None) -> tuple[np.ndarray, np.ndarray]:
     """Graph of a shard as (start, neighbours)."""
+    return pruned(vecs, nearest(vecs, how, seed), how, within)
+
+
+def reachable(start: np.ndarray, nbrs: np.ndarray, vecs: np.ndarray, root: int) -> tuple[np.ndarray, np.ndarray]:
+    """The graph with one more edge for each part that root does not reach, from the reached node
+    nearest to the part's first node."""
     n = len(vecs)
-    near = {"exact": knn_exact, "nn_descent": lambda v, k: knn_descent(v, k, seed=seed)}[how.knn](vecs, min(how.spatial, max(n - 1, 0)))
-    lists = []
+    seen = np.zeros(n, bool)
+    extra: dict[int, list[int]] = {}
+
+    def walk(x: int) -> None:
+        seen[x], todo = True, [x]
+        while todo:
+            a = todo.pop()
+            new = nbrs[start[a] : start[a + 1]]
+            new = new[~seen[new]]
+            seen[new] = True
+            todo += new.tolist()
+
+    walk(root)
     for x in range(n):
-        window = np.arange(max(0, x - how.window), min(n, x + how.window + 1))
-        cand = np.unique(np.concatenate([near[x], window]))
-        cand = cand[cand != x]
-        lists.append(two_sided(x, cand, vecs, how.m) if how.prune == "between" else nearest_first(x, cand, vecs, how.m))
-    start = np.r_[0, np.cumsum([len(x) for x in lists])]
-    return start.astype(np.int64), np.concatenate(lists).astype(np.int64) if n else np.zeros(0, np.int64)
+        if not seen[x]:
+            have = np.flatnonzero(seen)
+            extra.setdefault(int(have[np.argmin(d2(vecs[x], vecs[have]))]), []).append(x)
+            walk(x)
+    lists = [np.append(nbrs[start[a] : start[a + 1]], extra.get(a, [])) for a in range(n)]
+    return np.r_[0, np.cumsum([len(v) for v in lists])].astype(np.int64), np.concatenate(lists).astype(np.int64)
 
 
 def previous_closer(distance: np.ndarray) -> np.ndarray:

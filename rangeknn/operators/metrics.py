@@ -45,6 +45,13 @@ def interpolated(curve: DataFrame, target: float) -> DataFrame:
     return steps.groupBy("method").agg(F.min(at).alias("cost"), F.max("recall").alias("max_recall"))
 
 
+def tuned(tried: DataFrame, fresh: DataFrame, target: float) -> DataFrame:
+    """Both (method, ef, recall, n_dist), on two halves of the queries. For each method the cheapest ef
+    that reaches target on the first half, with what it gives on the second; null if none reaches it."""
+    choice = tried.groupBy("method").agg(F.min_by("ef", F.when(F.col("recall") >= target, F.col("n_dist"))).alias("ef"))
+    return choice.join(fresh, ["method", "ef"], "left").select("method", "ef", "recall", "n_dist")
+
+
 def speed_ratio(at: DataFrame, base: str) -> DataFrame:
     """(method, ratio): how many times the cost of ``base`` each method needs at the same recall."""
     one = at.where(F.col("method") == base).select(F.col("cost").alias("base_cost"))

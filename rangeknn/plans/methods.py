@@ -312,8 +312,9 @@ def experiment_two_attributes_approx(spark: SparkSession, sf_dir: str) -> DataFr
     return out
 
 
-def experiment_scaling(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Object tables of different sizes under mixed intervals: recall and distances, edges a node."""
+@registered(None)
+def experiment_scaling_approx(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Object tables of different sizes, up to all line items, under mixed intervals: recall and distances, edges a node."""
     out = None
     for name in ("E", "T", "D", "V"):
         s = Setup(spark, sf_dir, name, None)

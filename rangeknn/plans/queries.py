@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from rangeknn.functions import vectors
 from rangeknn.operators import baselines, exact, index, kernels, metrics
 from rangeknn.operators.index import graph_kernel, materialise, scan_kernel
-from rangeknn.plans import methods, surface  # noqa: F401  methods adds its queries to those of surface
+from rangeknn.plans import around, methods, surface  # noqa: F401  methods and around add their queries to those of surface
 from rangeknn.plans.workload import E_SQL, LARGE_EF, SMALL, Setup, index_sql, intervals_sql, scan_graph_sql, shown
 from rangeknn.sources.catalog import TABLES, intervals, objects, table
 from rangeknn.streaming import stream

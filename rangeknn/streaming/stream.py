@@ -2,10 +2,18 @@
 
 from __future__ import annotations
 
+import posixpath
+import uuid
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rangeknn.operators.index import Kernel, materialise, scan_kernel, search
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+from pyspark.sql.types import LongType, StructField, StructType
+
+from rangeknn.operators.index import Kernel, checkpoint_root, materialise, scan_kernel, search
 
 
 def search_stream(queries_stream: DataFrame, packed: DataFrame, sink_path: str, checkpoint: str, kernel: Kernel = scan_kernel):
@@ -26,4 +34,53 @@ def tumbling_counts(events: DataFrame, width: str = "1 day", watermark: str = "2
     return timed.groupBy(F.window("at", width).alias("w"), "event_type").agg(F.count("*").alias("n")).select(F.col("w.start").alias("window_start"), "event_type", "n")
 
 
-__all__ = ["materialise", "search_stream", "tumbling_counts"]
+def fresh(events: DataFrame, key: str = "event_id", watermark: str = "2 hours") -> DataFrame:
+    """The first row of each key; repeats that come within the watermark go, state older than it is freed."""
+    return events.withColumn("at", F.col("ts").cast("timestamp")).withWatermark("at", watermark).dropDuplicatesWithinWatermark([key])
+
+
+def followed_by(left: DataFrame, right: DataFrame, key: str, within: str = "10 minutes", watermark: str = "2 hours") -> DataFrame:
+    """(key, left_id, right_id): events of two streams with the right one at most ``within`` after the left one."""
+    side = lambda df, p: df.select(F.col(key).alias(f"{p}_key"), F.col("event_id").alias(f"{p}_id"), F.col("ts").cast("timestamp").alias(f"{p}_at")).withWatermark(f"{p}_at", watermark)
+    near = F.expr(f"left_key = right_key and right_at > left_at and right_at <= left_at + interval {within}")
+    return side(left, "left").join(side(right, "right"), near).select(F.col("left_key").alias(key), "left_id", "right_id")
+
+
+def recent(events: DataFrame, keep: int = 5, ttl_ms: int = 86_400_000, watermark: str = "2 hours") -> DataFrame:
+    """(user_id, ids, n_seen) after each batch: the ids of a user's last ``keep`` events, newest first.
+
+    State is bounded by ``keep`` for each user and is freed when the watermark passes the user's last
+    event by ``ttl_ms``. Users, times and ids that are null are left out.
+    """
+
+    def update(user: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            state.remove()
+            return
+        at, ids, seen = state.get if state.exists else ([], [], 0)
+        held = list(zip(at, ids, strict=True))
+        for part in parts:
+            seen += len(part)
+            held = sorted([*held, *zip(part["us"].tolist(), part["event_id"].tolist(), strict=True)], reverse=True)[:keep]
+        state.update(([a for a, _ in held], [i for _, i in held], seen))
+        state.setTimeoutTimestamp(max(held[0][0] // 1_000, state.getCurrentWatermarkMs()) + ttl_ms)
+        yield pd.DataFrame({"user_id": [user[0]], "ids": [[i for _, i in held]], "n_seen": [seen]})
+
+    timed = events.where("user_id is not null and ts is not null and event_id is not null").withColumn("at", F.col("ts").cast("timestamp")).withWatermark("at", watermark)
+    rows = timed.select("user_id", "event_id", "at", F.unix_micros("at").alias("us"))
+    return rows.groupBy("user_id").applyInPandasWithState(update, "user_id bigint, ids array<bigint>, n_seen bigint", "at array<bigint>, ids array<bigint>, seen bigint", "update", GroupStateTimeout.EventTimeTimeout)
+
+
+def drained(streaming: DataFrame, mode: str) -> DataFrame:
+    """Runs a stream over what is there now; its rows, with the number of their batch."""
+    spark = streaming.sparkSession
+    root = posixpath.join(checkpoint_root(spark), "rangeknn", uuid.uuid4().hex)
+
+    def keep(batch: DataFrame, n: int) -> None:
+        batch.withColumn("batch", F.lit(n).cast("bigint")).write.mode("overwrite").parquet(f"{root}/rows/part={n}")
+
+    streaming.writeStream.outputMode(mode).option("checkpointLocation", f"{root}/state").foreachBatch(keep).trigger(availableNow=True).start().awaitTermination()
+    schema = StructType([*streaming.schema.fields, StructField("batch", LongType())])
+    return spark.read.schema(schema).parquet(f"{root}/rows").select(*schema.names)
+
+__all__ = ["drained", "followed_by", "fresh", "materialise", "recent", "search_stream", "tumbling_counts"]
