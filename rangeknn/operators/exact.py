@@ -14,13 +14,18 @@ from . import kernels
 MAX_OBJECTS = 5_000
 
 
-def _by_source(ranked: DataFrame, kept, schema: str = "src bigint, dst bigint") -> DataFrame:
-    """edges (src, dst) as ranks: kept(position, all vectors) for each source, vectors broadcast."""
+def _shared_vectors(ranked: DataFrame):
+    """Ranks in ascending order, and the vectors in that order as a broadcast."""
     if ranked.count() > MAX_OBJECTS:
         raise ValueError(f"exact graphs are limited to {MAX_OBJECTS} objects; build the index instead")
     rows = ranked.select("rank", "vec").orderBy("rank").collect()
-    base = rows[0]["rank"] if rows else 1
-    shared = ranked.sparkSession.sparkContext.broadcast(np.array([r["vec"] for r in rows], dtype=float))
+    return np.array([r["rank"] for r in rows], np.int64), ranked.sparkSession.sparkContext.broadcast(np.array([r["vec"] for r in rows], dtype=float))
+
+
+def _by_source(ranked: DataFrame, kept, schema: str = "src bigint, dst bigint") -> DataFrame:
+    """edges (src, dst) as ranks: kept(position, all vectors) for each source, vectors broadcast."""
+    ranks, shared = _shared_vectors(ranked)
+    base = int(ranks[0]) if len(ranks) else 1
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         x = shared.value
@@ -111,17 +116,35 @@ def knn_join(objs: DataFrame, queries: DataFrame, k: int, max_queries: int = 10_
     return met.select("qid", "id", l2_sq(F.col("vec"), F.col("qvec")).alias("d2")).withColumn("rn", F.row_number().over(best)).where(F.col("rn") <= k).select("qid", "rn", "id", "d2")
 
 
+def stuck(x: int, out: np.ndarray, vecs: np.ndarray) -> np.ndarray:
+    """Targets that x can neither reach directly nor approach by one of its neighbours ``out``."""
+    own = kernels.d2(vecs[x], vecs)
+    left = np.setdiff1d(np.arange(len(vecs)), np.append(out, x))
+    for z in out:
+        if not len(left):
+            break
+        left = left[kernels.d2(vecs[z], vecs[left]) >= own[left]]
+    return left
+
+
 def monotone_violations(edges: DataFrame, ranked: DataFrame) -> DataFrame:
-    """Ordered pairs (x, y) of which x has no neighbour nearer to y than x is."""
-    from rangeknn.functions.vectors import l2_sq
+    """Ordered pairs (x, y) of which x has no neighbour nearer to y than x is.
 
-    v = ranked.select("rank", "vec")
-    pair = v.select(F.col("rank").alias("x"), F.col("vec").alias("vx")).join(v.select(F.col("rank").alias("y"), F.col("vec").alias("vy")), F.col("x") != F.col("y"))
-    dist = pair.select("x", "y", l2_sq(F.col("vx"), F.col("vy")).alias("d"))
-    step = edges.select(F.col("src").alias("x"), F.col("dst").alias("z")).join(dist.select(F.col("x").alias("z"), "y", F.col("d").alias("dz")), "z")
-    direct = edges.select(F.col("src").alias("x"), F.col("dst").alias("y"))
-    good = step.join(dist, ["x", "y"]).where("dz < d").select("x", "y").union(direct)
-    return dist.join(good, ["x", "y"], "left_anti").select("x", "y")
+    All pairs are looked at, source by source with the vectors broadcast; only violations are emitted.
+    """
+    ranks, shared = _shared_vectors(ranked)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            xs, ys = [], []
+            for r, out in zip(batch.column("rank").to_pylist(), batch.column("out").to_pylist(), strict=True):
+                found = ranks[stuck(int(np.searchsorted(ranks, r)), np.searchsorted(ranks, np.array(out or [], np.int64)), shared.value)]
+                xs += [r] * len(found)
+                ys += found.tolist()
+            yield pa.RecordBatch.from_arrays([pa.array(xs, pa.int64()), pa.array(ys, pa.int64())], names=["x", "y"])
+
+    out = edges.groupBy(F.col("src").alias("rank")).agg(F.collect_list("dst").alias("out"))
+    return ranked.select("rank").join(out, "rank", "left").repartition(8).mapInArrow(run, "x bigint, y bigint")
 
 
 def reach(edges: list[tuple[int, int]], start: int, lo: int, hi: int) -> int:

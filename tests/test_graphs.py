@@ -121,3 +121,27 @@ def test_descent_recall():
     x = points(600, 8)
     exact_ids, approx = kernels.knn_exact(x, 10), kernels.knn_descent(x, 10)
     assert np.mean([len(set(a) & set(b)) / 10 for a, b in zip(exact_ids, approx, strict=True)]) > 0.9
+
+
+def test_monotone_violations_are_those_of_brute_force(spark):
+    x = points(120)
+    ranked = spark.createDataFrame([(i + 1, x[i].tolist()) for i in range(120)], "rank bigint, vec array<double>")
+    whole = exact.between_graph(ranked)
+    assert exact.monotone_violations(whole, ranked).count() == 0
+    edges = whole.where("pmod(xxhash64(src, dst), 3) <> 0 and src <> 7")
+    out = {i: set() for i in range(120)}
+    for r in edges.collect():
+        out[r["src"] - 1].add(r["dst"] - 1)
+    d = np.array([kernels.d2(v, x) for v in x])
+    want = {(a + 1, b + 1) for a in range(120) for b in range(120) if a != b and b not in out[a] and not any(d[z, b] < d[a, b] for z in out[a])}
+    got = [tuple(r) for r in exact.monotone_violations(edges, ranked).collect()]
+    assert len(got) == len(want) and set(got) == want and {b for a, b in want if a == 7} == set(range(1, 121)) - {7}
+
+
+def test_monotone_query_looks_at_every_rank(spark, monkeypatch):
+    from rangeknn.plans import queries
+
+    whole = exact.between_graph
+    monkeypatch.setattr(queries.exact, "between_graph", lambda ranked: whole(ranked).where("src <> 130"))
+    n = queries.Setup(spark, "/root/testdata/sf0.001").ranked.count()
+    assert n > 130 and queries.violations(spark, "/root/testdata/sf0.001").head()["n"] == n - 1
