@@ -5,7 +5,8 @@ one class. Size bounds leave out what cannot link: of a set of n shingles a part
 most n - ceil(t n), so a set with more shingles of its own than that has no partner, and
 any partner shares one of the first n - ceil(t n) + 1 shingles in an order that all sets
 have in common, rarest first. Sets that meet there form clusters; each cluster, in blocks
-of bounded size, is multiplied with overlap counts accumulated shingle by shingle.
+of bounded size, is multiplied with overlap counts accumulated shingle by shingle. All links
+are found; they leave a task as one number for each set, not as pairs.
 
 Own and rare shingles are told by counting those of the lowest part of the hash range over
 all documents, which is enough to order the prefixes.
@@ -21,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .blocks import runs
+from .blocks import Forest, runs
 from .graph import components
 from .shingles import WordHasher, grams
 from .storage import materialise, release
@@ -31,6 +32,8 @@ PERCENT = 80
 #: Share of the hash range whose shingles are counted: the prefixes take a fifth, and some more.
 COUNTED = 0.25
 BLOCK_SHINGLES = 2_000_000
+#: Overlaps of a block of rows, and steps of their sum, that a task holds at once.
+CELLS = 2_000_000
 
 
 def shingle_set(hasher: WordHasher, text: str | None, k: int) -> np.ndarray:
@@ -43,6 +46,11 @@ def prefix_size(n: int, percent: int) -> int:
     return n - -(-percent * n // 100) + 1
 
 
+def digest(blob: bytes) -> tuple[int, int]:
+    d = xxhash.xxh3_128_digest(blob)
+    return int.from_bytes(d[:8], "little", signed=True), int.from_bytes(d[8:], "little", signed=True)
+
+
 def _signatures(batches: Iterator[pa.RecordBatch], k: int, cut: int, percent: int) -> Iterator[pa.RecordBatch]:
     """(id, text) -> size and digest of the set, its shingles below the cut, and more of them if
     the prefix needs them."""
@@ -53,11 +61,11 @@ def _signatures(batches: Iterator[pa.RecordBatch], k: int, cut: int, percent: in
             n, low, d1, d2, parts = [], [], [], [], []
             for text in texts[at : at + 1_000]:
                 s = shingle_set(hasher, text, k)
-                digest = xxhash.xxh3_128_digest(s.tobytes())
+                one, two = digest(s.tobytes())
                 n.append(len(s))
                 low.append(int(np.searchsorted(s, cut)))
-                d1.append(int.from_bytes(digest[:8], "little", signed=True))
-                d2.append(int.from_bytes(digest[8:], "little", signed=True))
+                d1.append(one)
+                d2.append(two)
                 parts.append(s[: max(low[-1], min(len(s), prefix_size(len(s), percent)))])
             offsets = pa.array(np.r_[0, np.cumsum([len(x) for x in parts])].astype(np.int32))
             lists = pa.ListArray.from_arrays(offsets, pa.array(np.concatenate(parts)))
@@ -65,85 +73,127 @@ def _signatures(batches: Iterator[pa.RecordBatch], k: int, cut: int, percent: in
 
 
 def _sets(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[pa.RecordBatch]:
+    """Sets of the rows of classes' ids; a row that is not the class's own text (repeated id) weighs nothing."""
     hasher = WordHasher()
     for batch in batches:
         texts = batch.column("text").to_pylist()
         for at in range(0, len(texts), 1_000):
             part = batch.slice(at, 1_000)
             sets = [shingle_set(hasher, t, k).tobytes() for t in texts[at : at + 1_000]]
-            yield pa.RecordBatch.from_arrays([part.column("id"), part.column("tasks"), pa.array(sets, pa.binary())], names=["id", "tasks", "shingles"])
+            own = zip(sets, *(part.column(c).to_pylist() for c in ("d1", "d2", "m")), strict=True)
+            weight = [m if digest(s) == (d1, d2) else 0 for s, d1, d2, m in own]
+            yield pa.RecordBatch.from_arrays([*(part.column(c) for c in ("id", "block", "tasks", "d1", "d2")), pa.array(weight, pa.int64()), pa.array(sets, pa.binary())], names=["id", "block", "tasks", "d1", "d2", "weight", "shingles"])
 
 
-def linked(sets: list[np.ndarray], percent: int) -> np.ndarray:
-    """For each set the first one (by place) of its component, by products row by row.
+def overlaps(sets: list[np.ndarray]) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray]]:
+    """(first, last, a, b, shared shingles) for blocks of rows first..last-1: a, counted from first,
+    and b cover all pairs of sets with a shingle in common, both ways.
 
-    Rows already reached leave the matrix: a row is multiplied with the unreached ones only,
-    so a large group of near copies costs about one product, not one for each pair.
+    Columns of many rows are multiplied as a dense matrix, the others go by their postings.
     """
     n = len(sets)
     size = np.array([len(s) for s in sets], np.int64)
-    flat = np.concatenate(sets) if n else np.zeros(0, np.int64)
-    _, column = np.unique(flat, return_inverse=True)
+    _, column, often = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
     row = np.repeat(np.arange(n), size)
-    start = np.r_[0, np.cumsum(size)]
-    root = np.full(n, -1, np.int64)
-
-    def postings(alive: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        keep = alive[row]
-        r, c = row[keep], column[keep]
-        order = np.argsort(c, kind="stable")
-        return r[order], np.searchsorted(c[order], np.arange(column.max() + 2))
-
-    unreached = size > 0
-    root[~unreached] = np.flatnonzero(~unreached)
-    if not unreached.any():
-        return root
-    docs, at = postings(unreached)
-    left = built = int(unreached.sum())
-    for first in range(n):
-        if not unreached[first]:
-            continue
-        unreached[first], root[first] = False, first
-        left -= 1
-        stack = [first]
-        while stack and left:
-            a = stack.pop()
-            cols = column[start[a] : start[a + 1]]
-            lo, width = at[cols], at[cols + 1] - at[cols]
-            total = int(width.sum())
-            if not total:
-                continue
-            take = np.repeat(lo - np.r_[0, np.cumsum(width)[:-1]], width) + np.arange(total)
-            met, overlap = np.unique(docs[take], return_counts=True)
-            hit = met[(100 * overlap >= percent * (size[a] + size[met] - overlap)) & unreached[met]]
-            unreached[hit] = False
-            root[hit] = first
-            left -= len(hit)
-            stack += hit.tolist()
-            if left < built // 2:
-                docs, at = postings(unreached)
-                built = max(left, 1)
-    return root
+    wide = (often > 1) & (8 * often > n)
+    name = np.cumsum(wide) - 1
+    dense = np.zeros((n, int(wide.sum())), bool)
+    keep = wide[column]
+    dense[row[keep], name[column[keep]]] = True
+    keep = ~keep & (often[column] > 1)
+    row, column = row[keep], column[keep]
+    docs = row[np.argsort(column, kind="stable")]
+    at = np.r_[0, np.cumsum(np.bincount(column, minlength=len(often)))]
+    width = at[column + 1] - at[column]
+    steps = np.r_[0, np.cumsum(width)]
+    height, slab = max(1, CELLS // n), max(128, CELLS // n)
+    for first in range(0, n, height):
+        last = min(n, first + height)
+        e, end = np.searchsorted(row, [first, last]).tolist()
+        sparse = not dense.shape[1] and steps[end] - steps[e] < (last - first) * n // 8
+        over = None if sparse else np.zeros((last - first, n), np.float32)
+        for c in range(0, dense.shape[1], slab):
+            part = dense[:, c : c + slab].astype(np.float32)
+            over += part[first:last] @ part.T
+        pairs, count = np.zeros(0, np.int64), np.zeros(0, np.int64)
+        while e < end:
+            to = end if sparse else min(end, max(e + 1, int(np.searchsorted(steps, steps[e] + CELLS, "right")) - 1))
+            w = width[e:to]
+            take = np.repeat(at[column[e:to]] - (steps[e:to] - steps[e]), w) + np.arange(steps[to] - steps[e])
+            key = np.repeat(row[e:to] - first, w) * n + docs[take]
+            if sparse:
+                pairs, count = np.unique(key, return_counts=True)
+            else:
+                over += np.bincount(key, minlength=over.size).reshape(over.shape)
+            e = to
+        if not sparse:
+            pairs = np.flatnonzero(over)
+            count = over.ravel()[pairs].astype(np.int64)
+        a, b = pairs // n, pairs % n
+        other = a + first != b
+        yield first, last, a[other], b[other], count[other]
+
+
+def linked(sets: list[np.ndarray], percent: int, weight: np.ndarray, block: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """For each set the first one (by place) of its component, and the weights of all it links with.
+
+    With blocks given, only links between different blocks count; components take all.
+    """
+    n = len(sets)
+    size = np.array([len(s) for s in sets], np.int64)
+    root, links, forest, tried = np.arange(n), np.zeros(n, np.int64), Forest(n), 0
+    if not size.sum():
+        return root, links
+    for first, last, a, b, shared in overlaps(sets):
+        hit = (100 + percent) * shared >= percent * (size[first + a] + size[b])
+        a, b = a[hit], b[hit]
+        counted = weight[b] if block is None else np.where(block[first + a] != block[b], weight[b], 0)
+        links[first:last] = np.bincount(a, counted, minlength=last - first)
+        ends = np.searchsorted(a, np.arange(last - first + 1)).tolist()
+        for i in range(first, last):
+            far = root[b[ends[i - first] : ends[i - first + 1]]]
+            far = far[far != root[i]]
+            if len(far):
+                far = np.unique(far).tolist()
+                for j in far:
+                    forest.join(i, j)
+                tried += len(far)
+            if tried > max(16, n // 64):  # what is one component by now needs no second look
+                root[:], tried = [forest.root(j) for j in range(n)], 0
+    root[:] = [forest.root(j) for j in range(n)]
+    return root, links
 
 
 def _link(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
+    """Of each set with a link: the first one of its component, and the texts it links with. Links inside a block
+    count in the block's own task only, as its sets also meet in the tasks of all pairs with another block."""
     for _, t in runs(batches, "task"):
         ids = t["id"].to_numpy()
         order = np.argsort(ids, kind="stable")
         blobs = t["shingles"].to_pylist()
-        root = linked([np.frombuffer(blobs[i], np.int64) for i in order], percent)
-        ids = ids[order]
-        apart = np.flatnonzero(root != np.arange(len(ids)))
-        yield pa.RecordBatch.from_arrays([pa.array(ids[apart]), pa.array(ids[root[apart]])], names=["a", "b"])
+        ids, d1, d2, weight, block = (t[c].to_numpy()[order] for c in ("id", "d1", "d2", "weight", "block"))
+        if (ids[1:] == ids[:-1]).any():  # one row stands for a class, also under a repeated id
+            weight, seen = weight.copy(), set()
+            for i in np.flatnonzero(weight).tolist():
+                if (d1[i], d2[i]) in seen:
+                    weight[i] = 0
+                seen.add((d1[i], d2[i]))
+        sets = [np.frombuffer(blobs[i], np.int64) for i in order]
+        root, links = linked(sets, percent, weight, None if t["inner"][0].as_py() else block)
+        links[weight == 0] = 0
+        met = np.flatnonzero((root != np.arange(len(ids))) | (links > 0))
+        n = np.array([len(sets[i]) for i in met], np.int64)
+        yield pa.RecordBatch.from_arrays([pa.array(x) for x in (ids[met], ids[root[met]], n, d1[met], d2[met], links[met])], names=["a", "b", "n", "d1", "d2", "links"])
 
 
 def jaccard_components(docs: DataFrame, percent: int = PERCENT, k: int = K, id_col: str = "doc_id", text_col: str = "text", block_shingles: int = BLOCK_SHINGLES) -> DataFrame:
-    """One row per row of docs: id, n_shingles, class_id, component_id.
+    """One row per row of docs: id, n_shingles, class_id, component_id, n_links.
 
     Words are the runs between ASCII white space, A-Z lower-cased; sets link when 100 *
     intersection >= percent * union. A text of fewer than k words is one shingle; null texts and those without
     words have none and link with nothing. class_id is the smallest id with an equal set,
-    component_id the smallest id reachable by links. ids are integers; rows that share one count as
+    component_id the smallest id reachable by links, n_links the number of other rows with an id that
+    the row links with, equal sets included. ids are integers; rows that share one count as
     one document with several texts, and a null id links with nothing. An empty table gives no
     rows; other columns are ignored.
     """
@@ -155,7 +205,7 @@ def jaccard_components(docs: DataFrame, percent: int = PERCENT, k: int = K, id_c
     rows = docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).alias("text"))
     # these tables grow with the corpus: merge joins, never a broadcast
     signed = materialise(rows.mapInArrow(lambda b: _signatures(b, k, cut, percent), "id bigint, n bigint, low bigint, d1 bigint, d2 bigint, x array<bigint>"), "signatures")
-    classes = materialise(signed.where("n > 0 and id is not null").groupBy("n", "low", "d1", "d2").agg(F.min("id").alias("class_id")), "classes")
+    classes = materialise(signed.where("n > 0 and id is not null").groupBy("n", "low", "d1", "d2").agg(F.min("id").alias("class_id"), F.count("*").alias("m")), "classes")
     release(spark)
 
     named = rows.where("id is not null")
@@ -172,20 +222,24 @@ def jaccard_components(docs: DataFrame, percent: int = PERCENT, k: int = K, id_c
     firsts = prefix.groupBy("x").agg(F.min("id").alias("first"), F.count("*").alias("m")).where("m > 1").select("x", "first")
     meets = prefix.join(firsts, "x").where("id <> first").select(F.col("id").alias("a"), F.col("first").alias("b")).distinct()
     clusters = components(meets).withColumnRenamed("component_id", "cluster")
-    clusters = materialise(clusters.join(classes.select(F.col("class_id").alias("id"), "n"), "id"), "clusters")
+    clusters = materialise(clusters.join(classes.select(F.col("class_id").alias("id"), "n", "d1", "d2", "m"), "id"), "clusters")
     release(spark)
 
     sizes = clusters.groupBy("cluster").agg(F.greatest(F.lit(1), F.ceil(F.sum("n") / block_shingles)).alias("blocks"))
     block = F.pmod(F.xxhash64("id"), F.col("blocks"))
     every = F.sequence(F.lit(0).cast("bigint"), F.col("blocks") - 1)
-    tasks = F.transform(every, lambda j: F.xxhash64("cluster", F.least(j, F.col("block")), F.greatest(j, F.col("block"))))
-    placed = clusters.join(sizes, "cluster").withColumn("block", block).select("id", tasks.alias("tasks"))
-    sets = named.join(placed.hint("merge"), "id").select("id", "text", "tasks").mapInArrow(lambda b: _sets(b, k), "id bigint, tasks array<bigint>, shingles binary")
-    work = sets.select("id", F.explode("tasks").alias("task"), "shingles").repartition("task").sortWithinPartitions("task")
-    links = materialise(work.mapInArrow(lambda b: _link(b, percent), "a bigint, b bigint"), "links")
+    tasks = F.transform(every, lambda j: F.struct(F.xxhash64("cluster", F.least(j, F.col("block")), F.greatest(j, F.col("block"))).alias("task"), (j == F.col("block")).alias("inner")))
+    placed = clusters.join(sizes, "cluster").withColumn("block", block).select("id", "block", tasks.alias("tasks"), "d1", "d2", "m")
+    kinds = "id bigint, block bigint, tasks array<struct<task:bigint,inner:boolean>>, d1 bigint, d2 bigint, weight bigint, shingles binary"
+    sets = named.join(placed.hint("merge"), "id").select("id", "text", "block", "tasks", "d1", "d2", "m").mapInArrow(lambda b: _sets(b, k), kinds)
+    work = sets.withColumn("at", F.explode("tasks")).select("id", "block", "at.task", "at.inner", "d1", "d2", "weight", "shingles").repartition("task").sortWithinPartitions("task")
+    links = materialise(work.mapInArrow(lambda b: _link(b, percent), "a bigint, b bigint, n bigint, d1 bigint, d2 bigint, links bigint"), "links")
     release(spark)
 
-    found = components(links)
-    per_class = classes.join(found.withColumnRenamed("id", "class_id"), "class_id", "left").select("n", "d1", "d2", "class_id", F.coalesce("component_id", "class_id").alias("component_id"))
+    found = components(links.where("a <> b"))
+    met = links.where("links > 0").groupBy("n", "d1", "d2").agg(F.sum("links").alias("links"))
+    per_class = classes.join(found.withColumnRenamed("id", "class_id"), "class_id", "left").join(met, ["n", "d1", "d2"], "left")
+    per_class = per_class.select("n", "d1", "d2", "class_id", F.coalesce("component_id", "class_id").alias("component_id"), (F.coalesce("links", F.lit(0)) + F.col("m") - 1).alias("n_links"))
+    per_class = materialise(per_class, "per_class")
     out = signed.drop("x").join(per_class.hint("merge"), ["n", "d1", "d2"], "left")
-    return out.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("class_id", "id").alias("class_id"), F.coalesce("component_id", "id").alias("component_id"))
+    return out.select(F.col("id").alias(id_col), F.col("n").alias("n_shingles"), F.coalesce("class_id", "id").alias("class_id"), F.coalesce("component_id", "id").alias("component_id"), F.when(F.col("id").isNotNull(), F.coalesce("n_links", F.lit(0))).otherwise(0).cast("bigint").alias("n_links"))

@@ -86,10 +86,16 @@ def op9(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring.remove_repeats(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
-def op10(spark: SparkSession, sf_dir: str) -> DataFrame:
+def op10_links(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The join with all its columns, the number of links included."""
     return jaccard.jaccard_components(table(spark, sf_dir, "documents"))
 
 
+def op10(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The columns of its SQL, which has no number of links."""
+    return op10_links(spark, sf_dir).drop("n_links")
+
+
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     import corpus_pipeline
 
@@ -107,6 +113,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op8_pii_pseudonyms": op8,
     "op9_substring_dedup": op9,
     "op10_ngram_jaccard": op10,
+    "op10_ngram_jaccard_links": op10_links,
     "pipeline": pipeline,
 }
 
@@ -160,3 +167,10 @@ cls AS (SELECT doc_id, min(doc_id) OVER (PARTITION BY g) AS class_id FROM sets)
 SELECT d.doc_id, coalesce(n, 0) AS n_shingles, coalesce(class_id, d.doc_id) AS class_id, least(d.doc_id, coalesce(low, d.doc_id)) AS component_id
 FROM documents d LEFT JOIN n USING (doc_id) LEFT JOIN comp ON comp.x = d.doc_id LEFT JOIN cls ON cls.doc_id = d.doc_id""",
 }
+
+ORACLES["op10_ngram_jaccard_links"] = (
+    ORACLES["op10_ngram_jaccard"]
+    .replace("comp AS (", "degree AS (SELECT x, count(*) AS n_links FROM link GROUP BY x),\ncomp AS (")
+    .replace(" AS component_id\n", " AS component_id, coalesce(n_links, 0) AS n_links\n")
+    + " LEFT JOIN degree ON degree.x = d.doc_id"
+)

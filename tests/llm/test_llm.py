@@ -288,6 +288,27 @@ def test_jaccard(spark, block):
     assert jaccard.jaccard_components(frame(spark, ["a b", "a b"], [None, 1])).count() == 2
 
 
+@pytest.mark.parametrize("block", [2_000_000, 150])
+def test_jaccard_counts_every_link(spark, block):
+    rng = random.Random(9)
+    base = [f"w{i}" for i in range(40)]
+    texts = [" ".join([*base, f"t{i}"]) for i in range(12)]  # all link with all
+    texts += [texts[0], texts[0], texts[3], *ODD]
+    for _ in range(15):
+        own = rng.choices([f"v{i}" for i in range(200)], k=rng.randint(6, 50))
+        texts += [" ".join([*own, *rng.choices("ab", k=rng.randint(0, 2))]) for _ in range(3)]
+    sets = []
+    for t in texts:
+        w = (t or "").lower().encode().split()
+        sets.append({tuple(w[i : i + 5]) for i in range(max(len(w) - 4, 1))} if w else set())
+    want = [sum(i != j and bool(a) and 100 * len(a & b) >= 80 * len(a | b) for j, b in enumerate(sets)) for i, a in enumerate(sets)]
+    assert want[:15] == [14] * 15
+    rows = {r["doc_id"]: r["n_links"] for r in jaccard.jaccard_components(frame(spark, texts), block_shingles=block).collect()}
+    assert [rows[i] for i in range(len(texts))] == want
+    few = jaccard.jaccard_components(frame(spark, ["a b", "A b", "a b", None], [None, 1, 2, None])).collect()
+    assert sorted((r["doc_id"] or 0, r["n_links"]) for r in few) == [(0, 0), (0, 0), (1, 1), (2, 1)]
+
+
 def test_components(spark):
     rng = random.Random(3)
     links = [(i, i + 1) for i in range(300)] + [(1000, 1000 + i) for i in range(1, 60)] + [(rng.randrange(400, 900), rng.randrange(400, 900)) for _ in range(200)] + [(2000, 2000)]
