@@ -14,9 +14,10 @@ COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents with a score below one half stay."""
+    """Documents with a score below one half stay; without a usable training label there is no model, and all stay."""
     workers_import(spark)
-    return toxicity.score(docs, toxicity_weights(spark, docs, sf_dir)).where("score < 0.5").select(*COLUMNS)
+    weights = toxicity_weights(spark, docs, sf_dir)
+    return (toxicity.score(docs, weights).where("score < 0.5") if weights else docs).select(*COLUMNS)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

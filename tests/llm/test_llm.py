@@ -344,3 +344,14 @@ def test_pipeline_on_a_small_corpus(spark, tmp_path):
     last = corpus_pipeline.run(spark, str(tmp_path))
     assert {r["doc_id"] for r in last.collect()} == set(kept[3])
     assert last.groupBy("sequence_id").agg(F.sum("length").alias("n")).where("n > 4096").count() == 0
+
+
+@pytest.mark.parametrize("labelled", [[], [(0, 1)], [(999, 1)], [(1, None)]])
+def test_pipeline_without_a_usable_label_keeps_every_document(spark, tmp_path, labelled):
+    import corpus_pipeline
+
+    assert zlib.crc32(b"0") % 5 and zlib.crc32(b"1") % 5
+    docs = spark.createDataFrame([(0, None, "en", "s", 0), (1, "clean text", "en", "s", 10), (2, "", None, "s", 0), (None, "x", "en", "s", 1)], "doc_id bigint, text string, lang string, source string, n_chars bigint")
+    spark.createDataFrame(labelled, "doc_id bigint, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
+    kept = corpus_pipeline.drop_toxic(spark, docs, str(tmp_path))
+    assert kept.columns == corpus_pipeline.COLUMNS and sorted(map(str, kept.collect())) == sorted(map(str, docs.collect()))
