@@ -213,7 +213,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "unfiltered_knn_saturated": saturated(1.0),
     "prefilter_scan": with_baseline(lambda s: baselines.pre_filter(s.packed(), s.queries)),
     "postfilter_overfetch": with_baseline(lambda s: baselines.post_filter(s.packed(), s.queries)),
-    "auto_placement": with_baseline(lambda s: baselines.auto(s.built(), s.queries, exact=True), None),
+    "auto_placement": with_baseline(lambda s: baselines.auto(s.built(), s.queries, ef=LARGE_EF), None),
     "ivf_probe_all": with_baseline(lambda s: baselines.ivf_search(s.packed(), s.queries, nprobe=LARGE_EF, rerank=LARGE_EF)),
     "infilter_spatial_approx": with_baseline(lambda s: baselines.in_filter(s.built(kernels.Params(16, 0, 32, prune="spatial")), s.queries)),
     "ivf_probe_approx": with_baseline(lambda s: baselines.ivf_search(s.packed(), s.queries)),

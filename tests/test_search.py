@@ -91,3 +91,21 @@ def test_segment_tree_stays_in_range():
     assert tree.n_edges() <= len(tree.levels) * 100 * 8
     for lv, a, b in baselines.covers(100, 10):
         assert 1 <= a <= b <= 100 and b - a + 1 <= -(-100 // 2**lv)
+
+
+def test_auto_placement_query_searches_in_range_and_afterwards(spark, monkeypatch, tmp_path):
+    from rangeknn.plans import queries
+
+    def marked(branch, kernel):
+        def run(*asked):
+            (tmp_path / branch).touch()
+            return kernel(*asked)
+
+        return run
+
+    graph, post = baselines.graph_kernel, baselines.post_kernel
+    monkeypatch.setattr(baselines, "graph_kernel", lambda *a, **b: marked("during", graph(*a, **b)))
+    monkeypatch.setattr(baselines, "post_kernel", lambda *a, **b: marked("after", post(*a, **b)))
+    found = {n: answers(queries.QUERIES[n](spark, "/root/testdata/sf0.001")) for n in ("auto_placement", "exact_knn_range_mixed")}
+    assert {p.name for p in tmp_path.iterdir()} >= {"during", "after"}
+    assert found["auto_placement"] == found["exact_knn_range_mixed"]
