@@ -64,9 +64,11 @@ def token_counts(docs: DataFrame, tokenizer_path: str, cache_path: str | None =
     ``cached`` tells that the count was stored before this call. Null and empty texts have 0
     tokens; repeated rows and ids give a row each; an empty table gives none; other columns
     are ignored, whatever their names. ``spaced`` is False for vocabularies that drop white
-    space. Without cache_path a new, empty cache is filled in the shared folder.
+    space. Without cache_path a new, empty cache is filled in the shared folder; a given one may hold
+    counts of other tokenizers and be filled by several jobs at once.
     """
     spark = docs.sparkSession
+    private = cache_path is None
     cache_path = cache_path or new_path(spark, "token_counts")
     version = tokenizer_version(tokenizer_path)
     text = F.coalesce(F.col(text_col), F.lit(""))
@@ -77,7 +79,8 @@ def token_counts(docs: DataFrame, tokenizer_path: str, cache_path: str | None =
     distinct = misses.select("digest", "text").dropDuplicates(["digest"])
     fresh = distinct.mapInArrow(lambda batches: count_batches(batches, tokenizer_path, spaced, version, limit), CACHE_SCHEMA)
     fresh.write.mode("append").parquet(cache_path)
-    counts = read_cache(spark, cache_path, version) if known else spark.read.schema(CACHE_SCHEMA).parquet(cache_path).select("digest", "n_tokens")
+    # nobody else writes to a folder made by this call, so its rows need no collapse
+    counts = spark.read.schema(CACHE_SCHEMA).parquet(cache_path).select("digest", "n_tokens") if private else read_cache(spark, cache_path, version)
     rows = keyed.select("id", "digest", F.octet_length("text").cast("bigint").alias("n_bytes")).join(counts, "digest")
     if known:
         rows = rows.join(before.select("digest", F.lit(True).alias("was")), "digest", "left")
