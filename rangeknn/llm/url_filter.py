@@ -48,17 +48,19 @@ def as_of_filter(captures: DataFrame, intervals: DataFrame, id_col: str, url_col
 
     The most specific active entry decides (a longer key is more specific); 'allow' beats
     'block' on one key. Captures without URL, host or time match nothing and are not blocked.
-    ids should be unique; rows that share one get the decision of all of them together. Other
-    columns are ignored. Only matches are aggregated; a host with very many captures is a
-    skewed equi-join, which the engine splits.
+    A decision depends on URL and time alone and is made once for each such pair, so null and
+    repeated ids change nothing: every row gets its own. Other columns are ignored. A host or
+    URL with very many captures is a skewed equi-join, which the engine splits.
     """
     rows = captures.select(F.col(id_col).alias("id"), F.col(url_col).alias("url"), F.col(time_col).alias("at"))
-    asked = rows.where("url is not null and at is not null").select("id", "at", F.explode(lookup_keys(F.col("url"))).alias("key"))
-    active = asked.join(intervals, "key").where("at >= since and (until is null or at < until)")
+    asked = rows.where("url is not null and at is not null").select("url", "at").distinct()
+    asked = asked.select("url", "at", F.explode(lookup_keys(F.col("url"))).alias("key"))
+    listed = intervals.select("key", "action", "since", "until")
+    active = asked.join(listed, "key").where("at >= since and (until is null or at < until)")
     # 'allow' sorts after 'block' here
     weight = F.struct(F.length("key").alias("n"), (F.col("action") == "allow").alias("a"), "key", "action")
-    best = active.groupBy("id").agg(F.max(weight).alias("best"), F.count("*").alias("n_active"))
-    joined = rows.join(best, "id", "left")
+    best = active.groupBy("url", "at").agg(F.max(weight).alias("best"), F.count("*").alias("n_active"))
+    joined = rows.join(best, ["url", "at"], "left")
     return joined.select(
         F.col("id").alias(id_col),
         F.coalesce(host_of(F.col("url")), F.lit("")).alias("host"),
