@@ -20,7 +20,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .shingles import WordHasher, grams
@@ -115,7 +115,7 @@ def _anchors(batches: Iterator[pa.RecordBatch], length: int, gram: int) -> Itera
             offsets = pa.array(np.r_[0, np.cumsum([len(x[0]) for x in found])].astype(np.int32))
             y, _, first, last = (np.concatenate(x) for x in zip(*found, strict=True))
             at = pa.StructArray.from_arrays([pa.array(y), pa.array(first.astype(np.int32)), pa.array((last - first).astype(np.int32))], names=["y", "first", "more"])
-            yield pa.RecordBatch.from_arrays([batch.column("id").slice(a, 2_000), pa.ListArray.from_arrays(offsets, at)], names=["id", "at"])
+            yield pa.RecordBatch.from_arrays([batch.column("id").slice(a, 2_000), batch.column("twin").slice(a, 2_000), pa.ListArray.from_arrays(offsets, at)], names=["id", "twin", "at"])
 
 
 def _signed(x: int) -> int:
@@ -123,8 +123,8 @@ def _signed(x: int) -> int:
 
 
 def _stretches(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordBatch]:
-    """(id, text, at) -> the distinct stretches of each document with the windows they start at."""
-    types = {"y": pa.int64(), "d": pa.int64(), "id": pa.int64(), "starts": pa.list_(pa.int32()), "windows": pa.int32(), "words": pa.binary()}
+    """(id, twin, text, at) -> the distinct stretches of each document with the windows they start at."""
+    types = {"y": pa.int64(), "d": pa.int64(), "id": pa.int64(), "twin": pa.int64(), "starts": pa.list_(pa.int32()), "windows": pa.int32(), "words": pa.binary()}
     digest = xxhash.xxh3_64_intdigest
     for whole in batches:
         for row in range(0, whole.num_rows, 500):
@@ -133,7 +133,7 @@ def _stretches(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.Re
             flat, edge = lists.flatten(), np.r_[0, np.cumsum(lists.value_lengths().to_numpy())].tolist()
             ys, firsts, mores, oftens = (flat.field(c).to_pylist() for c in ("y", "first", "more", "often"))
             out: list[tuple] = []
-            for i, text, a, b in zip(batch.column("id").to_pylist(), batch.column("text").to_pylist(), edge[:-1], edge[1:], strict=True):
+            for i, twin, text, a, b in zip(*(batch.column(c).to_pylist() for c in ("id", "twin", "text")), edge[:-1], edge[1:], strict=True):
                 words = text.encode().split()
                 own: dict[tuple[int, bytes], list[int]] = {}
                 for y, first, more, often in zip(ys[a:b], firsts[a:b], mores[a:b], oftens[a:b], strict=True):
@@ -146,7 +146,7 @@ def _stretches(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.Re
                 for (y, w), starts in own.items():
                     if len(starts) > 1:
                         starts.sort()
-                    out.append((y, _signed(digest(w, 1)), i, starts, w.count(b" ") + 2 - length, w))
+                    out.append((y, _signed(digest(w, 1)), i, twin, starts, w.count(b" ") + 2 - length, w))
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), types.values(), strict=True)], names=list(types))
 
@@ -159,17 +159,17 @@ def _combine(batches: Iterator[pa.RecordBatch], limit: int = 20_000) -> Iterator
     def flush() -> pa.RecordBatch:
         rows = [(*k, *v) for k, v in held.items()]
         held.clear()
-        types = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.binary())
-        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], names=["y", "d", "id", "start", "m", "words"])
+        types = (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.binary())
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], names=["y", "d", "id", "twin", "start", "m", "words"])
 
     for batch in batches:
-        for y, d, i, starts, words in zip(*(batch.column(c).to_pylist() for c in ("y", "d", "id", "starts", "words")), strict=True):
+        for y, d, i, twin, starts, words in zip(*(batch.column(c).to_pylist() for c in ("y", "d", "id", "twin", "starts", "words")), strict=True):
             if (own := held.get((y, d))) is None:
-                held[y, d] = [i, starts[0], len(starts), words]
+                held[y, d] = [i, twin, starts[0], len(starts), words]
             else:
-                own[2] += len(starts)
-                if i < own[0]:
-                    own[0], own[1] = i, starts[0]
+                own[3] += len(starts)
+                if (i, twin) < (own[0], own[1]):
+                    own[0], own[1], own[2] = i, twin, starts[0]
         if len(held) > limit:
             yield flush()
     if held:
@@ -188,18 +188,18 @@ def earlier_windows(stretches: list[list[bytes]], length: int) -> list[list[int]
 def _grow(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordBatch]:
     """Stretches sorted by representative -> first occurrence and repeated windows of each
     distinct one that occurs again or holds some."""
-    types = {"y": pa.int64(), "d": pa.int64(), "id": pa.int64(), "start": pa.int32(), "repeated": pa.list_(pa.int32())}
+    types = {"y": pa.int64(), "d": pa.int64(), "id": pa.int64(), "twin": pa.int64(), "start": pa.int32(), "repeated": pa.list_(pa.int32())}
     out: list[tuple] = []
 
     def settle(y: int, firsts: dict[int, list]) -> None:
         if len(firsts) == 1:
-            ((d, (i, start, m, _)),) = firsts.items()
+            ((d, (i, twin, start, m, _)),) = firsts.items()
             if m > 1:
-                out.append((y, d, i, start, ()))
+                out.append((y, d, i, twin, start, ()))
             return
-        ranked = sorted(firsts.items(), key=lambda x: x[1][:2])
-        windows = earlier_windows([x[3].split(b" ") for _, x in ranked], length)
-        out.extend((y, d, i, start, w) for (d, (i, start, m, _)), w in zip(ranked, windows, strict=True) if m > 1 or w)
+        ranked = sorted(firsts.items(), key=lambda x: x[1][:3])
+        windows = earlier_windows([x[4].split(b" ") for _, x in ranked], length)
+        out.extend((y, d, i, twin, start, w) for (d, (i, twin, start, m, _)), w in zip(ranked, windows, strict=True) if m > 1 or w)
 
     def table() -> pa.RecordBatch:
         made = pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), types.values(), strict=True)], names=list(types))
@@ -208,17 +208,17 @@ def _grow(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordB
 
     current, firsts = None, {}
     for batch in batches:
-        for y, d, i, start, m, words in zip(*(batch.column(c).to_pylist() for c in ("y", "d", "id", "start", "m", "words")), strict=True):
+        for y, d, i, twin, start, m, words in zip(*(batch.column(c).to_pylist() for c in ("y", "d", "id", "twin", "start", "m", "words")), strict=True):
             if y != current:
                 if firsts:
                     settle(current, firsts)
                 current, firsts = y, {}
             if (own := firsts.get(d)) is None:
-                firsts[d] = [i, start, m, words]
+                firsts[d] = [i, twin, start, m, words]
             else:
-                own[2] += m
-                if (i, start) < (own[0], own[1]):
-                    own[0], own[1] = i, start
+                own[3] += m
+                if (i, twin, start) < (own[0], own[1], own[2]):
+                    own[0], own[1], own[2] = i, twin, start
         if len(out) > 10_000:
             yield table()
     if firsts:
@@ -230,60 +230,72 @@ def _grow(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordB
 def _spans(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa.RecordBatch]:
     """Occurrences with their stretch's finding -> repeated spans of words [start, stop) by document."""
     for batch in batches:
-        ids, a, b = [], [], []
-        for i, starts, n, f_id, f_start, repeated in zip(*(batch.column(c).to_pylist() for c in ("id", "starts", "windows", "f_id", "f_start", "repeated")), strict=True):
+        ids, twins, a, b = [], [], [], []
+        for i, twin, starts, n, f_id, f_twin, f_start, repeated in zip(*(batch.column(c).to_pylist() for c in ("id", "twin", "starts", "windows", "f_id", "f_twin", "f_start", "repeated")), strict=True):
             for s in starts:
-                if i == f_id and s == f_start:
+                if i == f_id and twin == f_twin and s == f_start:
                     for w in repeated:
-                        if a and b[-1] == s + w + length - 1 and ids[-1] == i:
+                        if a and b[-1] == s + w + length - 1 and ids[-1] == i and twins[-1] == twin:
                             b[-1] += 1
                         else:
                             ids.append(i)
+                            twins.append(twin)
                             a.append(s + w)
                             b.append(s + w + length)
                 else:
                     ids.append(i)
+                    twins.append(twin)
                     a.append(s)
                     b.append(s + n + length - 1)
-        yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(a, pa.int32()), pa.array(b, pa.int32())], names=["id", "start", "stop"])
+        yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(twins, pa.int64()), pa.array(a, pa.int32()), pa.array(b, pa.int32())], names=["id", "twin", "start", "stop"])
 
 
-def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_col: str = "doc_id", text_col: str = "text", frequent: int = FREQUENT) -> DataFrame:
-    """(id, spans array<struct<start, stop>>): words covered by windows that also start earlier.
+def twin_of(docs: DataFrame, id_col: str, text_col: str) -> Column:
+    """Tells different texts under one id apart: 0 throughout if no id has two, else a hash of the text."""
+    h = F.xxhash64(F.col(f"`{text_col}`"))
+    keyed = docs.where(F.col(f"`{text_col}`").isNotNull()).select(F.col(f"`{id_col}`").cast("bigint").alias("id"), h.alias("h")).where("id is not null")
+    several = keyed.groupBy("id").agg(F.min("h").alias("a"), F.max("h").alias("b")).where("a <> b")
+    return h if several.head(1) else F.lit(0).cast("bigint")
+
+
+def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_col: str = "doc_id", text_col: str = "text", frequent: int = FREQUENT, twin: Column | None = None) -> DataFrame:
+    """(id, twin, spans array<struct<start, stop>>): words covered by windows that also start earlier.
 
     Earlier: in a document of smaller id, or in the same one further to the front. Documents
-    without such windows have no row. ids must be unique integers.
+    without such windows have no row. ids are integers. Different texts under one id are documents of
+    their own, told apart and ordered by twin; equal rows are one document.
     """
     spark = docs.sparkSession
-    rows = docs.where(F.col(text_col).isNotNull() & F.col(id_col).isNotNull()).select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).alias("text"))
-    listed = materialise(rows.mapInArrow(lambda b: _anchors(b, length, gram), "id bigint, at array<struct<y:bigint,first:int,more:int>>"), "representatives")
-    anchors = listed.select("id", F.explode("at").alias("at")).select("id", "at.*")
+    twin = twin_of(docs, id_col, text_col) if twin is None else twin
+    rows = docs.where(F.col(text_col).isNotNull() & F.col(id_col).isNotNull()).select(F.col(id_col).cast("bigint").alias("id"), twin.alias("twin"), F.col(text_col).alias("text"))
+    listed = materialise(rows.mapInArrow(lambda b: _anchors(b, length, gram), "id bigint, twin bigint, at array<struct<y:bigint,first:int,more:int>>"), "representatives")
+    anchors = listed.select("id", "twin", F.explode("at").alias("at")).select("id", "twin", "at.*")
     # these tables grow with the corpus: merge joins, never a broadcast
     # both sides and the result are written, so that nothing but the join needs a representative's
     # rows together and a very common one can be split over tasks
     again = materialise(anchors.groupBy("y").agg(F.count("*").alias("m")).where("m > 1"), "again")
     release(spark)
-    found = anchors.join(again.hint("merge"), "y").select("id", F.struct("y", "first", "more", (F.col("m") > frequent).alias("often")).alias("at"))
+    found = anchors.join(again.hint("merge"), "y").select("id", "twin", F.struct("y", "first", "more", (F.col("m") > frequent).alias("often")).alias("at"))
     found = materialise(found, "found")
     discard(listed)
     release(spark)
-    kept = materialise(found.groupBy("id").agg(F.collect_list("at").alias("at")), "anchors")
+    kept = materialise(found.groupBy("id", "twin").agg(F.collect_list("at").alias("at")), "anchors")
     discard(again)
     discard(found)
     release(spark)
 
-    schema = "y bigint, d bigint, id bigint, starts array<int>, windows int, words binary"
-    seen = materialise(rows.join(kept.hint("merge"), "id").select("id", "text", "at").mapInArrow(lambda b: _stretches(b, length), schema), "stretches")
+    schema = "y bigint, d bigint, id bigint, twin bigint, starts array<int>, windows int, words binary"
+    seen = materialise(rows.join(kept.hint("merge"), ["id", "twin"]).select("id", "twin", "text", "at").mapInArrow(lambda b: _stretches(b, length), schema), "stretches")
     release(spark)
 
-    combined = seen.select("y", "d", "id", "starts", "words").mapInArrow(_combine, "y bigint, d bigint, id bigint, start int, m bigint, words binary")
-    grown = combined.repartition("y").sortWithinPartitions("y").mapInArrow(lambda b: _grow(b, length), "y bigint, d bigint, id bigint, start int, repeated array<int>")
+    combined = seen.select("y", "d", "id", "twin", "starts", "words").mapInArrow(_combine, "y bigint, d bigint, id bigint, twin bigint, start int, m bigint, words binary")
+    grown = combined.repartition("y").sortWithinPartitions("y").mapInArrow(lambda b: _grow(b, length), "y bigint, d bigint, id bigint, twin bigint, start int, repeated array<int>")
     grown = materialise(grown, "grown")
     release(spark)
 
-    told = seen.select("y", "d", "id", "starts", "windows").join(grown.select("y", "d", F.col("id").alias("f_id"), F.col("start").alias("f_start"), "repeated").hint("merge"), ["y", "d"])
-    spans = told.mapInArrow(lambda b: _spans(b, length), "id bigint, start int, stop int")
-    return spans.groupBy("id").agg(F.collect_list(F.struct("start", "stop")).alias("spans"))
+    told = seen.select("y", "d", "id", "twin", "starts", "windows").join(grown.select("y", "d", F.col("id").alias("f_id"), F.col("twin").alias("f_twin"), F.col("start").alias("f_start"), "repeated").hint("merge"), ["y", "d"])
+    spans = told.mapInArrow(lambda b: _spans(b, length), "id bigint, twin bigint, start int, stop int")
+    return spans.groupBy("id", "twin").agg(F.collect_list(F.struct("start", "stop")).alias("spans"))
 
 
 def _removed(batches: Iterator[pa.RecordBatch], text_col: str, with_text: bool, made: list[str]) -> Iterator[pa.RecordBatch]:
@@ -303,7 +315,7 @@ def _removed(batches: Iterator[pa.RecordBatch], text_col: str, with_text: bool,
             sha.append(hashlib.sha256(joined).hexdigest())
             if with_text:
                 kept.append(text if text is None or not gone[-1] else joined.decode())
-        names = [c for c in batch.schema.names if c != "spans" and (with_text or c != text_col)]
+        names = [c for c in batch.schema.names if c not in ("spans", "twin") and (with_text or c != text_col)]
         columns = [pa.array(kept, pa.string()) if c == text_col else batch.column(c) for c in names]
         yield pa.RecordBatch.from_arrays([*columns, pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(sha, pa.string())], names=[*names, *made])
 
@@ -314,18 +326,22 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_c
     Words are the runs between ASCII white space. A word goes if a window of ``length`` words
     that covers it starts earlier as well (smaller id, or earlier in the same document). Null
     texts have no words and stay null; texts of which nothing goes stay as they are, of others
-    the kept words are joined by one space. Rows without an id stay as they are; ids should be
-    unique; an empty table gives no rows. Columns named like those made here are replaced.
+    the kept words are joined by one space. Rows without an id stay as they are. Different texts under one
+    id are documents of their own (the one with the smaller hash comes first); equal rows are one document
+    and get equal results. An empty table gives no rows. Columns named like those made here, ``spans`` or
+    ``twin`` are replaced or dropped.
     """
     if not 0 < gram <= length:
         raise ValueError("gram must lie between 1 and length")
-    spans = materialise(repeated_spans(docs, length, gram, id_col, text_col), "spans")
+    twin = twin_of(docs, id_col, text_col)
+    spans = materialise(repeated_spans(docs, length, gram, id_col, text_col, twin=twin), "spans")
     release(docs.sparkSession)
     made = ["n_words", "n_removed", "kept_sha256"]
-    kept = [f for f in docs.schema.fields if f.name not in (*made, "spans") and (with_text or f.name in (id_col, text_col))]
-    rows = docs.select(*(F.col(f"`{f.name}`") for f in kept))
+    kept = [f for f in docs.schema.fields if f.name not in (*made, "spans", "twin") and (with_text or f.name in (id_col, text_col))]
+    rows = docs.select(*(F.col(f"`{f.name}`") for f in kept), twin.alias("twin"))
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in kept if with_text or f.name != text_col), "n_words bigint, n_removed bigint, kept_sha256 string"])
-    joined = rows.join(spans.withColumnRenamed("id", "span_id").hint("merge"), F.col(f"`{id_col}`").cast("bigint") == F.col("span_id"), "left").drop("span_id")
+    found = spans.select(F.col("id").alias("span_id"), F.col("twin").alias("span_twin"), "spans").hint("merge")
+    joined = rows.join(found, (F.col(f"`{id_col}`").cast("bigint") == F.col("span_id")) & (F.col("twin") == F.col("span_twin")), "left").drop("span_id", "span_twin", "twin")
     return joined.mapInArrow(lambda b: _removed(b, text_col, with_text, made), schema)
 
 

@@ -40,6 +40,20 @@ def test_token_counts(spark, odd, tmp_path):
     assert token_counts.token_counts(odd.limit(0), path).count() == 0
 
 
+def test_one_cache_serves_several_tokenizers_and_repeated_fills(spark, odd, tmp_path):
+    cache = str(tmp_path / "shared")
+    for path in ("byte_bpe_50k.json", "word_bpe_49k.json", "byte_bpe_50k.json"):
+        library = Tokenizer.from_file(P.path(path))
+        want = [len(library.encode(t or "", add_special_tokens=False).ids) for t in ODD]
+        rows = token_counts.token_counts(odd, P.path(path), cache, spaced=path.startswith("byte")).collect()
+        assert [r["n_tokens"] for r in sorted(rows, key=lambda r: r["doc_id"])] == want
+    spark.read.parquet(cache).write.mode("append").parquet(cache + "_twice")
+    spark.read.parquet(cache).write.mode("append").parquet(cache + "_twice")
+    assert token_counts.token_counts(odd, P.path("byte_bpe_50k.json"), cache + "_twice").count() == len(ODD)
+    ids = frame(spark, ["a b", "a b", "c"], [1, 1, None])
+    assert sorted((r["doc_id"] or 0, r["n_tokens"]) for r in token_counts.token_counts(ids, P.path("byte_bpe_50k.json")).collect()) == [(0, 1), (1, 2), (1, 2)]
+
+
 def test_byte_bpe_is_the_library_and_decodes(odd):
     path = P.path("byte_bpe_50k.tiktoken")
     library = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=byte_bpe.read_ranks(path), special_tokens={})
@@ -93,6 +107,18 @@ def test_url_intervals_as_of(spark):
     assert url_filter.as_of_filter(spark.createDataFrame([], "page_id bigint, url string, fetched int"), iv, "page_id").count() == 0
 
 
+def test_url_decisions_belong_to_rows_not_ids(spark):
+    iv = spark.createDataFrame([("a.com", "block", 0, None), ("t.com", "block", 0, 5), ("t.com", "allow", 0, None), ("t.com", "block", 2, 9)], "key string, action string, since int, until int")
+    caps = [(None, "http://a.com/", 1), (1, "http://a.com/", 1), (1, "http://b.com/", 1), (1, "http://a.com/", 1), (2, "http://t.com/x", 3), (3, "http://a.com/", None)]
+    rows = [(*c, "key", "best", 7, 8) for c in caps]
+    df = spark.createDataFrame(rows, "id bigint, url string, at int, key string, best string, since int, n_active int")
+    got = url_filter.as_of_filter(df, iv, "id", time_col="at").collect()
+    seen = sorted((r["id"] or 0, r["host"], r["blocked"], r["n_active"]) for r in got)
+    assert seen == [(0, "a.com", True, 1), (1, "a.com", True, 1), (1, "a.com", True, 1), (1, "b.com", False, 0), (2, "t.com", False, 3), (3, "a.com", False, 0)]
+    assert [r["rule_action"] for r in got if r["id"] == 2] == ["allow"]
+    assert url_filter.as_of_filter(df, iv.limit(0), "id", time_col="at").where("blocked").count() == 0
+
+
 def brute_components(n, links):
     up = list(range(n))
 
@@ -234,7 +260,7 @@ def brute_repeats(texts, length):
 
 @pytest.mark.parametrize("frequent", [2_000, 2])
 def test_substrings(spark, frequent, monkeypatch):
-    monkeypatch.setattr(substring.repeated_spans, "__defaults__", (*substring.repeated_spans.__defaults__[:-1], frequent))
+    monkeypatch.setattr(substring.repeated_spans, "__defaults__", (*substring.repeated_spans.__defaults__[:-2], frequent, None))
     rng = random.Random(frequent)
     passages = [[f"p{i}_{j}" for j in range(rng.randint(15, 50))] for i in range(6)]
     texts = list(ODD)
@@ -255,6 +281,17 @@ def test_substrings(spark, frequent, monkeypatch):
     assert substring.remove_repeats(frame(spark, texts[:3], [None, 1, 2])).count() == 3
 
 
+def test_substrings_with_repeated_ids(spark):
+    passage = " ".join(f"q{i}" for i in range(30))
+    rows = [(1, passage), (2, "a b c"), (2, "x " * 40 + passage), (3, passage + " end"), (3, passage + " end"), (None, passage), (4, None), (4, "z")]
+    got = substring.remove_repeats(frame(spark, [t for _, t in rows], [i for i, _ in rows]), with_text=True).collect()
+    found = sorted((r["doc_id"] or 0, r["n_words"], r["n_removed"]) for r in got)
+    # of 40 equal words the windows after the first are repeats, and so is the passage
+    assert found == [(0, 30, 0), (1, 30, 0), (2, 3, 0), (2, 70, 39 + 30), (3, 31, 30), (3, 31, 30), (4, 0, 0), (4, 1, 0)]
+    assert {r["text"] for r in got if r["doc_id"] == 3} == {"end"}
+    assert substring.remove_repeats(frame(spark, [passage, passage], [5, 5])).where("n_removed > 0").count() == 0
+
+
 def test_reference_matching(spark):
     ref = [" ".join(f"r{i}" for i in range(60)), None]
     docs = frame(spark, ["x " + " ".join(f"r{i}" for i in range(10, 35)) + " y", " ".join(f"r{i}" for i in range(19)), None])
