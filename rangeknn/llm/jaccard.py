@@ -4,9 +4,9 @@ The incidence matrix (documents by shingles) is never multiplied as a whole. Equ
 one class. Size bounds leave out what cannot link: of a set of n shingles a partner lacks at
 most n - ceil(t n), so a set with more shingles of its own than that has no partner, and
 any partner shares one of the first n - ceil(t n) + 1 shingles in an order that all sets
-have in common, rarest first. Sets that meet there form clusters; each cluster, in blocks
-of bounded size, is multiplied with overlap counts accumulated shingle by shingle. All links
-are found; they leave a task as one number for each set, not as pairs.
+have in common, rarest first. Sets that meet there form clusters; each cluster, if large in blocks
+of bounded size of which only those with a shingle in common meet, is multiplied with overlap counts
+accumulated shingle by shingle. All links are found; they leave a task as one number for each set, not as pairs.
 
 Own and rare shingles are told by counting those of the lowest part of the hash range over
 all documents, which is enough to order the prefixes.
@@ -31,7 +31,9 @@ K = 5
 PERCENT = 80
 #: Share of the hash range whose shingles are counted: the prefixes take a fifth, and some more.
 COUNTED = 0.25
+#: Bounds of a block: its shingles, and its sets, so that the overlaps of two blocks are held at once.
 BLOCK_SHINGLES = 2_000_000
+BLOCK_SETS = 700
 #: Overlaps of a block of rows, and steps of their sum, that a task holds at once.
 CELLS = 2_000_000
 
@@ -85,13 +87,14 @@ def _sets(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[pa.RecordBatch]
             yield pa.RecordBatch.from_arrays([*(part.column(c) for c in ("id", "block", "tasks", "d1", "d2")), pa.array(weight, pa.int64()), pa.array(sets, pa.binary())], names=["id", "block", "tasks", "d1", "d2", "weight", "shingles"])
 
 
-def overlaps(sets: list[np.ndarray]) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray]]:
+def overlaps(sets: list[np.ndarray], split: int = 0) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray]]:
     """(first, last, a, b, shared shingles) for blocks of rows first..last-1: a, counted from first,
-    and b cover all pairs of sets with a shingle in common, both ways.
+    and b cover all pairs of sets with a shingle in common, both ways; with split, a is below it and b is not.
 
     Columns of many rows are multiplied as a dense matrix, the others go by their postings.
     """
-    n = len(sets)
+    n, top = len(sets), split or len(sets)
+    wide_by = n - split
     size = np.array([len(s) for s in sets], np.int64)
     _, column, often = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
     row = np.repeat(np.arange(n), size)
@@ -102,25 +105,27 @@ def overlaps(sets: list[np.ndarray]) -> Iterator[tuple[int, int, np.ndarray, np.
     dense[row[keep], name[column[keep]]] = True
     keep = ~keep & (often[column] > 1)
     row, column = row[keep], column[keep]
-    docs = row[np.argsort(column, kind="stable")]
-    at = np.r_[0, np.cumsum(np.bincount(column, minlength=len(often)))]
+    right = row >= split
+    docs = row[right][np.argsort(column[right], kind="stable")] - split
+    at = np.r_[0, np.cumsum(np.bincount(column[right], minlength=len(often)))]
+    row, column = row[row < top], column[row < top]
     width = at[column + 1] - at[column]
     steps = np.r_[0, np.cumsum(width)]
-    height, slab = max(1, CELLS // n), max(128, CELLS // n)
-    for first in range(0, n, height):
-        last = min(n, first + height)
+    height, slab = max(1, CELLS // wide_by), max(128, CELLS // n)
+    for first in range(0, top, height):
+        last = min(top, first + height)
         e, end = np.searchsorted(row, [first, last]).tolist()
-        sparse = not dense.shape[1] and steps[end] - steps[e] < (last - first) * n // 8
-        over = None if sparse else np.zeros((last - first, n), np.float32)
+        sparse = not dense.shape[1] and steps[end] - steps[e] < (last - first) * wide_by // 8
+        over = None if sparse else np.zeros((last - first, wide_by), np.float32)
         for c in range(0, dense.shape[1], slab):
             part = dense[:, c : c + slab].astype(np.float32)
-            over += part[first:last] @ part.T
+            over += part[first:last] @ part[split:].T
         pairs, count = np.zeros(0, np.int64), np.zeros(0, np.int64)
         while e < end:
             to = end if sparse else min(end, max(e + 1, int(np.searchsorted(steps, steps[e] + CELLS, "right")) - 1))
             w = width[e:to]
             take = np.repeat(at[column[e:to]] - (steps[e:to] - steps[e]), w) + np.arange(steps[to] - steps[e])
-            key = np.repeat(row[e:to] - first, w) * n + docs[take]
+            key = np.repeat(row[e:to] - first, w) * wide_by + docs[take]
             if sparse:
                 pairs, count = np.unique(key, return_counts=True)
             else:
@@ -129,26 +134,27 @@ def overlaps(sets: list[np.ndarray]) -> Iterator[tuple[int, int, np.ndarray, np.
         if not sparse:
             pairs = np.flatnonzero(over)
             count = over.ravel()[pairs].astype(np.int64)
-        a, b = pairs // n, pairs % n
+        a, b = pairs // wide_by, pairs % wide_by + split
         other = a + first != b
         yield first, last, a[other], b[other], count[other]
 
 
-def linked(sets: list[np.ndarray], percent: int, weight: np.ndarray, block: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+def linked(sets: list[np.ndarray], percent: int, weight: np.ndarray, split: int = 0) -> tuple[np.ndarray, np.ndarray]:
     """For each set the first one (by place) of its component, and the weights of all it links with.
 
-    With blocks given, only links between different blocks count; components take all.
+    With split, only links between the sets before that place and the others are looked at.
     """
     n = len(sets)
     size = np.array([len(s) for s in sets], np.int64)
     root, links, forest, tried = np.arange(n), np.zeros(n, np.int64), Forest(n), 0
     if not size.sum():
         return root, links
-    for first, last, a, b, shared in overlaps(sets):
+    for first, last, a, b, shared in overlaps(sets, split):
         hit = (100 + percent) * shared >= percent * (size[first + a] + size[b])
         a, b = a[hit], b[hit]
-        counted = weight[b] if block is None else np.where(block[first + a] != block[b], weight[b], 0)
-        links[first:last] = np.bincount(a, counted, minlength=last - first)
+        links[first:last] += np.bincount(a, weight[b], minlength=last - first).astype(np.int64)
+        if split:
+            links += np.bincount(b, weight[first + a], minlength=n).astype(np.int64)
         ends = np.searchsorted(a, np.arange(last - first + 1)).tolist()
         for i in range(first, last):
             far = root[b[ends[i - first] : ends[i - first + 1]]]
@@ -165,13 +171,16 @@ def linked(sets: list[np.ndarray], percent: int, weight: np.ndarray, block: np.n
 
 
 def _link(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
-    """Of each set with a link: the first one of its component, and the texts it links with. Links inside a block
-    count in the block's own task only, as its sets also meet in the tasks of all pairs with another block."""
+    """Of each set with a link: one of its component, and the texts it links with. Links inside a block are those of
+    the block's own task; the task of two blocks takes only the links between them."""
     for _, t in runs(batches, "task"):
-        ids = t["id"].to_numpy()
-        order = np.argsort(ids, kind="stable")
+        ids, block = t["id"].to_numpy(), t["block"].to_numpy()
+        order = np.lexsort((ids, block))
+        split = 0 if t["inner"][0].as_py() else int(np.searchsorted(block[order], block.min(), "right"))
+        if split == len(ids):
+            continue
         blobs = t["shingles"].to_pylist()
-        ids, d1, d2, weight, block = (t[c].to_numpy()[order] for c in ("id", "d1", "d2", "weight", "block"))
+        ids, d1, d2, weight = (t[c].to_numpy()[order] for c in ("id", "d1", "d2", "weight"))
         if (ids[1:] == ids[:-1]).any():  # one row stands for a class, also under a repeated id
             weight, seen = weight.copy(), set()
             for i in np.flatnonzero(weight).tolist():
@@ -179,14 +188,52 @@ def _link(batches: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.Record
                     weight[i] = 0
                 seen.add((d1[i], d2[i]))
         sets = [np.frombuffer(blobs[i], np.int64) for i in order]
-        root, links = linked(sets, percent, weight, None if t["inner"][0].as_py() else block)
+        root, links = linked(sets, percent, weight, split)
         links[weight == 0] = 0
         met = np.flatnonzero((root != np.arange(len(ids))) | (links > 0))
         n = np.array([len(sets[i]) for i in met], np.int64)
         yield pa.RecordBatch.from_arrays([pa.array(x) for x in (ids[met], ids[root[met]], n, d1[met], d2[met], links[met])], names=["a", "b", "n", "d1", "d2", "links"])
 
 
-def jaccard_components(docs: DataFrame, percent: int = PERCENT, k: int = K, id_col: str = "doc_id", text_col: str = "text", block_shingles: int = BLOCK_SHINGLES) -> DataFrame:
+def _blocks(clusters: DataFrame, prefix: DataFrame, percent: int, block_sets: int, block_shingles: int) -> DataFrame:
+    """(id, block, tasks array<struct<task, inner>>): where the sets of clusters (id, cluster, n) meet.
+
+    A cluster of bounded size is one task. A larger one, which may be no more than a chain of chance meetings,
+    is divided into blocks of sets with a prefix shingle in common, and a set goes only to the tasks of blocks
+    that hold a set of fitting size with one of its own prefix shingles. So a task's size is bounded, and the
+    number of tasks of a set by the blocks of those it shares a rare shingle with, not by its cluster.
+    """
+    size = (F.count("*").alias("sets"), F.sum("n").alias("shingles"))
+    parts = F.greatest(F.ceil(F.col("sets") / block_sets), F.ceil(F.col("shingles") / block_shingles))
+    sizes = clusters.groupBy("cluster").agg(*size).select("cluster", parts.alias("parts"))
+    dealt = materialise(clusters.join(sizes, "cluster"), "dealt")
+    whole = F.array(F.struct(F.xxhash64("cluster").alias("task"), F.lit(True).alias("inner")))
+    small = dealt.where("parts = 1").select("id", F.lit(0).cast("bigint").alias("block"), whole.alias("tasks"))
+    large = dealt.where("parts > 1").select("id", "cluster", "n")
+    if not large.head(1):
+        return small
+
+    x = prefix.join(large.hint("merge"), "id")
+    own = materialise(x.groupBy("id", "cluster", "n").agg(F.min("x").alias("anchor")), "anchors")
+    sizes = own.groupBy("cluster", "anchor").agg(*size).select("cluster", "anchor", "sets", "shingles", parts.alias("parts"))
+    sizes = materialise(sizes, "anchor_sizes")
+    rest = sizes.where("parts = 1").groupBy("cluster").agg(F.sum("sets").alias("sets"), F.sum("shingles").alias("shingles")).select("cluster", parts.alias("rest"))
+    # an anchor with many sets has blocks of its own, the others share some
+    frequent = F.xxhash64("cluster", "anchor", F.pmod(F.xxhash64("id"), F.col("parts")))
+    shared = F.xxhash64("cluster", F.lit("rest"), F.pmod(F.xxhash64("anchor"), F.col("rest")))
+    block = F.when(F.col("parts") > 1, frequent).otherwise(shared)
+    placed = own.join(sizes.select("cluster", "anchor", "parts"), ["cluster", "anchor"]).join(rest, "cluster", "left").select("id", "n", block.alias("block"))
+    x = materialise(prefix.join(materialise(placed, "placed").hint("merge"), "id"), "block_shingles")
+    held = x.groupBy("x", "block").agg(F.min("n").alias("lo"), F.max("n").alias("hi"), F.count("*").alias("m"))
+    held = held.groupBy("x").agg(F.collect_list(F.struct("block", "lo", "hi", "m")).alias("held"))
+    fits = lambda b: (100 * b["hi"] >= percent * F.col("n")) & (percent * b["lo"] <= 100 * F.col("n")) & ((b["block"] != F.col("block")) | (b["m"] > 1))
+    meets = x.join(held.hint("merge"), "x").select("id", "block", F.array_sort(F.transform(F.filter("held", fits), lambda b: b["block"])).alias("meets"))
+    meets = meets.groupBy("id", "block").agg(F.array_distinct(F.flatten(F.collect_set("meets"))).alias("meets"))
+    pair = lambda j: F.struct(F.xxhash64(F.least(j, F.col("block")), F.greatest(j, F.col("block"))).alias("task"), (j == F.col("block")).alias("inner"))
+    return small.unionByName(meets.select("id", "block", F.transform("meets", pair).alias("tasks")))
+
+
+def jaccard_components(docs: DataFrame, percent: int = PERCENT, k: int = K, id_col: str = "doc_id", text_col: str = "text", block_shingles: int = BLOCK_SHINGLES, block_sets: int = BLOCK_SETS) -> DataFrame:
     """One row per row of docs: id, n_shingles, class_id, component_id, n_links.
 
     Words are the runs between ASCII white space, A-Z lower-cased; sets link when 100 *
@@ -225,11 +272,9 @@ def jaccard_components(docs: DataFrame, percent: int = PERCENT, k: int = K, id_c
     clusters = materialise(clusters.join(classes.select(F.col("class_id").alias("id"), "n", "d1", "d2", "m"), "id"), "clusters")
     release(spark)
 
-    sizes = clusters.groupBy("cluster").agg(F.greatest(F.lit(1), F.ceil(F.sum("n") / block_shingles)).alias("blocks"))
-    block = F.pmod(F.xxhash64("id"), F.col("blocks"))
-    every = F.sequence(F.lit(0).cast("bigint"), F.col("blocks") - 1)
-    tasks = F.transform(every, lambda j: F.struct(F.xxhash64("cluster", F.least(j, F.col("block")), F.greatest(j, F.col("block"))).alias("task"), (j == F.col("block")).alias("inner")))
-    placed = clusters.join(sizes, "cluster").withColumn("block", block).select("id", "block", tasks.alias("tasks"), "d1", "d2", "m")
+    tasks = materialise(_blocks(clusters.select("id", "cluster", "n"), prefix, percent, block_sets, block_shingles), "tasks")
+    placed = clusters.select("id", "d1", "d2", "m").join(tasks.hint("merge"), "id")
+    release(spark)
     kinds = "id bigint, block bigint, tasks array<struct<task:bigint,inner:boolean>>, d1 bigint, d2 bigint, weight bigint, shingles binary"
     sets = named.join(placed.hint("merge"), "id").select("id", "text", "block", "tasks", "d1", "d2", "m").mapInArrow(lambda b: _sets(b, k), kinds)
     work = sets.withColumn("at", F.explode("tasks")).select("id", "block", "at.task", "at.inner", "d1", "d2", "weight", "shingles").repartition("task").sortWithinPartitions("task")

@@ -299,7 +299,10 @@ def test_reference_matching(spark):
     assert got == {0: [(1, 26)], 1: [], 2: []}
 
 
-@pytest.mark.parametrize("block", [2_000_000, 150])
+BLOCKS = [{}, {"block_shingles": 150}, {"block_sets": 3}]
+
+
+@pytest.mark.parametrize("block", BLOCKS)
 def test_jaccard(spark, block):
     rng = random.Random(5)
     texts = list(ODD)
@@ -318,14 +321,14 @@ def test_jaccard(spark, block):
     assert Counter(len(sets[i]) == len(sets[j]) for i, j in links)
     comp = brute_components(len(sets), links)
     df = frame(spark, texts)
-    rows = {r["doc_id"]: r for r in jaccard.jaccard_components(df, block_shingles=block).collect()}
+    rows = {r["doc_id"]: r for r in jaccard.jaccard_components(df, **block).collect()}
     assert [rows[i]["n_shingles"] for i in range(len(sets))] == [len(s) for s in sets]
     assert [rows[i]["component_id"] for i in range(len(sets))] == comp
     assert jaccard.jaccard_components(df.limit(0)).count() == 0
     assert jaccard.jaccard_components(frame(spark, ["a b", "a b"], [None, 1])).count() == 2
 
 
-@pytest.mark.parametrize("block", [2_000_000, 150])
+@pytest.mark.parametrize("block", BLOCKS)
 def test_jaccard_counts_every_link(spark, block):
     rng = random.Random(9)
     base = [f"w{i}" for i in range(40)]
@@ -340,7 +343,7 @@ def test_jaccard_counts_every_link(spark, block):
         sets.append({tuple(w[i : i + 5]) for i in range(max(len(w) - 4, 1))} if w else set())
     want = [sum(i != j and bool(a) and 100 * len(a & b) >= 80 * len(a | b) for j, b in enumerate(sets)) for i, a in enumerate(sets)]
     assert want[:15] == [14] * 15
-    rows = {r["doc_id"]: r["n_links"] for r in jaccard.jaccard_components(frame(spark, texts), block_shingles=block).collect()}
+    rows = {r["doc_id"]: r["n_links"] for r in jaccard.jaccard_components(frame(spark, texts), **block).collect()}
     assert [rows[i] for i in range(len(texts))] == want
     few = jaccard.jaccard_components(frame(spark, ["a b", "A b", "a b", None], [None, 1, 2, None])).collect()
     assert sorted((r["doc_id"] or 0, r["n_links"]) for r in few) == [(0, 0), (0, 0), (1, 1), (2, 1)]
