@@ -225,7 +225,8 @@ def _blocks(clusters: DataFrame, prefix: DataFrame, percent: int, block_sets: in
     placed = own.join(sizes.select("cluster", "anchor", "parts"), ["cluster", "anchor"]).join(rest, "cluster", "left").select("id", "n", block.alias("block"))
     x = materialise(prefix.join(materialise(placed, "placed").hint("merge"), "id"), "block_shingles")
     held = x.groupBy("x", "block").agg(F.min("n").alias("lo"), F.max("n").alias("hi"), F.count("*").alias("m"))
-    held = held.groupBy("x").agg(F.collect_list(F.struct("block", "lo", "hi", "m")).alias("held"))
+    # written, so that a very common shingle's rows can be split over tasks in the join
+    held = materialise(held.groupBy("x").agg(F.collect_list(F.struct("block", "lo", "hi", "m")).alias("held")), "held")
     fits = lambda b: (100 * b["hi"] >= percent * F.col("n")) & (percent * b["lo"] <= 100 * F.col("n")) & ((b["block"] != F.col("block")) | (b["m"] > 1))
     meets = x.join(held.hint("merge"), "x").select("id", "block", F.array_sort(F.transform(F.filter("held", fits), lambda b: b["block"])).alias("meets"))
     meets = meets.groupBy("id", "block").agg(F.array_distinct(F.flatten(F.collect_set("meets"))).alias("meets"))
