@@ -200,20 +200,32 @@ def test_vantage_point_search(spark):
         s[q] = -np.inf
         truth[q] = np.lexsort((np.arange(900), -s))[:10].tolist()
 
-    def got(factor):
+    def got(factor, size=1 << 20):
         out = defaultdict(list)
-        for r in vptree.neighbours(df, asked, 10, factor, shard_rows=400, query_block=16).orderBy("query_id", "rank").collect():
+        for r in vptree.neighbours(df, asked, 10, factor, shard_rows=400, query_block=16, broadcast_bytes=size).orderBy("query_id", "rank").collect():
             assert abs(r["score"] - float(x[r["vec_id"]] @ x[r["query_id"]])) < 1e-9
             out[r["query_id"]].append(r["vec_id"])
         return out
 
-    assert got(1.0) == truth
+    assert got(1.0) == truth == got(1.0, 1)
     near = got(vptree.FACTOR)
     assert np.mean([len(set(near[q]) & set(truth[q])) / 10 for q in truth]) >= 0.9
     assert len(vptree.neighbours(df.where("vec_id < 5"), df.where("vec_id = 0"), 10).collect()) == 4
     assert vptree.neighbours(df.limit(0), asked).count() == 0
 
 
+def test_vectors_of_several_lengths_and_repeated_ids(spark):
+    rows = [(0, [1.0, 0.0]), (1, [0.9, 0.1]), (1, [0.8, 0.0]), (2, [1.0, 0.0, 0.0]), (3, [0.5, 0.5, 0.0]), (0, [0.0, 1.0]), (None, [1.0, 1.0]), (4, [1.0])]
+    df = spark.createDataFrame([(*r, 0, "d", "p") for r in rows], "vec_id bigint, embedding array<double>, label int, dim string, part string")
+    got = sorted(map(tuple, vptree.neighbours(df, df.where("vec_id in (0, 2, 4)"), 2).collect()))
+    # both rows of id 0 ask; neither finds a row of its own id
+    assert got == [(0, 1, 1, 0.1), (0, 1, 1, 0.9), (0, 2, 1, 0.0), (0, 2, 1, 0.8), (2, 1, 3, 0.5)]
+    found = sorted((-1 if r["vec_id"] is None else r["vec_id"], r["n_links"], r["kept"]) for r in embed_dedup.near_duplicates(df).collect())
+    assert found == [(-1, 0, True), (0, 0, True), (0, 2, True), (1, 2, False), (1, 2, False), (2, 0, True), (3, 0, True), (4, 0, True)]
+    twice = spark.createDataFrame([(7, [1.0, 2.0], "a"), (7, [1.0, 2.0], "a"), (6, [2.0, 4.0], "a")], "vec_id bigint, embedding array<float>, label string")
+    assert [(r["n_links"], r["component_id"]) for r in embed_dedup.near_duplicates(twice).collect()] == [(2, 6)] * 3
+
+
 def test_pseudonyms(spark, odd):
     for size in (1, 2, 1000):
         f = pii.Feistel(b"k", "d", size)
