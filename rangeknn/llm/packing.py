@@ -30,9 +30,9 @@ from .storage import materialise
 class Evolution:
     shard_items: int = 4_096
     islands: int = 2
-    epochs: int = 2
+    epochs: int = 3
     population: int = 4
-    generations: int = 6
+    generations: int = 8
     elites: int = 2
     share: float = 0.5
     poor_fill: float = 0.97
