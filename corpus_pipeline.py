@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import public_tokenizers
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rangeknn.llm import jaccard, packing, pii, substring, toxicity
@@ -13,6 +13,12 @@ from rangeknn.llm.storage import materialise, table, workers_import
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
 
+def with_length(rows: DataFrame, changed: Column, docs: DataFrame) -> DataFrame:
+    """The columns of documents, n_chars counted anew where the text has changed."""
+    length = F.when(changed, F.length("text")).otherwise(F.col("n_chars"))
+    return rows.withColumn("n_chars", length.cast(docs.schema["n_chars"].dataType)).select(*COLUMNS)
+
+
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents with a score below one half stay; without a usable training label there is no model, and all stay."""
     workers_import(spark)
@@ -30,14 +36,13 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Passages that came earlier in the corpus are cut out; every document stays."""
     workers_import(spark)
-    cut = substring.remove_repeats(docs, with_text=True)
-    changed = F.col("n_removed") > 0
-    return cut.withColumn("n_chars", F.when(changed, F.length("text")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType)).select(*COLUMNS)
+    return with_length(substring.remove_repeats(docs, with_text=True), F.col("n_removed") > 0, docs)
 
 
 def mask_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Personal data become pseudonyms; n_chars follows, as some (addresses, dates) change their length."""
     workers_import(spark)
-    return pii.pseudonymise(docs, DEMO_KEY, kinds_col=None).select(*COLUMNS)
+    return with_length(pii.pseudonymise(docs, DEMO_KEY), F.size("pii_kinds") > 0, docs)
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
