@@ -86,6 +86,12 @@ def op9(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substring.remove_repeats(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op9_reference(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The broadcast form: passages of the benchmark are cut out of the documents."""
+    reference = substring.reference_texts(table(spark, sf_dir, "benchmark"))
+    return substring.match_reference(table(spark, sf_dir, "documents"), reference).drop("spans")
+
+
 def op10_links(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The join with all its columns, the number of links included."""
     return jaccard.jaccard_components(table(spark, sf_dir, "documents"))
@@ -112,6 +118,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op7_vantage_point_knn": op7,
     "op8_pii_pseudonyms": op8,
     "op9_substring_dedup": op9,
+    "op9_substring_reference": op9_reference,
     "op10_ngram_jaccard": op10,
     "op10_ngram_jaccard_links": op10_links,
     "pipeline": pipeline,
@@ -168,6 +175,10 @@ SELECT d.doc_id, coalesce(n, 0) AS n_shingles, coalesce(class_id, d.doc_id) AS c
 FROM documents d LEFT JOIN n USING (doc_id) LEFT JOIN comp ON comp.x = d.doc_id LEFT JOIN cls ON cls.doc_id = d.doc_id""",
 }
 
+_EARLIER = "SELECT doc_id, s FROM (SELECT doc_id, s, row_number() OVER (PARTITION BY t ORDER BY doc_id, s) AS n FROM win) WHERE n > 1"
+_IN_REFERENCE = r"""SELECT doc_id, s FROM win WHERE t IN (SELECT array_to_string(ws[s:s + 19], ' ') FROM (SELECT ws, unnest(range(1, len(ws) - 18)) AS s FROM (SELECT regexp_extract_all(text, '[^\x20\x09-\x0D]+') AS ws FROM benchmark)))"""
+ORACLES["op9_substring_reference"] = ORACLES["op9_substring_dedup"].replace(_EARLIER, _IN_REFERENCE)
+
 ORACLES["op10_ngram_jaccard_links"] = (
     ORACLES["op10_ngram_jaccard"]
     .replace("comp AS (", "degree AS (SELECT x, count(*) AS n_links FROM link GROUP BY x),\ncomp AS (")

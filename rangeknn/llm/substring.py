@@ -2,7 +2,7 @@
 
 An automaton over reference text tells, word by word, how long a run ending there occurs in
 the reference already. Automata of all the corpus cannot be broadcast, as they grow with it, and
-pairing every document with every one would be quadratic; so the reference is sharded by content.
+pairing every document with every one would be quadratic (figures in README); so the reference is sharded by content.
 Every window of ``length`` words is represented by its smallest k-gram of words; equal windows
 have equal representatives at equal places. Only representatives that occur again matter.
 The stretches of text they stand for come together under them, each distinct stretch once, in the
@@ -30,8 +30,8 @@ LENGTH = 20
 GRAM = 6
 #: A representative with more occurrences is divided among its single windows.
 FREQUENT = 2_000
-#: Words of reference text that may be broadcast.
-REFERENCE_WORDS = 5_000_000
+#: Words of reference text that may be broadcast: automata take some 400 bytes a word in each worker.
+REFERENCE_WORDS = 500_000
 
 
 class SuffixAutomaton:
@@ -345,11 +345,21 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_c
     return joined.mapInArrow(lambda b: _removed(b, text_col, with_text, made), schema)
 
 
-def match_reference(docs: DataFrame, reference: list[str], length: int = LENGTH, id_col: str = "doc_id", text_col: str = "text", shard_words: int = 500_000) -> DataFrame:
-    """(id, spans): maximal runs of at least ``length`` words that a reference text holds.
+def reference_texts(reference: DataFrame, text_col: str = "text") -> list[str]:
+    """The texts of a reference table whose words are counted before they are collected."""
+    n = reference.agg(F.sum(F.size(F.split(F.trim(F.col(text_col)), r"[\x20\x09-\x0D]+")))).first()[0] or 0
+    if n > REFERENCE_WORDS:
+        raise ValueError(f"the reference has over {REFERENCE_WORDS} words; use repeated_spans on the union")
+    return [r[0] for r in reference.where(F.col(text_col).isNotNull()).select(text_col).collect()]
+
+
+def match_reference(docs: DataFrame, reference: list[str], length: int = LENGTH, id_col: str = "doc_id", text_col: str = "text", shard_words: int = 100_000) -> DataFrame:
+    """One row per row of docs: id, spans, n_words, n_removed, kept_sha256.
 
-    The reference is divided into shards of at most shard_words (a longer text is a shard of its own), and each
-    worker grows their automata from the broadcast words. More than REFERENCE_WORDS raise an error.
+    spans are the maximal runs of at least ``length`` words that a reference text holds, which go; the others are
+    joined by one space. Null texts have no words; an empty table gives no rows. The reference is divided into
+    shards of at most shard_words (a longer text is a shard of its own); the shards are broadcast, each worker
+    grows their automata, and the documents stream through for matching statistics. More than REFERENCE_WORDS raise an error.
     """
     words = [(x or "").encode().split() for x in reference]
     if sum(map(len, words)) > REFERENCE_WORDS:
@@ -360,6 +370,7 @@ def match_reference(docs: DataFrame, reference: list[str], length: int = LENGTH,
             shards.append([])
         shards[-1].append(w)
     shared = docs.sparkSession.sparkContext.broadcast(shards)
+    span_type = pa.list_(pa.struct([("start", pa.int32()), ("stop", pa.int32())]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         automata = []
@@ -370,14 +381,18 @@ def match_reference(docs: DataFrame, reference: list[str], length: int = LENGTH,
                     automata[-1].add(w)
                 automata[-1].end_text()
         for batch in batches:
-            out = []
+            out, n, gone, sha = [], [], [], []
             for text in batch.column("text").to_pylist():
                 own = (text or "").encode().split()
-                hits = [(e + 1 - n, e + 1) for a in automata for e, n in enumerate(a.statistics(own)) if n >= length]
+                hits = [(e + 1 - m, e + 1) for a in automata for e, m in enumerate(a.statistics(own)) if m >= length]
                 mask = covered(np.array([h[0] for h in hits], np.int64), np.array([h[1] for h in hits], np.int64), len(own)) if own else np.zeros(0, bool)
                 edge = np.flatnonzero(np.diff(np.r_[0, mask.astype(np.int8), 0]))
                 out.append([{"start": int(a), "stop": int(b)} for a, b in zip(edge[::2], edge[1::2], strict=True)])
-            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(out, pa.list_(pa.struct([("start", pa.int32()), ("stop", pa.int32())])))], names=["id", "spans"])
+                n.append(len(own))
+                gone.append(int(mask.sum()))
+                sha.append(hashlib.sha256(b" ".join(w for w, m in zip(own, mask.tolist(), strict=True) if not m)).hexdigest())
+            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(out, span_type), pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(sha, pa.string())], names=["id", "spans", "n_words", "n_removed", "kept_sha256"])
 
     id_type = docs.schema[id_col].dataType.simpleString()
-    return docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(run, f"id {id_type}, spans array<struct<start:int,stop:int>>").withColumnRenamed("id", id_col)
+    schema = f"id {id_type}, spans array<struct<start:int,stop:int>>, n_words bigint, n_removed bigint, kept_sha256 string"
+    return docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(run, schema).withColumnRenamed("id", id_col)

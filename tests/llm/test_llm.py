@@ -433,6 +433,13 @@ def test_reference_matching(spark):
     docs = frame(spark, ["x " + " ".join(f"r{i}" for i in range(10, 35)) + " y", " ".join(f"r{i}" for i in range(19)), None])
     got = {r["doc_id"]: [(s["start"], s["stop"]) for s in r["spans"]] for r in substring.match_reference(docs, ref, shard_words=40).collect()}
     assert got == {0: [(1, 26)], 1: [], 2: []}
+    rows = {r["doc_id"]: r for r in substring.match_reference(docs, ref).collect()}
+    assert (rows[0]["n_words"], rows[0]["n_removed"], rows[0]["kept_sha256"]) == (27, 25, hashlib.sha256(b"x y").hexdigest())
+    assert rows[2]["n_words"] == 0 and substring.match_reference(docs.limit(0), []).count() == 0
+    table = spark.createDataFrame([(t,) for t in [*ref, " a  b "]], "text string")
+    assert substring.reference_texts(table) == [ref[0], " a  b "]
+    with pytest.raises(ValueError, match="over"):
+        substring.reference_texts(spark.range(100).select(F.repeat(F.lit("w "), 10_000).alias("text")))
 
 
 BLOCKS = [{}, {"block_shingles": 150}, {"block_sets": 3}]
