@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from rangeknn.functions.vectors import l2_sq
 
-from . import kernels
+from . import index, kernels
 from .index import materialise
 
 
@@ -54,6 +54,16 @@ def frontier_search(ranked: DataFrame, edges: DataFrame, queries: DataFrame, ef:
     return found.join(cost, "qid").join(hops, "qid").select("qid", "rn", "id", "d2", "n_dist", "n_hops")
 
 
+def exact_knn(ranked: DataFrame, k: int, shard_rows: int = index.SHARD_ROWS) -> DataFrame:
+    """Exact k-NN graph (src, dst, d2) by ids, ties to the smaller one: every object asks every shard for its k + 1
+    nearest and leaves itself out, so no task holds more than a shard and a block of objects."""
+    none = F.lit(None).cast("double")
+    asked = ranked.select(F.col("id").alias("qid"), F.col("vec").alias("qvec"), none.alias("lo"), none.alias("hi"), F.lit(k + 1).alias("k"))
+    met = index.search(materialise(index.shards(ranked, shard_rows), "shards"), asked).where("qid <> id")
+    best = Window.partitionBy("src").orderBy("d2", "dst")
+    return met.select(F.col("qid").alias("src"), F.col("id").alias("dst"), "d2").withColumn("rn", F.row_number().over(best)).where(F.col("rn") <= k).drop("rn")
+
+
 def bucketed_knn(objs: DataFrame, k: int, cell_rows: int = 2_000, copies: int = 3) -> DataFrame:
     """Approximate k-NN graph (src, dst, d2) of objects (id, vec): each row joins its nearest cells.
 

@@ -14,22 +14,23 @@ def d2(x: np.ndarray, rows: np.ndarray) -> np.ndarray:
     return np.einsum("ij,ij->i", diff, diff)
 
 
-def between(x: np.ndarray, cand: np.ndarray, cap: int | None, own: np.ndarray, pair) -> list[int]:
-    """Indices into cand kept by the witness scan, in the given order, at most cap of them.
+def between(rows: np.ndarray, own: np.ndarray, cap: int | None) -> np.ndarray:
+    """Places of the candidates kept by the witness scan, in the given order, at most cap of them.
 
-    A candidate goes if some kept one is nearer to both ends of the edge than they are apart.
+    A candidate goes if some kept one is nearer to both ends of the edge than they are apart. Each kept one
+    strikes out all it is a witness against at once, so the steps are those kept, not the candidates.
     """
-    kept: list[int] = []
-    for c in range(len(cand)):
-        if cap is not None and len(kept) >= cap:
-            break
-        if kept:
-            k = np.array(kept)
-            near = k[own[k] < own[c]]
-            if len(near) and (pair(near, c) < own[c]).any():
-                continue
-        kept.append(c)
-    return kept
+    alive, kept = np.ones(len(rows), bool), []
+    at = 0
+    while at < len(rows) and (cap is None or len(kept) < cap):
+        if not alive[at]:
+            at += int(alive[at:].argmax()) or len(rows)
+            continue
+        kept.append(at)
+        at += 1
+        rest = own[at:]
+        alive[at:] &= (own[at - 1] >= rest) | (d2(rows[at - 1], rows[at:]) >= rest)
+    return np.array(kept, np.int64)
 
 
 def two_sided(x: int, cand: np.ndarray, vecs: np.ndarray, m: int | None = None) -> np.ndarray:
@@ -40,9 +41,7 @@ def two_sided(x: int, cand: np.ndarray, vecs: np.ndarray, m: int | None = None)
     for side in (cand[cand < x][::-1], cand[cand > x]):
         if len(side):
             rows = vecs[side]
-            own = d2(vecs[x], rows)
-            kept = between(vecs[x], side, None if m is None else m // 2, own, lambda k, c, rows=rows: d2(rows[c], rows[k]))
-            out.append(side[kept])
+            out.append(side[between(rows, d2(vecs[x], rows), None if m is None else m // 2)])
     return np.concatenate(out) if out else np.zeros(0, np.int64)
 
 
@@ -51,8 +50,7 @@ def nearest_first(x: int, cand: np.ndarray, vecs: np.ndarray, m: int | None = No
     own = d2(vecs[x], vecs[cand])
     order = np.lexsort((cand, own))
     side, own = cand[order], own[order]
-    rows = vecs[side]
-    return side[between(vecs[x], side, m, own, lambda k, c: d2(rows[c], rows[k]))]
+    return side[between(vecs[side], own, m)]
 
 
 def in_box(x: int, cand: np.ndarray, vecs: np.ndarray, ranks: np.ndarray, m: int | None = None) -> np.ndarray:
@@ -228,7 +226,8 @@ def beam(start: np.ndarray, nbrs: np.ndarray, vecs: np.ndarray, q: np.ndarray, l
 
     pool 'ef' keeps max(ef, k) results while searching, 'k' only k. through: walk over
     outsiders without returning them. passes: a mask for further predicates. expand: the
-    neighbours of a position for this query, if they are not simply those of the lists.
+    neighbours of a position for this query, if they are not simply those of the lists. Of a long list of positions
+    to visit the far end is dropped, as it could not enter the pool; walking through outsiders keeps it all.
     """
     if lo > hi:
         return [], 0, 0
@@ -257,7 +256,7 @@ def beam(start: np.ndarray, nbrs: np.ndarray, vecs: np.ndarray, q: np.ndarray, l
                     heapq.heappush(found, (-e, -v))
                     if len(found) > size:
                         heapq.heappop(found)
-        if pool == "ef" and len(todo) > 4 * size:
+        if pool == "ef" and not through and len(todo) > 4 * size:
             todo = heapq.nsmallest(2 * size, todo)
     return sorted((-a, -b) for a, b in found)[:k], n_dist, hops
 

@@ -6,13 +6,14 @@ import posixpath
 import uuid
 from collections.abc import Callable
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rangeknn.operators import baselines, exact, frontier, index, kernels, metrics, multi, multi_range
 from rangeknn.operators.index import graph_kernel, materialise
 from rangeknn.plans.surface import registered
-from rangeknn.plans.workload import E_SQL, LARGE_EF, SMALL, Setup, index_sql, intervals_sql, shown
+from rangeknn.plans.workload import E_SQL, LARGE_EF, SMALL, Setup, index_sql, intervals_sql, measured, shown
 from rangeknn.sources.catalog import held_out, intervals, micros, objects, table
 from rangeknn.streaming import stream, table_function
 
@@ -39,10 +40,14 @@ class Boxes:
         return multi.build(self.ranked, SMALL)
 
 
-def _boxed(kernel: Callable) -> Callable[[SparkSession, str], DataFrame]:
+def _boxed(kernel: Callable, exact_form: bool = True) -> Callable[[SparkSession, str], DataFrame]:
+    """The rows found, or, of an approximate kernel, what they are worth."""
+
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         b = Boxes(spark, sf_dir)
-        return shown(multi.box_search(b.built(), b.queries, kernel()))
+        built = b.built()
+        found = multi.box_search(built, b.queries, kernel())
+        return shown(found) if exact_form else measured(found, multi.box_search(built, b.queries, multi.box_scan))
 
     return run
 
@@ -54,15 +59,15 @@ def _named(name: str, sql: str | None, run: Callable[[SparkSession, str], DataFr
 
 _named("box_search_saturated", _E2, _boxed(lambda: multi.box_kernel(LARGE_EF)))
 _named("box_prefilter_scan", _E2, _boxed(lambda: multi.box_scan))
-_named("box_search_approx", None, _boxed(lambda: multi.box_kernel(64)))
-_named("box_compressed_approx", None, _boxed(lambda: multi_range.per_shard(multi_range.CompressedRanges)))
-_named("box_segment_tree_approx", None, _boxed(lambda: multi_range.per_shard(baselines.SegmentTree)))
+_named("box_search_approx", None, _boxed(lambda: multi.box_kernel(64), False))
+_named("box_compressed_approx", None, _boxed(lambda: multi_range.per_shard(multi_range.CompressedRanges), False))
+_named("box_segment_tree_approx", None, _boxed(lambda: multi_range.per_shard(baselines.SegmentTree), False))
 
 
 def _all_range(method: Callable[..., DataFrame], **how) -> Callable[[SparkSession, str], DataFrame]:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         s = Setup(spark, sf_dir)
-        return shown(method(s.packed(), s.queries, **how))
+        return measured(method(s.packed(), s.queries, **how), s.truth())
 
     return run
 
@@ -121,14 +126,14 @@ _NEAREST = f"""WITH {E_SQL} SELECT src, dst FROM (SELECT a.id AS src, b.id AS ds
 
 @registered(_NEAREST)
 def knn_graph_exact(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return frontier.bucketed_knn(Setup(spark, sf_dir).ranked, 16, cell_rows=1 << 30).select("src", "dst")
+    return frontier.exact_knn(Setup(spark, sf_dir).ranked, 16, shard_rows=1_024).select("src", "dst")
 
 
 @registered(None)
 def knn_graph_bucketed_approx(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Recall of the bucketed graph against the exact one."""
     ranked = Setup(spark, sf_dir).ranked
-    return metrics.edge_coverage(frontier.bucketed_knn(ranked, 16, cell_rows=64, copies=3), frontier.bucketed_knn(ranked, 16, cell_rows=1 << 30).select("src", "dst"))
+    return metrics.edge_coverage(frontier.bucketed_knn(ranked, 16, cell_rows=64, copies=3), frontier.exact_knn(ranked, 16).select("src", "dst"))
 
 
 _INSIDE = E_SQL.replace("r AS (", "whole AS (") + ", r AS (SELECT * REPLACE (rank - 100 AS rank) FROM whole WHERE rank BETWEEN 101 AND 300)"
@@ -162,7 +167,7 @@ def gap_breakdown_approx(spark: SparkSession, sf_dir: str) -> DataFrame:
     s = Setup(spark, sf_dir)
     own = index.edges(s.built()).select(F.col("src_rank").alias("src"), F.col("dst_rank").alias("dst"))
     ids = s.ranked.select("id", "rank")
-    near = frontier.bucketed_knn(s.ranked, SMALL.spatial, cell_rows=1 << 30).join(ids.select(F.col("id").alias("src"), F.col("rank").alias("a")), "src").join(ids.select(F.col("id").alias("dst"), F.col("rank").alias("b")), "dst")
+    near = frontier.exact_knn(s.ranked, SMALL.spatial).join(ids.select(F.col("id").alias("src"), F.col("rank").alias("a")), "src").join(ids.select(F.col("id").alias("dst"), F.col("rank").alias("b")), "dst")
     cand = near.select(F.col("a").alias("src"), F.col("b").alias("dst")).union(index.window_pairs(s.ranked, SMALL.window)).distinct()
     return metrics.gap_breakdown(own, exact.between_graph(s.ranked), cand)
 
@@ -238,24 +243,71 @@ def structure(make: Callable) -> Callable:
     return lambda ef: multi_range.per_shard(make, ef)
 
 
-@registered(None)
-def experiment_curve_approx(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Recall and distance computations of the index and the methods of comparison."""
-    s = Setup(spark, sf_dir)
+def contenders(s: Setup) -> dict[str, tuple[DataFrame, Callable]]:
+    """The index and the methods of comparison, as (stored shards, kernel by pool)."""
     built, spatial, packed = s.built(), s.built(kernels.Params(16, 0, 32, prune="spatial")), s.packed()
     files = lambda ef: lambda sh, q, lo, hi, k, qid, made={}: _probe(made, sh, q, lo, hi, k, ef(qid))
-    methods = {
+    return {
         "index": (built, walking()),
-        "spatial graph, in-filter": (spatial, walking()),
-        "post-filter": (spatial, lambda ef: lambda sh, q, lo, hi, k, qid: baselines.post_kernel(4, True, ef(qid))(sh, q, lo, hi, k, qid)),
-        "auto placement": (built, lambda ef: lambda sh, q, lo, hi, k, qid: baselines.auto_kernel(ef=ef(qid))(sh, q, lo, hi, k, qid)),
+        "segment tree": (packed, structure(baselines.SegmentTree)),
         "segment bitmap": (packed, structure(multi_range.SegmentBitmap)),
         "range covers": (packed, structure(lambda v: multi_range.StoredRanges(v, "covers"))),
         "compressed, max leap": (packed, structure(multi_range.CompressedRanges)),
         "rectangle labels": (packed, structure(multi_range.RectangleRanges)),
+        "dense predicate": (packed, lambda ef: _masked(ef)),
         "inverted file": (packed, files),
+        "auto placement": (built, lambda ef: lambda sh, q, lo, hi, k, qid: baselines.auto_kernel(ef=ef(qid))(sh, q, lo, hi, k, qid)),
+        "layered graph, in-filter": (packed, lambda ef: _layered(ef)),
+        "spatial graph, in-filter": (spatial, walking()),
+        "post-filter": (spatial, lambda ef: lambda sh, q, lo, hi, k, qid: baselines.post_kernel(4, True, ef(qid))(sh, q, lo, hi, k, qid)),
     }
-    return experiment(s, methods, [None, 0.05, 0.1, 0.5], [10, 20, 40, 80, 160])
+
+
+def _made_once(make: Callable) -> Callable:
+    """make(shard), kept for as long as queries ask the same shard."""
+    held: dict = {}
+
+    def get(sh: index.Shard):
+        key = int(sh.ids[0])
+        if key not in held:
+            held.clear()
+            held[key] = make(sh)
+        return held[key]
+
+    return get
+
+
+def _masked(ef: Callable) -> Callable:
+    graph = _made_once(lambda sh: baselines.DensePredicateGraph(sh.vecs))
+
+    def run(sh: index.Shard, q, lo: int, hi: int, k: int, qid: int):
+        passes = np.zeros(len(sh.ids), bool)
+        passes[lo : hi + 1] = True
+        return (*graph(sh).search(q, passes, k, ef(qid)), 0)
+
+    return run
+
+
+def _layered(ef: Callable) -> Callable:
+    graph = _made_once(lambda sh: baselines.Layered(sh.vecs, sh.ids))
+
+    def run(sh: index.Shard, q, lo: int, hi: int, k: int, qid: int):
+        g = graph(sh)
+        return kernels.beam(g.start, g.nbrs, sh.vecs, q, lo, hi, k, ef(qid), g.entry(q), through=True)
+
+    return run
+
+
+def _curve(name: str) -> Callable[[SparkSession, str], DataFrame]:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        s = Setup(spark, sf_dir, name)
+        return experiment(s, contenders(s), [None, 0.01, 0.1, 0.5], [10, 20, 40, 80, 160])
+
+    return run
+
+
+_named("experiment_curve_approx", None, _curve("E"))
+_named("experiment_curve_documents_approx", None, _curve("D"))
 
 
 def _probe(made: dict, s: index.Shard, q, lo: int, hi: int, k: int, ef: int):
@@ -269,17 +321,27 @@ def _probe(made: dict, s: index.Shard, q, lo: int, hi: int, k: int, ef: int):
 
 @registered(None)
 def experiment_parameters_approx(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Degree cap and window against recall, cost and realised degree."""
+    """Degree cap and window against recall and cost by share, and realised degree."""
     s = Setup(spark, sf_dir)
     out = None
     for m, window in [(8, 32), (16, 32), (32, 32), (64, 32), (32, 0), (32, 8), (32, 64), (32, 128)]:
         built = s.built(kernels.Params(16, window, m))
-        one = experiment(s, {f"m {m}, window {window}": (built, walking())}, [None], [20, 80])
+        one = experiment(s, {f"m {m}, window {window}": (built, walking())}, [0.01, 0.1, 0.5, None], [20, 80])
         one = one.join(metrics.degree_stats(built).select("mean_degree", "bytes"), F.lit(True))
         out = one if out is None else out.unionByName(one)
     return out
 
 
+@registered(None)
+def experiment_ablation_approx(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The greatest recall over a sweep of pools for each construction and share, with its distances, and whether 0.98 is met."""
+    s = Setup(spark, sf_dir, "D")
+    kinds = {"index": SMALL, "no window": kernels.Params(16, 0, 32), "spatial prune": kernels.Params(16, 32, 32, prune="spatial"), "neither": kernels.Params(16, 0, 32, prune="spatial")}
+    curve = experiment(s, {n: (s.built(how), walking()) for n, how in kinds.items()}, [0.01, 0.1, 0.5], [10, 40, 160, 400])
+    best = curve.groupBy("method", "share").agg(F.max("recall").alias("max_recall"), F.max_by("n_dist", "recall").alias("n_dist"))
+    return best.withColumn("reaches", F.col("max_recall") >= 0.98)
+
+
 @registered(None)
 def experiment_entry_approx(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Entry policies on the same index."""
@@ -292,7 +354,7 @@ def experiment_entry_approx(spark: SparkSession, sf_dir: str) -> DataFrame:
 def experiment_k_approx(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Larger result lists at a tenth of the objects."""
     s = Setup(spark, sf_dir)
-    return experiment(s, {"index": (s.built(), walking())}, [0.1], [100, 200], (20, 40, 70, 100))
+    return experiment(s, {"index": (s.built(), walking()), "segment tree": (s.packed(), structure(baselines.SegmentTree))}, [0.1], [100, 200], (20, 40, 70, 100))
 
 
 @registered(None)
@@ -305,9 +367,7 @@ def experiment_two_attributes_approx(spark: SparkSession, sf_dir: str) -> DataFr
     for ef in (20, 80):
         kinds = {"box index": multi.box_kernel(ef), "box index, no fallback": multi.box_kernel(ef, False), "compressed": multi_range.per_shard(multi_range.CompressedRanges, ef), "segment tree": multi_range.per_shard(baselines.SegmentTree, ef)}
         for name, kernel in kinds.items():
-            found = materialise(multi.box_search(built, b.queries, kernel), "found")
-            r = metrics.recall_at_k(found, truth, 10, "min_k_truth").agg(F.round(F.avg("recall"), 4).alias("recall"))
-            one = r.select(F.lit(name).alias("method"), F.lit(ef).alias("ef"), "recall")
+            one = measured(multi.box_search(built, b.queries, kernel), truth).select(F.lit(name).alias("method"), F.lit(ef).alias("ef"), "recall", "n_dist")
             out = one if out is None else out.unionByName(one)
     return out
 

@@ -13,7 +13,7 @@ from rangeknn.functions import vectors
 from rangeknn.operators import baselines, exact, index, kernels, metrics
 from rangeknn.operators.index import graph_kernel, materialise, scan_kernel
 from rangeknn.plans import around, methods, surface  # noqa: F401  methods and around add their queries to those of surface
-from rangeknn.plans.workload import E_SQL, LARGE_EF, SMALL, Setup, index_sql, intervals_sql, scan_graph_sql, shown
+from rangeknn.plans.workload import E_SQL, LARGE_EF, SMALL, Setup, index_sql, intervals_sql, measured, scan_graph_sql, shown
 from rangeknn.sources.catalog import TABLES, intervals, objects, table
 from rangeknn.streaming import stream
 
@@ -39,6 +39,16 @@ def with_baseline(method: Callable[[Setup], DataFrame], share: float | None = 0.
     return lambda spark, sf_dir: shown(method(Setup(spark, sf_dir, "E", share)))
 
 
+def worth(method: Callable[[Setup], DataFrame]):
+    """Recall, distances and hops of an approximate method."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        s = Setup(spark, sf_dir)
+        return measured(method(s), s.truth())
+
+    return run
+
+
 def open_ended(spark: SparkSession, sf_dir: str) -> DataFrame:
     s = Setup(spark, sf_dir)
     half = s.queries.withColumn("lo", F.when(F.col("qid") % 2 == 0, F.col("lo"))).withColumn("hi", F.when(F.col("qid") % 2 == 1, F.col("hi")))
@@ -90,25 +100,66 @@ def window_candidates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def heredity(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Edges by which the graph within ranks 101-300 differs from the graph rebuilt there: none."""
+    """Edges by which the graph within ranks 101-300 differs from the graph rebuilt there: none, among so many."""
     s = Setup(spark, sf_dir)
     inside = exact.induce(exact.between_graph(s.ranked), 101, 300)
     again = exact.between_graph(s.ranked.where(F.col("rank").between(101, 300)))
-    return exact.difference(inside, again).agg(F.count("*").alias("n"))
+    return exact.difference(inside, again).agg(F.count("*").alias("n")).join(inside.agg(F.count("*").alias("edges")), F.lit(True))
 
 
 def violations(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Ordered pairs of all ranks that break the monotone property of the exact graph: none."""
     s = Setup(spark, sf_dir)
-    return exact.monotone_violations(exact.between_graph(s.ranked), s.ranked).agg(F.count("*").alias("n"))
+    graph = exact.between_graph(s.ranked)
+    return exact.monotone_violations(graph, s.ranked).agg(F.count("*").alias("n")).join(graph.agg(F.count("*").alias("edges")), F.lit(True))
+
+
+class Probe:
+    """One index against indexes rebuilt within ten intervals of a tenth of the ranks each, same parameters."""
+
+    def __init__(self, spark: SparkSession, sf_dir: str, name: str = "E") -> None:
+        self.s = Setup(spark, sf_dir, name)
+        n = self.s.ranked.count()
+        w = max(1, n // 10)
+        parts = [(i, 1 + i * 7919 % (n - w + 1), i * 7919 % (n - w + 1) + w) for i in range(10)]
+        self.parts = F.broadcast(spark.createDataFrame(parts, "shard bigint, r_lo bigint, r_hi bigint"))
+        self.inside = materialise(self.s.ranked.join(self.parts, F.col("rank").between(F.col("r_lo"), F.col("r_hi"))), "inside")
+        centre = index.global_centroid(self.s.ranked)
+        self.rebuilt = index.build_packed(materialise(index.packs(self.inside), "interval_shards"), SMALL, centre)
+        self.whole = index.build(self.s.ranked, SMALL, centroid=centre)
 
 
 def coverage(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """One index against a rebuild within ranks 101-300, same parameters."""
-    s = Setup(spark, sf_dir)
-    whole = index.edges(s.built())
-    again = index.edges(index.build(s.ranked.where(F.col("rank").between(101, 300)), SMALL, 1 << 20))
-    return metrics.edge_coverage(whole, again)
+    """For each interval, edges of the rebuilt graph, those the one index has too, and their share."""
+    p = Probe(spark, sf_dir)
+    own = index.edges(p.whole).select("src", "dst", F.lit(1).alias("hit"))
+    each = index.edges(p.rebuilt).join(own, ["src", "dst"], "left").groupBy("shard").agg(F.count("hit").alias("shared"), F.count("*").alias("rebuilt"))
+    return each.join(p.parts, "shard").select("r_lo", "r_hi", "shared", "rebuilt", F.round(F.col("shared") / F.col("rebuilt"), 6).alias("coverage"))
+
+
+def experiment_coverage(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Mean, least and greatest coverage over the intervals, and what the one index and the rebuilt ones pay in distances a
+    query where each first reaches recall 0.98, up to 50 held-out queries an interval."""
+    p = Probe(spark, sf_dir, "D")
+    own = index.edges(p.whole).select("src", "dst", F.lit(1).alias("hit"))
+    each = index.edges(p.rebuilt).join(own, ["src", "dst"], "left").groupBy("shard").agg((F.count("hit") / F.count("*")).alias("c"))
+    spread = each.agg(*(F.round(f("c"), 4).alias(n) for n, f in (("coverage", F.avg), ("least", F.min), ("greatest", F.max))))
+    ends = p.inside.groupBy("shard").agg(F.min("attr").alias("lo"), F.max("attr").alias("hi"))
+    held = p.s.queries.select("qid", "qvec").orderBy(F.xxhash64("qid"), "qid").limit(50)
+    pools = F.explode(F.array(*(F.lit(v) for v in (10, 14, 20, 28, 40, 80, 160)))).alias("ef")
+    asked = held.join(F.broadcast(ends), F.lit(True)).select((F.col("qid").bitwiseAND(F.lit((1 << 40) - 1)) * 10_000 + F.col("shard") * 1_000).alias("base"), "qvec", "lo", "hi", "shard", F.lit(10).alias("k"), pools)
+    asked = materialise(asked.withColumn("qid", F.col("base") + F.col("ef")), "probe_queries")
+    kernel = lambda sh, q, lo, hi, k, qid: graph_kernel(qid % 1_000)(sh, q, lo, hi, k, qid)
+    truth = materialise(index.search(p.rebuilt, asked), "truth")
+    out = None
+    for name, built, queries in (("one index", p.whole, asked.drop("shard")), ("rebuilt", p.rebuilt, asked)):
+        found = materialise(index.search(built, queries, kernel), "found")
+        cost = found.groupBy("qid").agg(F.max("n_dist").alias("n_dist"))
+        r = metrics.recall_at_k(found, truth, 10, "min_k_truth").join(cost, "qid", "left").groupBy((F.col("qid") % 1_000).alias("ef"))
+        r = r.agg(F.avg("recall").alias("recall"), F.avg(F.coalesce("n_dist", F.lit(0))).alias("cost")).withColumn("method", F.lit(name))
+        out = r if out is None else out.unionByName(r)
+    at = metrics.at_recall(materialise(out, "curve"), 0.98)
+    return at.join(spread, F.lit(True)).select("method", F.round("max_recall", 4).alias("max_recall"), F.round("cost", 1).alias("n_dist"), "coverage", "least", "greatest")
 
 
 def header_entry(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -200,6 +251,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "exact_knn_range": exact_knn(),
     "exact_knn_range_mixed": exact_knn(None),
     "exact_knn_range_time": exact_knn(0.5, "T"),
+    "exact_knn_range_price": exact_knn(0.1, "P"),
     "exact_knn_range_k40": exact_knn(0.1, k=40),
     "range_search_saturated": saturated(),
     "range_search_ties": saturated(name="PS"),
@@ -215,12 +267,12 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "postfilter_overfetch": with_baseline(lambda s: baselines.post_filter(s.packed(), s.queries)),
     "auto_placement": with_baseline(lambda s: baselines.auto(s.built(), s.queries, ef=LARGE_EF), None),
     "ivf_probe_all": with_baseline(lambda s: baselines.ivf_search(s.packed(), s.queries, nprobe=LARGE_EF, rerank=LARGE_EF)),
-    "infilter_spatial_approx": with_baseline(lambda s: baselines.in_filter(s.built(kernels.Params(16, 0, 32, prune="spatial")), s.queries)),
-    "ivf_probe_approx": with_baseline(lambda s: baselines.ivf_search(s.packed(), s.queries)),
-    "segment_tree_approx": with_baseline(lambda s: baselines.segment_tree_search(s.packed(), s.queries)),
-    "dense_predicate_approx": with_baseline(lambda s: baselines.dense_predicate_search(s.packed(), s.queries)),
-    "layered_graph_approx": with_baseline(lambda s: baselines.layered_search(s.packed(), s.queries)),
-    "postfilter_graph_approx": with_baseline(lambda s: baselines.post_filter(s.built(), s.queries, graph=True)),
+    "infilter_spatial_approx": worth(lambda s: baselines.in_filter(s.built(kernels.Params(16, 0, 32, prune="spatial")), s.queries)),
+    "ivf_probe_approx": worth(lambda s: baselines.ivf_search(s.packed(), s.queries)),
+    "segment_tree_approx": worth(lambda s: baselines.segment_tree_search(s.packed(), s.queries)),
+    "dense_predicate_approx": worth(lambda s: baselines.dense_predicate_search(s.packed(), s.queries)),
+    "layered_graph_approx": worth(lambda s: baselines.layered_search(s.packed(), s.queries)),
+    "postfilter_graph_approx": worth(lambda s: baselines.post_filter(s.built(), s.queries, graph=True)),
     "window_candidates": window_candidates,
     "exact_between_graph": lambda spark, d: exact.between_graph(Setup(spark, d).ranked),
     "exact_mrng": lambda spark, d: exact.mrng(Setup(spark, d).ranked),
@@ -230,6 +282,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "pruned_index_edges": edges_of(SMALL),
     "index_degree_stats": lambda spark, d: metrics.degree_stats(Setup(spark, d).built()),
     "edge_coverage_probe": coverage,
+    "experiment_coverage_approx": experiment_coverage,
     "entry_header_lookup": header_entry,
     "cover_choice": cover_choice,
     "recall_rollup": recall_rollup,
@@ -253,6 +306,7 @@ ORACLES: dict[str, str] = {
     "exact_knn_range_mixed": _knn(share="pow(2, -(id % 8))"),
     "auto_placement": _knn(share="pow(2, -(id % 8))"),
     "exact_knn_range_time": _knn(E_SQL.replace("o_totalprice::DOUBLE", "epoch_us(ts)::DOUBLE").replace("orders ON vec_id = o_orderkey", "events ON vec_id = event_id"), "0.5"),
+    "exact_knn_range_price": _knn(E_SQL.replace("o_totalprice::DOUBLE", "p_retailprice::DOUBLE").replace("orders ON vec_id = o_orderkey", "part ON vec_id = p_partkey")),
     "exact_knn_range_k40": _knn(k=40),
     "range_search_open_ended": _knn(cond="CASE WHEN qid % 2 = 0 THEN attr >= lo ELSE attr <= hi END"),
     "range_search_empty": "SELECT 0::BIGINT AS n",
@@ -270,8 +324,8 @@ scan(x, j, kept) AS (
   SELECT s.x, j + 1, CASE WHEN len(list_filter(kept, lambda z: a.ds[z] < a.ds[a.ord[j + 1]] AND b.ds[z] < a.ds[a.ord[j + 1]])) > 0 THEN kept ELSE list_append(kept, a.ord[j + 1]) END
   FROM scan s JOIN p a ON a.x = s.x JOIN p b ON b.x = a.ord[j + 1])
 SELECT x AS src, unnest(kept) AS dst FROM (SELECT x, max_by(kept, j) AS kept FROM scan GROUP BY x)""",
-    "heredity_diff": "SELECT 0::BIGINT AS n",
-    "monotone_violations": "SELECT 0::BIGINT AS n",
+    "heredity_diff": f"{scan_graph_sql()} SELECT 0::BIGINT AS n, count(*) AS edges FROM graph WHERE src BETWEEN 101 AND 300 AND dst BETWEEN 101 AND 300",
+    "monotone_violations": f"{scan_graph_sql()} SELECT 0::BIGINT AS n, count(*) AS edges FROM graph",
     "pruned_index_edges": f"{index_sql()} SELECT src, dst FROM graph",
     "index_degree_stats": f"{index_sql()} SELECT (SELECT n FROM n) AS nodes, count(*) AS edges, round(count(*) / (SELECT n FROM n), 6) AS mean_degree, 4 * count(*) + 4 * (SELECT n FROM n) AS bytes FROM graph",
     "entry_header_lookup": f"""WITH {E_SQL}, {intervals_sql()},
@@ -287,6 +341,22 @@ FROM embeddings a JOIN orders ON a.vec_id = o_orderkey JOIN embeddings z ON z.ve
     "asof_event_order": """WITH e AS (SELECT ts, max(event_id) AS event_id FROM events GROUP BY ts) SELECT o_orderkey, event_id FROM orders ASOF LEFT JOIN e ON o_orderdate >= ts""",
     "tumbling_events": "SELECT date_trunc('day', ts) AS window_start, event_type, count(*) AS n FROM events GROUP BY ALL",
 }
+
+
+def _coverage_sql() -> str:
+    """The ten intervals, each with an index of its own next to the one of all ranks."""
+    first = "(SELECT 1 + {i} * 7919 % (count(*) - greatest(1, count(*) // 10) + 1) FROM whole)"
+    width = "(SELECT greatest(1, count(*) // 10) FROM whole)"
+    parts = []
+    for i in range(10):
+        r1 = first.format(i=i)
+        base = E_SQL.replace("r AS (", "whole AS (") + f", r AS (SELECT * REPLACE (rank - {r1} + 1 AS rank) FROM whole WHERE rank BETWEEN {r1} AND {r1} + {width} - 1)"
+        parts.append(f"SELECT * FROM ({index_sql(base)} SELECT {r1} AS r_lo, {r1} + {width} - 1 AS r_hi, src + {r1} - 1 AS src, dst + {r1} - 1 AS dst FROM graph)")
+    return f"""SELECT r_lo, r_hi, count(g.src) AS shared, count(*) AS rebuilt, round(count(g.src) / count(*), 6) AS coverage
+FROM ({" UNION ALL ".join(parts)}) p LEFT JOIN ({index_sql()} SELECT src, dst FROM graph) g ON g.src = p.src AND g.dst = p.dst GROUP BY r_lo, r_hi"""
+
+
+ORACLES["edge_coverage_probe"] = _coverage_sql()
 for _name in ("exact_knn_range", "range_search_saturated", "range_search_entry_first", "range_search_entry_random", "range_search_entry_centre", "prefilter_scan", "postfilter_overfetch", "ivf_probe_all", "stream_range_search"):
     ORACLES[_name] = _knn()
 QUERIES |= surface.QUERIES

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from rangeknn.operators import index, kernels
+from rangeknn.operators import index, kernels, metrics
 from rangeknn.operators.index import materialise
 from rangeknn.sources.catalog import held_out, intervals, objects
 
@@ -25,6 +25,9 @@ class Setup:
     def packed(self, rows: int = index.SHARD_ROWS) -> DataFrame:
         return index.shards(self.ranked, rows)
 
+    def truth(self) -> DataFrame:
+        return index.search(self.packed(), self.queries)
+
     def built(self, how: kernels.Params = SMALL, rows: int = index.SHARD_ROWS) -> DataFrame:
         return index.build(self.ranked, how, rows)
 
@@ -34,6 +37,15 @@ def shown(found: DataFrame) -> DataFrame:
 
 
 
+def measured(found: DataFrame, truth: DataFrame, k: int = 10) -> DataFrame:
+    """One row: queries, recall, distances and expanded nodes a query of an approximate answer."""
+    found = materialise(found, "found")
+    cost = found.groupBy("qid").agg(F.max("n_dist").alias("n_dist"), F.max("n_hops").alias("n_hops"))
+    each = metrics.recall_at_k(found, truth, k, "min_k_truth").join(cost, "qid", "left")
+    mean = lambda c, places: F.round(F.avg(F.coalesce(c, F.lit(0))), places).alias(c)
+    return each.agg(F.count("*").alias("queries"), mean("recall", 4), mean("n_dist", 1), mean("n_hops", 1))
+
+
 E_SQL = """o AS (SELECT vec_id AS id, embedding::DOUBLE[] AS vec, o_totalprice::DOUBLE AS attr FROM embeddings JOIN orders ON vec_id = o_orderkey),
 r AS (SELECT *, row_number() OVER (ORDER BY attr, id) AS rank FROM o WHERE id % 25 <> 7)"""
 

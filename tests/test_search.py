@@ -36,7 +36,7 @@ def test_rank_is_the_same_for_any_buckets(data):
     one = {r["id"]: r["rank"] for r in index.with_rank(objs, 1).collect()}
     assert sorted(one.values()) == list(range(1, N + 1))
     for b in (3, 7):
-        assert {r["id"]: r["rank"] for r in index.with_rank(objs, b, sample=50).collect()} == one
+        assert {r["id"]: r["rank"] for r in index.with_rank(objs, b).collect()} == one
 
 
 @pytest.mark.parametrize("rows", [1 << 14, 90])
