@@ -2,6 +2,11 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -42,3 +47,37 @@ def hash_text(df: DataFrame, id_col: str, text_col: str, dim: int = 64) -> DataF
     parts = slots.groupBy("id").agg(F.map_from_entries(F.collect_list(F.struct("slot", "v"))).alias("m"))
     dense = parts.select("id", F.transform(F.sequence(F.lit(0), F.lit(dim - 1)), lambda i: F.coalesce(F.try_element_at("m", i), F.lit(0.0))).alias("v")).where(F.exists("v", lambda x: x != 0))
     return dense.select("id", normalise(F.col("v")).alias("vec"))
+
+
+def arrow_l2():
+    """The distance as an Arrow UDF: column functions above are as good for a few rows, this is for bulk. Null if either is null
+    or the lengths differ."""
+    from pyspark.sql.functions import pandas_udf
+
+    @pandas_udf("double")
+    def l2_of(a: pd.Series, b: pd.Series) -> pd.Series:
+        fits = [x is not None and y is not None and len(x) == len(y) for x, y in zip(a, b, strict=True)]
+        return pd.Series([float(np.sqrt(((np.asarray(x, float) - np.asarray(y, float)) ** 2).sum())) if ok else None for x, y, ok in zip(a, b, fits, strict=True)], dtype="float64")
+
+    return l2_of
+
+
+def centroids(rows: DataFrame, key: str, vec: str = "vec") -> DataFrame:
+    """(key, pos, mean): the mean vector of each key, from sums of Arrow batches; a large key is summed wherever its rows lie.
+
+    Null vectors are left out; vectors of different length under one key give means of the positions they have.
+    """
+    kind = rows.schema[key].dataType.simpleString()
+
+    def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            lists = batch.column("vec")
+            size = lists.value_lengths().to_numpy()
+            row = np.repeat(np.arange(len(size)), size)
+            pos = np.arange(len(row)) - np.repeat(np.cumsum(size) - size, size)
+            flat = pa.table({"key": batch.column("key").take(pa.array(row)), "pos": pos, "v": lists.flatten().cast(pa.float64())})
+            some = flat.group_by(["key", "pos"]).aggregate([("v", "sum"), ("v", "count")]).select(["key", "pos", "v_sum", "v_count"])
+            yield from some.rename_columns(["key", "pos", "total", "n"]).to_batches()
+
+    sums = rows.select(F.col(key).alias("key"), F.col(vec).alias("vec")).where("vec is not null").mapInArrow(partial, f"key {kind}, pos bigint, total double, n bigint")
+    return sums.groupBy("key", "pos").agg((F.sum("total") / F.sum("n")).alias("mean")).withColumnRenamed("key", key)

@@ -12,7 +12,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 
 from . import kernels
-from .baselines import covers
+from .baselines import DensePredicateGraph, InvertedFile, Layered, SegmentTree, covers
 from .index import Shard, search
 from .multi import inside
 
@@ -253,3 +253,14 @@ def compressed_search(packed: DataFrame, queries: DataFrame, ef: int = 64, **how
 
 def rectangle_search(packed: DataFrame, queries: DataFrame, ef: int = 64, **how) -> DataFrame:
     return search(packed, queries, per_shard(lambda v: RectangleRanges(v, **how), ef))
+
+
+def footprint(g) -> tuple[int, int]:
+    """(edges, bytes) of a structure: four bytes an edge, a number of a label or a node's pointer; codes and tables as they are."""
+    if isinstance(g, InvertedFile):
+        return 0, g.codes.size + 4 * (g.centres.size + sum(b.size for b in g.books) + len(g.cell))
+    edges = g.n_edges() if isinstance(g, SegmentTree) else g.near.size if isinstance(g, DensePredicateGraph) else len(g.nbrs)
+    levels = len(g.levels) if isinstance(g, SegmentTree) else 1
+    labels = sum(np.asarray(getattr(g, c)).size for c in ("labels", "bits") if hasattr(g, c))
+    upper = sum(len(v) for layer in g.layers[1:] for v in layer.values()) if isinstance(g, Layered) else 0
+    return int(edges + upper), int(4 * (edges + upper + labels + levels * len(g.vecs)))

@@ -151,3 +151,27 @@ def user_types(spark: SparkSession, d: str) -> DataFrame:
 @registered("SELECT lang, approx.n AS docs, round(q, 1) AS median FROM (SELECT lang, count(*) AS n, quantile_cont(n_chars, 0.5) AS q FROM documents GROUP BY lang) approx")
 def length_by_language(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "documents").groupBy("lang").agg(F.count("*").alias("docs"), F.round(F.percentile("n_chars", 0.5), 1).alias("median"))
+
+
+# Functions of this package in the hands of a user.
+
+
+@registered("SELECT a.vec_id, round(list_distance(a.embedding::DOUBLE[], z.embedding::DOUBLE[]), 6) AS l2 FROM embeddings a JOIN embeddings z ON z.vec_id = 0")
+def udf_l2(spark: SparkSession, d: str) -> DataFrame:
+    """Distances to vector 0 by the Arrow UDF."""
+    e = table(spark, d, "embeddings")
+    zero = F.broadcast(e.where("vec_id = 0").select(F.col("embedding").alias("q")))
+    return e.join(zero, F.lit(True)).select("vec_id", F.round(vectors.arrow_l2()("embedding", "q"), 6).alias("l2"))
+
+
+@registered("SELECT label, (i - 1)::BIGINT AS pos, round(avg(v), 6) AS mean FROM (SELECT label, unnest(embedding::DOUBLE[]) AS v, generate_subscripts(embedding, 1) AS i FROM embeddings) GROUP BY label, i")
+def udaf_centroids(spark: SparkSession, d: str) -> DataFrame:
+    """The mean vector of each label from partial sums of Arrow batches."""
+    return vectors.centroids(table(spark, d, "embeddings"), "label", "embedding").select("label", "pos", F.round("mean", 6).alias("mean"))
+
+
+@registered(r"SELECT page_id, len(t)::INT AS n_chars, md5(t) AS digest FROM (SELECT page_id, trim(regexp_replace(regexp_replace(html, '<[^>]*>', ' ', 'g'), '[ \t\r\n]+', ' ', 'g')) AS t FROM pages)")
+def html_text(spark: SparkSession, d: str) -> DataFrame:
+    """Pages without their tags, by regular expressions in the JVM."""
+    text = F.trim(F.regexp_replace(F.regexp_replace("html", "<[^>]*>", " "), "[ \\t\\r\\n]+", " "))
+    return table(spark, d, "pages").select("page_id", text.alias("t")).select("page_id", F.length("t").alias("n_chars"), F.md5("t").alias("digest"))
