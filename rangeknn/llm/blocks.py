@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -27,6 +28,17 @@ def runs(batches: Iterator[pa.RecordBatch], key: str) -> Iterator[tuple[object,
         yield current, pa.Table.from_batches(held)
 
 
+def trimmed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Passes batches on. At the end, what the task has freed goes back to the system: workers are reused, and their
+    allocators would keep the most that any task has held."""
+    yield from batches
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # other C libraries than glibc
+        pass
+
+
 def matrix(column: pa.ChunkedArray | pa.Array, dtype=np.float64) -> np.ndarray:
     """Lists of one length as a matrix."""
     if isinstance(column, pa.ChunkedArray):

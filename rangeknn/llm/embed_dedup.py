@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .blocks import Forest, matrix, runs
+from .blocks import Forest, matrix, runs, trimmed
 from .graph import components
 from .storage import discard, materialise
 
@@ -129,7 +129,7 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.98, id_col: str = "
     shared = vectors.sparkSession.sparkContext.broadcast(pivots)
     is_large = F.col("part").isin(list(pivots)) if pivots else F.lit(False)
     schema = f"cls bigint, n bigint, cell bigint, home boolean, vec {vec_type}"
-    dealt = classes.where(is_large).select("cls", "n", "part", "vec").mapInArrow(lambda b: _assign(b, shared.value, radius), schema).withColumn("cell", F.xxhash64("cell", F.lit("pivot")))
+    dealt = classes.where(is_large).select("cls", "n", "part", "vec").mapInArrow(lambda b: trimmed(_assign(b, shared.value, radius)), schema).withColumn("cell", F.xxhash64("cell", F.lit("pivot")))
     small = classes.where(~is_large).select("cls", "n", F.xxhash64("part", F.lit("part")).alias("cell"), F.lit(True).alias("home"), "vec")
     cells = materialise(dealt.union(small), "cells")
     many = cells.groupBy("cell").agg(F.count("*").alias("rows")).withColumn("blocks", F.ceil(F.col("rows") / block_rows)).where("rows > 1").select("cell", "blocks")
@@ -138,7 +138,7 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.98, id_col: str = "
     # a home row meets every block of its cell; the task of (i, j) has homes of i and all of j
     pairs = F.array_union(F.when(F.col("home"), F.transform(spread, lambda j: F.struct(F.col("block").alias("i"), j.alias("j")))).otherwise(F.array().cast("array<struct<i:bigint,j:bigint>>")), F.transform(spread, lambda i: F.struct(i.alias("i"), F.col("block").alias("j"))))
     tasks = placed.select("cls", "n", "cell", "home", "block", "vec", F.explode(pairs).alias("p")).select("cls", "n", F.xxhash64("cell", "p.i", "p.j").alias("task"), (F.col("home") & (F.col("block") == F.col("p.i"))).alias("left"), (F.col("block") == F.col("p.j")).alias("right"), "vec")
-    seen = tasks.repartition("task").sortWithinPartitions("task").mapInArrow(lambda b: _join(b, threshold), "cls bigint, links bigint, other bigint")
+    seen = tasks.repartition("task").sortWithinPartitions("task").mapInArrow(lambda b: trimmed(_join(b, threshold)), "cls bigint, links bigint, other bigint")
     seen = materialise(seen, "seen")
     discard(cells)
     found = components(seen.where("cls <> other").select(F.col("cls").alias("a"), F.col("other").alias("b")))

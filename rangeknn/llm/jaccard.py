@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .blocks import Forest, runs
+from .blocks import Forest, runs, trimmed
 from .graph import components
 from .shingles import WordHasher, grams
 from .storage import materialise, release
@@ -252,7 +252,7 @@ def jaccard_components(docs: DataFrame, percent: int = PERCENT, k: int = K, id_c
     cut = int(counted * 2**63) if counted < 1 else 2**63 - 1
     rows = docs.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).alias("text"))
     # these tables grow with the corpus: merge joins, never a broadcast
-    signed = materialise(rows.mapInArrow(lambda b: _signatures(b, k, cut, percent), "id bigint, n bigint, low bigint, d1 bigint, d2 bigint, x array<bigint>"), "signatures")
+    signed = materialise(rows.mapInArrow(lambda b: trimmed(_signatures(b, k, cut, percent)), "id bigint, n bigint, low bigint, d1 bigint, d2 bigint, x array<bigint>"), "signatures")
     classes = materialise(signed.where("n > 0 and id is not null").groupBy("n", "low", "d1", "d2").agg(F.min("id").alias("class_id"), F.count("*").alias("m")), "classes")
     release(spark)
 
@@ -277,9 +277,9 @@ def jaccard_components(docs: DataFrame, percent: int = PERCENT, k: int = K, id_c
     placed = clusters.select("id", "d1", "d2", "m").join(tasks.hint("merge"), "id")
     release(spark)
     kinds = "id bigint, block bigint, tasks array<struct<task:bigint,inner:boolean>>, d1 bigint, d2 bigint, weight bigint, shingles binary"
-    sets = named.join(placed.hint("merge"), "id").select("id", "text", "block", "tasks", "d1", "d2", "m").mapInArrow(lambda b: _sets(b, k), kinds)
+    sets = named.join(placed.hint("merge"), "id").select("id", "text", "block", "tasks", "d1", "d2", "m").mapInArrow(lambda b: trimmed(_sets(b, k)), kinds)
     work = sets.withColumn("at", F.explode("tasks")).select("id", "block", "at.task", "at.inner", "d1", "d2", "weight", "shingles").repartition("task").sortWithinPartitions("task")
-    links = materialise(work.mapInArrow(lambda b: _link(b, percent), "a bigint, b bigint, n bigint, d1 bigint, d2 bigint, links bigint"), "links")
+    links = materialise(work.mapInArrow(lambda b: trimmed(_link(b, percent)), "a bigint, b bigint, n bigint, d1 bigint, d2 bigint, links bigint"), "links")
     release(spark)
 
     found = components(links.where("a <> b"))

@@ -22,6 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .batch_bpe import BatchBpe
+from .blocks import trimmed
 from .segments import SegmentEncoder
 from .storage import materialise
 
@@ -155,7 +156,7 @@ def pieces(docs: DataFrame, tokenizer_path: str, capacity: int = 4096, end_id: i
     """
     id_type = docs.schema[id_col].dataType.simpleString()
     texts = docs.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-    return texts.mapInArrow(lambda b: _pieces(b, tokenizer_path, spaced, capacity, end_id, limit), f"id {id_type}, piece int, start bigint, length bigint, ids_crc32 bigint")
+    return texts.mapInArrow(lambda b: trimmed(_pieces(b, tokenizer_path, spaced, capacity, end_id, limit)), f"id {id_type}, piece int, start bigint, length bigint, ids_crc32 bigint")
 
 
 def _evolve(batches: Iterator[pa.RecordBatch], capacity: int, how: Evolution, epoch: int) -> Iterator[pa.RecordBatch]:
@@ -195,7 +196,7 @@ def _pack(items: DataFrame, n_items: int, capacity: int, how: Evolution, base: i
     shards = items.groupBy(shard.alias("shard")).agg(F.collect_list(F.struct("length", "id", "piece", "start", "ids_crc32")).alias("items"))
     # all islands would begin alike, so only one sets out; the rest join where it isn't enough
     start = shards.select("shard", F.lit(0).alias("island"), F.array_sort("items").alias("items"), F.lit(None).cast("array<binary>").alias("population"))
-    done = materialise(start.mapInArrow(lambda b: _evolve(b, capacity, how, 0), state_type), f"{name}_0")
+    done = materialise(start.mapInArrow(lambda b: trimmed(_evolve(b, capacity, how, 0)), state_type), f"{name}_0")
     best = done.select("shard", "items", "n_bins", "bound", F.col("population")[0].alias("best"))
     state = done.where("n_bins > bound")
     for epoch in range(1, how.epochs + 1):
@@ -207,13 +208,13 @@ def _pack(items: DataFrame, n_items: int, capacity: int, how: Evolution, base: i
             moved = state.select("shard", ((F.col("island") + 1) % how.islands).alias("island"), F.slice("population", 1, how.elites).alias("guests"))
             state = state.join(moved, ["shard", "island"]).withColumn("population", F.concat("guests", "population"))
         state = state.repartition("shard", "island").select("shard", "island", "items", "population")
-        state = materialise(state.mapInArrow(lambda b, e=epoch: _evolve(b, capacity, how, e), state_type), f"{name}_{epoch}")
+        state = materialise(state.mapInArrow(lambda b, e=epoch: trimmed(_evolve(b, capacity, how, e)), state_type), f"{name}_{epoch}")
         top = state.groupBy("shard").agg(F.min_by("population", F.struct("n_bins", "island")).getItem(0).alias("p"), F.min("n_bins").alias("n"))
         best = best.join(top, "shard", "left").select("shard", "items", F.least("n_bins", F.coalesce("n", "n_bins")).alias("n_bins"), "bound", F.when(F.col("n") < F.col("n_bins"), F.col("p")).otherwise(F.col("best")).alias("best"))
         settled = state.groupBy("shard").agg((F.min("n_bins") > F.min("bound")).alias("open")).where("open").select("shard")
         state = state.join(settled, "shard", "left_semi")
     schema = f"id {id_type}, piece int, start bigint, length bigint, ids_crc32 bigint, sequence_id bigint, offset bigint, fill bigint"
-    return materialise(best.select("shard", "items", "best").mapInArrow(lambda b: _open_bins(b, base), schema), f"{name}_packed")
+    return materialise(best.select("shard", "items", "best").mapInArrow(lambda b: trimmed(_open_bins(b, base)), schema), f"{name}_packed")
 
 
 def pack(docs: DataFrame, tokenizer_path: str, capacity: int = 4096, end_id: int = 1, id_col: str = "doc_id", text_col: str = "text", spaced: bool = False, how: Evolution = Evolution()) -> DataFrame:

@@ -18,6 +18,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .blocks import trimmed
+
 ROUNDS = 8
 
 
@@ -230,4 +232,4 @@ def pseudonymise(docs: DataFrame, key: bytes, text_col: str = "text", kinds_col:
             yield pa.RecordBatch.from_arrays(columns, names=[*batch.schema.names, *[kinds_col] * bool(kinds_col)])
 
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in kept), *[f"`{kinds_col}` map<string,int>"] * bool(kinds_col)])
-    return docs.select(*(F.col(f"`{f.name}`") for f in kept)).mapInArrow(run, schema)
+    return docs.select(*(F.col(f"`{f.name}`") for f in kept)).mapInArrow(lambda b: trimmed(run(b)), schema)

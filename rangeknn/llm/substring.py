@@ -23,6 +23,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .blocks import trimmed
 from .shingles import WordHasher, grams
 from .storage import discard, materialise, release
 
@@ -268,7 +269,7 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_c
     spark = docs.sparkSession
     twin = twin_of(docs, id_col, text_col) if twin is None else twin
     rows = docs.where(F.col(text_col).isNotNull() & F.col(id_col).isNotNull()).select(F.col(id_col).cast("bigint").alias("id"), twin.alias("twin"), F.col(text_col).alias("text"))
-    listed = materialise(rows.mapInArrow(lambda b: _anchors(b, length, gram), "id bigint, twin bigint, at array<struct<y:bigint,first:int,more:int>>"), "representatives")
+    listed = materialise(rows.mapInArrow(lambda b: trimmed(_anchors(b, length, gram)), "id bigint, twin bigint, at array<struct<y:bigint,first:int,more:int>>"), "representatives")
     anchors = listed.select("id", "twin", F.explode("at").alias("at")).select("id", "twin", "at.*")
     # these tables grow with the corpus: merge joins, never a broadcast
     # both sides and the result are written, so that nothing but the join needs a representative's
@@ -285,16 +286,16 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_c
     release(spark)
 
     schema = "y bigint, d bigint, id bigint, twin bigint, starts array<int>, windows int, words binary"
-    seen = materialise(rows.join(kept.hint("merge"), ["id", "twin"]).select("id", "twin", "text", "at").mapInArrow(lambda b: _stretches(b, length), schema), "stretches")
+    seen = materialise(rows.join(kept.hint("merge"), ["id", "twin"]).select("id", "twin", "text", "at").mapInArrow(lambda b: trimmed(_stretches(b, length)), schema), "stretches")
     release(spark)
 
-    combined = seen.select("y", "d", "id", "twin", "starts", "words").mapInArrow(_combine, "y bigint, d bigint, id bigint, twin bigint, start int, m bigint, words binary")
-    grown = combined.repartition("y").sortWithinPartitions("y").mapInArrow(lambda b: _grow(b, length), "y bigint, d bigint, id bigint, twin bigint, start int, repeated array<int>")
+    combined = seen.select("y", "d", "id", "twin", "starts", "words").mapInArrow(lambda b: trimmed(_combine(b)), "y bigint, d bigint, id bigint, twin bigint, start int, m bigint, words binary")
+    grown = combined.repartition("y").sortWithinPartitions("y").mapInArrow(lambda b: trimmed(_grow(b, length)), "y bigint, d bigint, id bigint, twin bigint, start int, repeated array<int>")
     grown = materialise(grown, "grown")
     release(spark)
 
     told = seen.select("y", "d", "id", "twin", "starts", "windows").join(grown.select("y", "d", F.col("id").alias("f_id"), F.col("twin").alias("f_twin"), F.col("start").alias("f_start"), "repeated").hint("merge"), ["y", "d"])
-    spans = told.mapInArrow(lambda b: _spans(b, length), "id bigint, twin bigint, start int, stop int")
+    spans = told.mapInArrow(lambda b: trimmed(_spans(b, length)), "id bigint, twin bigint, start int, stop int")
     return spans.groupBy("id", "twin").agg(F.collect_list(F.struct("start", "stop")).alias("spans"))
 
 
@@ -342,7 +343,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, id_c
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in kept if with_text or f.name != text_col), "n_words bigint, n_removed bigint, kept_sha256 string"])
     found = spans.select(F.col("id").alias("span_id"), F.col("twin").alias("span_twin"), "spans").hint("merge")
     joined = rows.join(found, (F.col(f"`{id_col}`").cast("bigint") == F.col("span_id")) & (F.col("twin") == F.col("span_twin")), "left").drop("span_id", "span_twin", "twin")
-    return joined.mapInArrow(lambda b: _removed(b, text_col, with_text, made), schema)
+    return joined.mapInArrow(lambda b: trimmed(_removed(b, text_col, with_text, made)), schema)
 
 
 def reference_texts(reference: DataFrame, text_col: str = "text") -> list[str]:
@@ -395,4 +396,4 @@ def match_reference(docs: DataFrame, reference: list[str], length: int = LENGTH,
 
     id_type = docs.schema[id_col].dataType.simpleString()
     schema = f"id {id_type}, spans array<struct<start:int,stop:int>>, n_words bigint, n_removed bigint, kept_sha256 string"
-    return docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(run, schema).withColumnRenamed("id", id_col)
+    return docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text")).mapInArrow(lambda b: trimmed(run(b)), schema).withColumnRenamed("id", id_col)

@@ -22,6 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .batch_bpe import BatchBpe
+from .blocks import trimmed
 from .segments import SegmentEncoder
 from .storage import new_path
 
@@ -77,7 +78,7 @@ def token_counts(docs: DataFrame, tokenizer_path: str, cache_path: str | None =
     known = bool(before.head(1))
     misses = keyed.join(before, "digest", "left_anti") if known else keyed
     distinct = misses.select("digest", "text").dropDuplicates(["digest"])
-    fresh = distinct.mapInArrow(lambda batches: count_batches(batches, tokenizer_path, spaced, version, limit), CACHE_SCHEMA)
+    fresh = distinct.mapInArrow(lambda batches: trimmed(count_batches(batches, tokenizer_path, spaced, version, limit)), CACHE_SCHEMA)
     fresh.write.mode("append").parquet(cache_path)
     # nobody else writes to a folder made by this call, so its rows need no collapse
     counts = spark.read.schema(CACHE_SCHEMA).parquet(cache_path).select("digest", "n_tokens") if private else read_cache(spark, cache_path, version)

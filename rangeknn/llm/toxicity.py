@@ -19,6 +19,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .blocks import trimmed
+
 _WORD = re.compile(r"\w+")
 _A, _B, _C = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0x165667B19E3779F9)
 
@@ -155,8 +157,8 @@ def train(docs: DataFrame, labels: DataFrame, settings: Settings = Settings(), i
             yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(w, pa.float64())], names=["feature", "weight"])
 
     id_type = docs.schema[id_col].dataType.simpleString()
-    rows = texts.join(F.broadcast(sample), "id").mapInArrow(hashed, f"turn bigint, id {id_type}, label int, features array<int>")
-    return [tuple(r) for r in rows.repartition(1).mapInArrow(fit, "feature bigint, weight double").collect()]
+    rows = texts.join(F.broadcast(sample), "id").mapInArrow(lambda b: trimmed(hashed(b)), f"turn bigint, id {id_type}, label int, features array<int>")
+    return [tuple(r) for r in rows.repartition(1).mapInArrow(lambda b: trimmed(fit(b)), "feature bigint, weight double").collect()]
 
 
 class Scorer:
@@ -188,4 +190,4 @@ def score(docs: DataFrame, weights: list[tuple[int, float]], settings: Settings
 
     kept = [f for f in docs.schema.fields if f.name != score_col]
     schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in kept), f"`{score_col}` double"])
-    return docs.select(*(F.col(f"`{f.name}`") for f in kept)).mapInArrow(run, schema)
+    return docs.select(*(F.col(f"`{f.name}`") for f in kept)).mapInArrow(lambda b: trimmed(run(b)), schema)
