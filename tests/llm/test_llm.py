@@ -508,7 +508,7 @@ def test_pipeline_on_a_small_corpus(spark, tmp_path):
     words = [f"w{i}" for i in range(2000)]
     clean = [" ".join(rng.choices(words, k=60)) for _ in range(60)]
     passage = " ".join(f"q{i}" for i in range(60))
-    texts = [*clean, clean[3], clean[4] + " tail", *(f"{passage} {rng.choice(words)} u{i}" + " " + " ".join(rng.choices(words, k=200)) for i in range(3)), "call +1 (988) 555-2485 now"]
+    texts = [*clean, clean[3], clean[4] + " tail", *(f"{passage} {rng.choice(words)} u{i}" + " " + " ".join(rng.choices(words, k=200)) for i in range(3)), "call +1 (988) 555-2485 now", "from 1.2.3.4 on 1/2/2020"]
     texts += [" ".join([*rng.choices(words, k=30), "vile", "awful"]) for _ in range(20)]
     rows = [(i, t, "en", "s", len(t)) for i, t in enumerate(texts)] + [(500, None, None, None, None), (501, "", "en", "s", 0)]
     schema = "doc_id bigint, text string, lang string, source string, n_chars bigint"
@@ -519,11 +519,12 @@ def test_pipeline_on_a_small_corpus(spark, tmp_path):
     for _, stage in corpus_pipeline.STAGES[:-1]:
         docs = stage(spark, docs, str(tmp_path))
         assert docs.columns == corpus_pipeline.COLUMNS
+        assert docs.where("n_chars <> length(text)").count() == 0
         kept.append({r["doc_id"]: r["text"] for r in docs.collect()})
     assert not toxic & set(kept[0]) and set(range(60)) <= set(kept[0])
     assert set(kept[0]) - set(kept[1]) == {60, 61}
     assert sum(passage in (t or "") for t in kept[2].values()) == 1
-    assert "988" not in kept[3][65] and kept[3][65].startswith("call +1 (")
+    assert "1.2.3.4" not in kept[3][66] and "988" not in kept[3][65] and kept[3][65].startswith("call +1 (")
     last = corpus_pipeline.run(spark, str(tmp_path))
     assert {r["doc_id"] for r in last.collect()} == set(kept[3])
     assert last.groupBy("sequence_id").agg(F.sum("length").alias("n")).where("n > 4096").count() == 0
