@@ -32,7 +32,7 @@ PERCENT = 80
 #: Share of the hash range whose shingles are counted: the prefixes take a fifth, and some more.
 COUNTED = 0.25
 #: Bounds of a block: its shingles, and its sets, so that the overlaps of two blocks are held at once.
-BLOCK_SHINGLES = 2_000_000
+BLOCK_SHINGLES = 1_000_000
 BLOCK_SETS = 700
 #: Overlaps of a block of rows, and steps of their sum, that a task holds at once.
 CELLS = 2_000_000

@@ -23,7 +23,7 @@ class _Numbers(dict):
 class WordHasher:
     """Words are the runs between the ASCII characters space and 9 to 13."""
 
-    def __init__(self, limit: int = 400_000) -> None:
+    def __init__(self, limit: int = 120_000) -> None:
         self.limit, self.memo = limit, _Numbers()
 
     def numbers(self, words: list[bytes]) -> np.ndarray:

@@ -49,7 +49,7 @@ class Settings:
 class Hasher:
     """Feature numbers of a text: of its words, neighbours and pairs a few words apart."""
 
-    def __init__(self, settings: Settings, limit: int = 500_000) -> None:
+    def __init__(self, settings: Settings, limit: int = 120_000) -> None:
         self.settings, self.limit, self.memo = settings, limit, {}
 
     def features(self, text: str) -> np.ndarray:
