@@ -111,3 +111,70 @@ def range_lune(ranked: DataFrame, pairs: DataFrame, between: bool = True) -> Dat
     near = (F.col("rank") > F.least("x", "y")) & (F.col("rank") < F.greatest("x", "y")) if between else ~F.col("rank").isin(F.col("x"), F.col("y"))
     met = ends.join(v, near)
     return met.where((l2_sq(F.col("vx"), F.col("vec")) < F.col("d")) & (l2_sq(F.col("vy"), F.col("vec")) < F.col("d"))).select("x", "y", F.col("rank").alias("z"))
+
+
+def lune_counts(ranked: DataFrame, pairs: DataFrame, between: bool = True, shard_rows: int = index.SHARD_ROWS, block: int = 1_024) -> DataFrame:
+    """(x, y, n): the number of witnesses of each pair (x, y) of ranks, as ``range_lune`` lists them.
+
+    Blocks of pairs go to the shards that can hold witnesses, with ``between`` those from one end to the other, and
+    leave them as one number a pair; null, if an end is no rank, does not occur: such pairs are left out.
+    """
+    packed = materialise(index.shards(ranked, shard_rows), "shards")
+    v = ranked.select("rank", F.col("vec").cast("array<double>").alias("vec"))
+    ends = pairs.select("x", "y").distinct().join(v.toDF("x", "vx"), "x").join(v.toDF("y", "vy"), "y")
+    place = lambda rank: ((rank - 1) / shard_rows).cast("bigint")
+    first, last = (place(F.least("x", "y")), place(F.greatest("x", "y"))) if between else (F.lit(0).cast("bigint"), F.lit(packed.count() - 1).cast("bigint"))
+    asked = ends.withColumn("shard", F.explode(F.sequence(first, last)))
+    n_blocks = max(1, math.ceil(pairs.count() / block))
+    blocks = asked.groupBy("shard", F.pmod(F.xxhash64("x", "y"), F.lit(n_blocks)).alias("block")).agg(F.collect_list(F.struct("x", "y", "vx", "vy")).alias("asks"))
+
+    def count(batches):
+        for batch in batches:
+            for i in range(batch.num_rows):
+                base, asks = batch.column("first_rank")[i].as_py(), batch.column("asks")[i].values
+                vecs = np.frombuffer(batch.column("vecs")[i].as_py()).reshape(-1, batch.column("dim")[i].as_py())
+                xs, ys = (asks.field(c).to_numpy(zero_copy_only=False) for c in ("x", "y"))
+                vx, vy = (asks.field(c).flatten().to_numpy(zero_copy_only=False).reshape(len(xs), -1) for c in ("vx", "vy"))
+                n = np.zeros(len(xs), np.int64)
+                for j, (x, y) in enumerate(zip((xs - base).tolist(), (ys - base).tolist(), strict=True)):
+                    a, b = (max(0, min(x, y) + 1), max(0, max(x, y))) if between else (0, len(vecs))
+                    met = vecs[a:b]
+                    apart = kernels.d2(vx[j], np.stack([vy[j], vy[j]]))[0]
+                    hit = (kernels.d2(vx[j], met) < apart) & (kernels.d2(vy[j], met) < apart)
+                    ours = [e - a for e in (x, y) if a <= e < a + len(met)]
+                    n[j] = hit.sum() - hit[ours].sum()
+                yield pa.RecordBatch.from_arrays([pa.array(xs), pa.array(ys), pa.array(n)], names=["x", "y", "n"])
+
+    parts = packed.select("shard", "first_rank", "dim", "vecs").join(blocks, "shard").mapInArrow(count, "x bigint, y bigint, n bigint")
+    return parts.groupBy("x", "y").agg(F.sum("n").alias("n"))
+
+
+def greedy_paths(ranked: DataFrame, edges: DataFrame, pairs: DataFrame, max_hops: int = 200) -> DataFrame:
+    """(x, y, hops, reached): greedy walks between stored objects, all of them at once, a hop at a time.
+
+    Each step goes to the neighbour nearest to y, ties to the smaller rank, and ends at y or where none is nearer
+    than the place itself. edges and pairs(x, y) by ranks; pairs whose ends are no ranks are left out.
+    """
+    v = ranked.select("rank", "vec")
+    start = pairs.select("x", "y").distinct().join(v.toDF("x", "vx"), "x").join(v.toDF("y", "vy"), "y")
+    walk = start.select("x", "y", F.col("x").alias("at"), l2_sq(F.col("vx"), F.col("vy")).alias("d"), F.lit(0).cast("bigint").alias("hops"))
+    target = v.toDF("y", "vy")
+    done = None
+    for _ in range(max_hops):
+        walk = materialise(walk, "walk")
+        here = walk.where("at <> y")
+        if not here.head(1):
+            break
+        near = here.join(edges.toDF("at", "to"), "at").join(target, "y").join(v.toDF("to", "vt"), "to")
+        best = near.groupBy("x", "y").agg(F.min(F.struct(l2_sq(F.col("vt"), F.col("vy")).alias("e"), "to")).alias("b"))
+        moved = here.join(best, ["x", "y"], "left")
+        moves = F.col("b").isNotNull() & ((F.col("b.e") < F.col("d")) | (F.col("b.to") == F.col("y")))
+        over = walk.where("at = y").select("x", "y", "hops", F.lit(True).alias("reached"))
+        over = over.union(moved.where(~F.coalesce(moves, F.lit(False))).select("x", "y", "hops", F.lit(False)))
+        over = materialise(over, "ended")
+        done = over if done is None else done.union(over)
+        walk = moved.where(moves).select("x", "y", F.col("b.to").alias("at"), F.col("b.e").alias("d"), (F.col("hops") + 1).alias("hops"))
+    else:
+        raise RuntimeError(f"paths are longer than {max_hops} hops")
+    last = walk.select("x", "y", "hops", F.lit(True).alias("reached"))
+    return last if done is None else done.union(last)

@@ -141,13 +141,39 @@ _named("edge_intersect", f"{index_sql()} SELECT src, dst FROM graph INTERSECT {_
 _named("edge_except", f"{index_sql()} SELECT src, dst FROM graph EXCEPT {_WINDOW}", _against_window("exceptAll"))
 
 
-@registered(f"{index_sql()} SELECT 0::BIGINT AS n, count(*) AS edges FROM graph WHERE src BETWEEN 101 AND 300 AND dst BETWEEN 101 AND 300")
+def ten_intervals(s: Setup) -> list[tuple[int, int, int]]:
+    """(number, first rank, last rank) of ten intervals of a tenth of the ranks each, by the workload rule."""
+    n = s.ranked.count()
+    w = max(1, n // 10)
+    return [(i, 1 + i * 7919 % (n - w + 1), i * 7919 % (n - w + 1) + w) for i in range(10)]
+
+
+#: Edges of ``graph`` within the ten intervals, with the number of differences there must be.
+INSIDE_SQL = """, i AS (SELECT unnest(range(0, 10)) AS i), w AS (SELECT greatest(1, n // 10) AS w, n FROM n),
+parts AS (SELECT 1 + i * 7919 % (n - w + 1) AS r_lo, i * 7919 % (n - w + 1) + w AS r_hi FROM i, w)
+SELECT r_lo, r_hi, 0::BIGINT AS n, count(src) AS edges FROM parts LEFT JOIN graph ON src BETWEEN r_lo AND r_hi AND dst BETWEEN r_lo AND r_hi GROUP BY r_lo, r_hi"""
+
+
+def same_inside(s: Setup, graph: DataFrame, again: Callable[[int, int], DataFrame]) -> DataFrame:
+    """(r_lo, r_hi, n, edges): by how many edges ``again(first, last)`` differs from the graph's part inside, for ten intervals."""
+    out = None
+    for _, lo, hi in ten_intervals(s):
+        inside = exact.induce(graph, lo, hi)
+        n = exact.difference(inside, again(lo, hi)).agg(F.count("*").alias("n"))
+        row = n.join(inside.agg(F.count("*").alias("edges")), F.lit(True)).select(F.lit(lo).cast("bigint").alias("r_lo"), F.lit(hi).cast("bigint").alias("r_hi"), "n", "edges")
+        out = row if out is None else out.union(row)
+    return out
+
+
+@registered(f"{index_sql()}{INSIDE_SQL}")
 def restriction_diff(spark: SparkSession, d: str) -> DataFrame:
-    """Candidates cut to ranks 101-300 before the prune give the index's own edges inside: no difference, among so many edges."""
+    """For ten intervals, candidates cut to their ranks before the prune give the index's own edges inside: no difference, among so many."""
     s = Setup(spark, d)
-    inside = exact.induce(_edges(s), 101, 300)
-    cut = index.edges(index.build(s.ranked, SMALL, within=(101, 300))).select(F.col("src_rank").alias("src"), F.col("dst_rank").alias("dst"))
-    return exact.difference(inside, cut).agg(F.count("*").alias("n")).join(inside.agg(F.count("*").alias("edges")), F.lit(True))
+    centre = index.global_centroid(s.ranked)
+    packed = materialise(s.packed(), "shards")
+    ranks = lambda built: index.edges(built).select(F.col("src_rank").alias("src"), F.col("dst_rank").alias("dst"))
+    whole = materialise(ranks(index.build_packed(packed, SMALL, centre)), "edges")
+    return same_inside(s, whole, lambda lo, hi: ranks(index.build_packed(packed, SMALL, centre, (lo, hi))))
 
 
 @registered(f"{index_sql()} SELECT 0::BIGINT AS n, count(*) AS edges FROM graph")
@@ -352,3 +378,46 @@ def experiment_rate_approx(spark: SparkSession, d: str, target: float = 0.95) ->
     rate = at.select(parts[0].alias("method"), parts[1].cast("int").alias("k"), F.round(F.lit(1e6) / F.col("cost"), 1).alias("qps"), "max_recall")
     base = F.max(F.when(F.col("method") == "segment tree", F.col("qps"))).over(Window.partitionBy("k"))
     return rate.withColumn("ratio", F.round(F.col("qps") / base, 3))
+
+
+# More streams: late rows, quality of results, an index that grows.
+
+
+@registered("""WITH a AS (SELECT *, event_id % 2 AS batch FROM events), h AS (SELECT max(epoch_us(ts)) AS high FROM a WHERE batch = 0)
+SELECT batch, count(*) AS n_rows, count(*) FILTER (batch = 1 AND epoch_us(ts) < high - 86400000000) AS late FROM a, h GROUP BY batch""")
+def stream_late_rows(spark: SparkSession, d: str) -> DataFrame:
+    """Events of even ids come first, then the others; those more than a day behind what was seen are late."""
+    root = posixpath.join(index.checkpoint_root(spark), "rangeknn", uuid.uuid4().hex)
+    e = table(spark, d, "events")
+    for part in (0, 1):
+        e.where(F.col("event_id") % 2 == part).coalesce(1).write.mode("append").parquet(f"{root}/in")
+    source = spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).parquet(f"{root}/in")
+    stream.late_rows(source, 86_400, root).awaitTermination()
+    return spark.read.schema("n_rows bigint, late bigint, batch bigint").parquet(f"{root}/rows").select("batch", "n_rows", "late")
+
+
+_T_SQL = E_SQL.replace("o_totalprice::DOUBLE", "epoch_us(ts)::DOUBLE").replace("orders ON vec_id = o_orderkey", "events ON vec_id = event_id")
+
+
+@registered(f"""WITH {_T_SQL}, {intervals_sql()}, h AS (SELECT qid, any_value(lo) AS lo, least(10, count(*)) AS hits FROM q JOIN r ON attr BETWEEN lo AND hi GROUP BY qid)
+SELECT date_trunc('day', make_timestamp(lo::BIGINT)) AS window_start, count(*) AS queries, sum(hits)::BIGINT AS hits, round(avg(hits / 10), 6) AS recall FROM h GROUP BY 1""")
+def stream_quality(spark: SparkSession, d: str) -> DataFrame:
+    """Recall by the day at which a query's interval begins, from results that come as a stream."""
+    s = Setup(spark, d, "T")
+    found = metrics.recall_at_k(index.search(s.built(), s.queries, graph_kernel(LARGE_EF)), s.truth(), 10)
+    at = s.queries.select("qid", F.timestamp_micros(F.col("lo").cast("bigint")).alias("at"))
+    rows = materialise(found.join(at, "qid").select("at", "hits", "recall").repartition(3), "results")
+    source = spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(rows.inputFiles()[0].rsplit("/", 1)[0])
+    got = stream.drained(stream.quality_windows(source), "complete")
+    return got.where(F.col("batch") == got.agg(F.max("batch")).first()[0]).drop("batch")
+
+
+@registered(_KNN)
+def stream_append_search(spark: SparkSession, d: str) -> DataFrame:
+    """Objects come in several batches, each a segment of the index; queries ask all of them."""
+    s = Setup(spark, d)
+    root = posixpath.join(index.checkpoint_root(spark), "rangeknn", uuid.uuid4().hex)
+    rows = materialise(s.ranked.select("id", "vec", "attr").repartition(3, "id"), "objects")
+    source = spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(rows.inputFiles()[0].rsplit("/", 1)[0])
+    stream.append_stream(source, root, SMALL).awaitTermination()
+    return shown(stream.search_segments(spark, root, s.queries, graph_kernel(LARGE_EF)))

@@ -104,23 +104,66 @@ def udtf_range_knn(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.sql(f"SELECT qid, t.rn, t.id, round(sqrt(t.d2), 6) AS dist FROM rk_queries, LATERAL range_knn('{path}', qvec, lo, hi, k) t")
 
 
+def _by_rank(ranked: DataFrame, pairs: DataFrame) -> DataFrame:
+    """Pairs (src, dst) of ids as pairs of ranks."""
+    place = ranked.select("id", "rank")
+    return pairs.join(place.toDF("src", "a"), "src").join(place.toDF("dst", "b"), "dst").select(F.col("a").alias("src"), F.col("b").alias("dst"))
+
+
 def _lune_sql(cond: str) -> str:
-    return f"""WITH {E_SQL} SELECT a.rank AS x, b.rank AS y, z.rank AS z FROM r a JOIN r b ON b.rank = a.rank + 20 JOIN r z ON {cond}
-WHERE list_distance(a.vec, z.vec) < list_distance(a.vec, b.vec) AND list_distance(b.vec, z.vec) < list_distance(a.vec, b.vec)"""
+    """Pairs x < y of candidates of the index, either of which is one of the other's."""
+    return f"""{index_sql().replace("b.rank) AS k", "b.id) AS k")},
+pairs AS (SELECT DISTINCT least(x, y) AS x, greatest(x, y) AS y FROM (SELECT x, unnest(near) AS y FROM c))
+SELECT pairs.x, pairs.y, len(list_filter({cond}, lambda z: z <> pairs.x AND z <> pairs.y AND a.ds[z] < a.ds[pairs.y] AND b.ds[z] < a.ds[pairs.y])) AS n
+FROM pairs JOIN p a ON a.x = pairs.x JOIN p b ON b.x = pairs.y"""
 
 
 def _lune(between: bool) -> Callable[[SparkSession, str], DataFrame]:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """Witnesses of every pair of candidates of the index, counted."""
         ranked = Setup(spark, sf_dir).ranked
-        x = ranked.select(F.col("rank").alias("x"))
-        pairs = x.join(x.select(F.col("x").alias("y")), F.col("y") == F.col("x") + 20)
-        return frontier.range_lune(ranked, pairs, between)
+        near = _by_rank(ranked, frontier.exact_knn(ranked, SMALL.spatial)).union(index.window_pairs(ranked, SMALL.window))
+        pairs = materialise(near.select(F.least("src", "dst").alias("x"), F.greatest("src", "dst").alias("y")).distinct(), "pairs")
+        return frontier.lune_counts(ranked, pairs, between)
 
     return run
 
 
-_named("range_lune_sample", _lune_sql("z.rank > a.rank AND z.rank < b.rank"), _lune(True))
-_named("lune_sample", _lune_sql("z.rank NOT IN (a.rank, b.rank)"), _lune(False))
+_named("range_lune_counts", _lune_sql("range(pairs.x + 1, pairs.y)"), _lune(True))
+_named("lune_counts", _lune_sql("range(1, len(a.ds) + 1)"), _lune(False))
+
+
+@registered(f"{index_sql().replace('b.rank) AS k', 'b.id) AS k')} SELECT src, dst FROM graph")
+def reused_knn_edges(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The index built on a k-NN graph that is there already."""
+    ranked = Setup(spark, sf_dir).ranked
+    near = materialise(_by_rank(ranked, frontier.exact_knn(ranked, SMALL.spatial)), "knn")
+    return index.edges(index.build(ranked, SMALL, knn_graph=near)).select(F.col("src_rank").alias("src"), F.col("dst_rank").alias("dst"))
+
+
+@registered(_KNN)
+def stored_without_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Graph and entry pointers are stored by shard, vectors come back from the objects."""
+    s = Setup(spark, sf_dir)
+    path = posixpath.join(index.checkpoint_root(spark), "rangeknn", uuid.uuid4().hex)
+    index.save(s.built(rows=200), path, vectors=False)
+    return shown(index.search(index.load(spark, path, s.ranked, 200), s.queries, graph_kernel(LARGE_EF)))
+
+
+@registered(f"""{scan_graph_sql()},
+walk(x, y, spot, hops) AS (
+  SELECT rank, 1 + rank * 7919 % n, rank, 0::BIGINT FROM r, n
+  UNION ALL
+  SELECT w.x, w.y, arg_min(g.dst, {{'d': t.ds[g.dst], 'r': g.dst}}), w.hops + 1 FROM walk w JOIN graph g ON g.src = w.spot JOIN p t ON t.x = w.y WHERE w.spot <> w.y GROUP BY w.x, w.y, w.spot, w.hops, t.ds[w.spot]
+  HAVING min(t.ds[g.dst]) < t.ds[w.spot])
+SELECT x, y, max(hops) AS hops, bool_or(spot = y) AS reached FROM walk GROUP BY x, y""")
+def greedy_walks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """From every object a greedy walk on the exact graph to one stored target."""
+    ranked = Setup(spark, sf_dir).ranked
+    n = ranked.count()
+    graph = materialise(exact.between_graph(ranked), "graph")
+    return frontier.greedy_paths(ranked, graph, ranked.select(F.col("rank").alias("x"), (F.col("rank") * 7919 % n + 1).alias("y")))
+
 
 _NEAREST = f"""WITH {E_SQL} SELECT src, dst FROM (SELECT a.id AS src, b.id AS dst, row_number() OVER (PARTITION BY a.id ORDER BY list_distance(a.vec, b.vec), b.id) AS k FROM r a JOIN r b ON a.id <> b.id) WHERE k <= 16"""
 

@@ -7,13 +7,14 @@ import uuid
 from collections.abc import Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from pyspark.sql.types import LongType, StructField, StructType
 
-from rangeknn.operators.index import Kernel, checkpoint_root, materialise, scan_kernel, search
+from rangeknn.operators import kernels
+from rangeknn.operators.index import GRAPH_TYPE, SHARD_ROWS, Kernel, build, checkpoint_root, materialise, scan_kernel, search, validate, with_rank
 
 
 def search_stream(queries_stream: DataFrame, packed: DataFrame, sink_path: str, checkpoint: str, kernel: Kernel = scan_kernel):
@@ -83,4 +84,65 @@ def drained(streaming: DataFrame, mode: str) -> DataFrame:
     schema = StructType([*streaming.schema.fields, StructField("batch", LongType())])
     return spark.read.schema(schema).parquet(f"{root}/rows").select(*schema.names)
 
-__all__ = ["drained", "followed_by", "fresh", "materialise", "recent", "search_stream", "tumbling_counts"]
+
+
+def late_rows(events: DataFrame, delay_s: int, root: str):
+    """Counts, batch by batch, the rows that come later than ``delay_s`` behind the newest time of the batches before.
+
+    Written to root/rows as (batch, n_rows, late, high); rows without a time are counted, never late. A batch that is run
+    again replaces its own row, and the newest time is read back from the rows, so a restart goes on where it was.
+    """
+    spark = events.sparkSession
+    schema = "n_rows bigint, late bigint, high bigint, batch bigint"
+
+    def one(batch: DataFrame, n: int) -> None:
+        path = f"{root}/rows"
+        seen = spark.read.schema(schema).parquet(path).where(F.col("batch") < n).agg(F.max("high")).first()[0] if n else None
+        at = F.unix_micros(F.col("ts").cast("timestamp"))
+        late = F.lit(False) if seen is None else F.coalesce(at < seen - delay_s * 1_000_000, F.lit(False))
+        row = batch.agg(F.count("*").alias("n_rows"), F.count_if(late).alias("late"), F.max(at).alias("high"))
+        row.write.mode("overwrite").parquet(f"{path}/batch={n}")
+
+    return events.writeStream.foreachBatch(one).option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start()
+
+
+def quality_windows(results: DataFrame, width: str = "1 day", watermark: str = "2 hours") -> DataFrame:
+    """(window_start, queries, hits, recall) of results (at, hits, recall) by the time of their queries, as a stream or a table."""
+    timed = results.withWatermark("at", watermark) if results.isStreaming else results
+    sums = timed.groupBy(F.window("at", width).alias("w")).agg(F.count("*").alias("queries"), F.sum("hits").alias("hits"), F.round(F.avg("recall"), 6).alias("recall"))
+    return sums.select(F.col("w.start").alias("window_start"), "queries", "hits", "recall")
+
+
+def append_stream(objs: DataFrame, root: str, how: kernels.Params = kernels.Params(), shard_rows: int = SHARD_ROWS):
+    """New objects (id, vec, attr) of a stream become an index of their own, a segment for each batch under root/segments.
+
+    What is there is not rebuilt. A batch that is run again replaces its own segment; a batch without a valid object writes none.
+    """
+
+    def one(batch: DataFrame, n: int) -> None:
+        ranked = materialise(with_rank(validate(batch)), "ranked")
+        if ranked.head(1):
+            build(ranked, how, shard_rows).write.mode("overwrite").parquet(f"{root}/segments/segment={n}")
+
+    return objs.writeStream.foreachBatch(one).option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start()
+
+
+def search_segments(spark: SparkSession, root: str, queries: DataFrame, kernel: Kernel = scan_kernel) -> DataFrame:
+    """The k nearest over all segments of ``append_stream``: each is asked on its own, and the lists meet in one window.
+
+    Cost grows with the number of segments; many small ones are best put together by a build of all objects anew.
+    """
+    stored = spark.read.schema(f"{GRAPH_TYPE}, segment bigint").parquet(f"{root}/segments")
+    names = [r["segment"] for r in stored.select("segment").distinct().orderBy("segment").collect()]
+    found = None
+    for name in names:
+        one = search(stored.where(F.col("segment") == name).drop("segment"), queries, kernel)
+        found = one if found is None else found.unionByName(one)
+    if found is None:
+        return spark.createDataFrame([], "qid bigint, rn int, id bigint, d2 double, n_dist bigint, n_hops bigint")
+    ks = queries.select(F.col("qid").cast("bigint").alias("qid"), "k")
+    best = Window.partitionBy("qid").orderBy("d2", "id")
+    return found.drop("rn").join(ks, "qid").withColumn("rn", F.row_number().over(best)).where("rn <= k").select("qid", "rn", "id", "d2", "n_dist", "n_hops")
+
+
+__all__ = ["append_stream", "drained", "followed_by", "fresh", "late_rows", "materialise", "quality_windows", "recent", "search_segments", "search_stream", "tumbling_counts"]
