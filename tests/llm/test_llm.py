@@ -492,12 +492,13 @@ def test_jaccard_counts_every_link(spark, block):
     assert sorted((r["doc_id"] or 0, r["n_links"]) for r in few) == [(0, 0), (0, 0), (1, 1), (2, 1)]
 
 
-def test_components(spark):
+@pytest.mark.parametrize("last_edges", [0, 300, 200_000])
+def test_components(spark, last_edges):
     rng = random.Random(3)
     links = [(i, i + 1) for i in range(300)] + [(1000, 1000 + i) for i in range(1, 60)] + [(rng.randrange(400, 900), rng.randrange(400, 900)) for _ in range(200)] + [(2000, 2000)]
     ids = {x for e in links for x in e}
     want = brute_components(2001, links)
-    got = {r["id"]: r["component_id"] for r in graph.components(spark.createDataFrame([*links, (None, 1)], "a bigint, b bigint")).collect()}
+    got = {r["id"]: r["component_id"] for r in graph.components(spark.createDataFrame([*links, (None, 1)], "a bigint, b bigint"), last_edges).collect()}
     assert got == {i: want[i] for i in ids}
 
 
