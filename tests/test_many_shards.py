@@ -3,7 +3,9 @@
 import numpy as np
 import pytest
 
-from rangeknn.operators import frontier, index, kernels
+from rangeknn.operators import exact, frontier, index, kernels
+from rangeknn.plans import queries  # noqa: F401  registers all queries
+from rangeknn.plans import around, methods
 
 N, ROWS = 120, 25
 
@@ -40,3 +42,55 @@ def test_frontier_enters_every_shard(sharded, ef):
     if ef > N:
         want = {q: at[np.argsort(kernels.d2(vec[q], x[at]))[:7]].tolist() for q, at in inside.items() if len(at)}
         assert {q: [v[n] for n in sorted(v)] for q, v in got.items()} == want
+
+
+def test_a_pool_that_holds_the_interval_visits_what_the_walk_reaches():
+    """Rounds of whole fronts give what the walk one by one gives, also where an interval falls into parts."""
+    x = np.random.default_rng(3).normal(size=(200, 4))
+    x[9] = x[60]
+    for how in (kernels.Params(5, 4, 6), kernels.Params(3, 0, 3, prune="spatial")):
+        start, nbrs = kernels.build(x, how)
+        for lo, hi, k in ((0, 199, 10), (30, 90, 10), (30, 90, 100), (7, 7, 3), (40, 60, 5)):
+            for entry in {lo, hi, (lo + hi) // 2}:
+                one = kernels.beam(start, nbrs, x, x[9], lo, hi, k, 10_000, entry, expand=lambda p, s=start, n=nbrs: n[s[p] : s[p + 1]])
+                assert kernels.beam(start, nbrs, x, x[9], lo, hi, k, 10_000, entry) == one
+
+
+def test_witness_scan_looks_only_at_what_is_left(monkeypatch):
+    rng = np.random.default_rng(4)
+    rows = rng.normal(size=(3_000, 64))
+    own, looked, plain = kernels.d2(np.zeros(64), rows), [], kernels.d2
+    monkeypatch.setattr(kernels, "d2", lambda x, r: looked.append(len(r)) or plain(x, r))
+    kept = kernels.between(rows, own, None)
+    assert len(kept) > 3 and sum(looked) < len(rows) * len(kept) / 2
+
+
+def test_broadcast_join_of_many_attributes(spark):
+    vecs = spark.createDataFrame([(i, i % 3) for i in range(40)], "vec_id bigint, label int")
+    attrs = spark.createDataFrame([(i % 60, float(i)) for i in range(90)], "vec_id bigint, price double")
+    want = sorted(map(tuple, vecs.join(attrs, "vec_id").collect()))
+    for most in (100, 50, 30):  # the attributes, the vectors, slices of the attributes
+        assert sorted(map(tuple, around.broadcast_attach(vecs, attrs, "vec_id", most).collect())) == want
+
+
+def test_exact_graphs_take_more_than_five_thousand_objects(spark):
+    n = 5_100
+    ranked = spark.range(1, n + 1).selectExpr("id as rank", "array(double(id), 0d) as vec")
+    got = exact.between_graph(ranked)
+    assert got.count() == 2 * (n - 1) and got.where("abs(src - dst) <> 1").count() == 0
+
+
+def test_exact_graphs_check_what_they_broadcast(spark, monkeypatch):
+    monkeypatch.setattr(exact, "MAX_BYTES", 100)
+    with pytest.raises(ValueError, match="broadcast"):
+        exact.mrng(spark.range(1, 9).selectExpr("id as rank", "array(double(id), 0d) as vec"))
+
+
+def test_cost_at_recall_reads_the_given_documents(spark, tmp_path):
+    docs = [(i, "en", 1_000 - i) for i in range(100)] + [(200, "fr", 10), (201, None, 10), (202, "de", 5)]
+    spark.createDataFrame(docs, "doc_id bigint, lang string, n_chars bigint").write.parquet(f"{tmp_path}/documents.parquet")
+    marks = [(i, int(i < 10)) for i in range(100)] + [(200, 1), (201, 1), (202, 0)]
+    spark.createDataFrame(marks, "doc_id bigint, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    got = {r["method"]: (r["cost"], r["max_recall"]) for r in methods.cost_at_recall(spark, str(tmp_path)).collect()}
+    # en: lengths 1000 and 901-999 in steps of 250: one document with one of ten hits, then all hundred
+    assert got == {"en": (pytest.approx(1 + (0.95 - 0.1) * 99 / 0.9), 1.0), "fr": (1.0, 1.0)}
