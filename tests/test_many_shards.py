@@ -2,8 +2,9 @@
 
 import numpy as np
 import pytest
+from pyspark import TaskContext
 
-from rangeknn.operators import exact, frontier, index, kernels
+from rangeknn.operators import baselines, exact, frontier, index, kernels
 from rangeknn.plans import queries  # noqa: F401  registers all queries
 from rangeknn.plans import around, methods
 
@@ -94,3 +95,56 @@ def test_cost_at_recall_reads_the_given_documents(spark, tmp_path):
     got = {r["method"]: (r["cost"], r["max_recall"]) for r in methods.cost_at_recall(spark, str(tmp_path)).collect()}
     # en: lengths 1000 and 901-999 in steps of 250: one document with one of ten hits, then all hundred
     assert got == {"en": (pytest.approx(1 + (0.95 - 0.1) * 99 / 0.9), 1.0), "fr": (1.0, 1.0)}
+
+
+def test_lanes_and_shuffled_queries_answer_alike(sharded, monkeypatch):
+    _, _, built, queries, _ = sharded
+    rows = lambda **how: sorted(map(tuple, index.search(built, queries, **how).collect()))
+    want = rows(kernel=index.builds(lambda *a: index.scan_kernel(*a)))
+    assert want and rows() == want
+    monkeypatch.setattr(index, "BROADCAST_BYTES", 0)
+    assert rows() == want
+
+
+def test_one_large_shard_is_dealt_to_several_tasks(spark):
+    x = np.random.default_rng(1).normal(size=(200, 3))
+    objs = spark.createDataFrame([(i, i + 1, float(i), v.tolist()) for i, v in enumerate(x)], "id bigint, rank bigint, attr double, vec array<double>")
+    queries = spark.createDataFrame([(i, v.tolist(), None, None, 1) for i, v in enumerate(x)], "qid bigint, qvec array<double>, lo double, hi double, k int")
+    task = lambda *a: ([(0.0, 0)], TaskContext.get().partitionId(), 0)
+    places = index.search(index.materialise(index.shards(objs), "shards"), queries, task).select("n_dist").distinct().count()
+    assert places > 1
+    assert index.search(index.materialise(index.shards(objs), "shards"), queries, index.builds(task)).select("n_dist").distinct().count() == 1
+
+
+def test_broadcast_counts_every_shard_that_a_query_meets(sharded, monkeypatch):
+    _, _, built, queries, inside = sharded
+    asks = sum(len({p // ROWS for p in at.tolist()}) for at in inside.values())
+    plan = lambda: index.search(built, queries)._jdf.queryExecution().optimizedPlan().toString()
+    monkeypatch.setattr(index, "BROADCAST_BYTES", asks * (4 * 8 + 96))
+    assert "strategy=broadcast" in plan()
+    monkeypatch.setattr(index, "BROADCAST_BYTES", asks * (4 * 8 + 96) - 1)
+    assert "strategy=broadcast" not in plan()
+
+
+def test_hashing_compares_what_shares_a_bucket(sharded):
+    x, ranked, _, queries, inside = sharded
+    vec = {r["qid"]: np.array(r["qvec"]) for r in queries.collect()}
+    got = {}
+    for r in baselines.hashed_search(ranked, queries, width=1e9).collect():
+        got.setdefault(r["qid"], {})[r["rn"]] = r["id"]
+    # buckets that are cut at zero only: everything on the query's side of any line
+    assert set(got) <= {q for q, at in inside.items() if len(at)} and got
+    narrow = {(r["qid"], r["id"]) for r in baselines.hashed_search(ranked, queries, width=0.5).collect()}
+    assert all(i in inside[q] for q, i in narrow)
+    assert all(kernels.d2(vec[r["qid"]], x[r["id"] : r["id"] + 1])[0] == pytest.approx(r["d2"]) for r in baselines.hashed_search(ranked, queries).collect())
+
+
+def test_settings_that_differ_by_the_pool_share_their_truth(sharded):
+    _, _, built, queries, _ = sharded
+    settings = [("a", 10, 3), ("a", 20, 3), ("a", 10, 5), ("a", 20, 5)]
+    asked = None
+    for i, (_, _, k) in enumerate(settings):
+        one = queries.selectExpr(f"qid * 1000 + {i} as qid", "qvec", "lo", "hi", f"{k} as k")
+        asked = one if asked is None else asked.union(one)
+    want = sorted(map(tuple, index.search(built, asked).select("qid", "id").collect()))
+    assert sorted(map(tuple, methods.truth_of(built, asked, settings).select("qid", "id").collect())) == want
