@@ -145,3 +145,12 @@ def test_monotone_query_looks_at_every_rank(spark, monkeypatch):
     monkeypatch.setattr(queries.exact, "between_graph", lambda ranked: whole(ranked).where("src <> 130"))
     n = queries.Setup(spark, "/root/testdata/sf0.001").ranked.count()
     assert n > 130 and queries.violations(spark, "/root/testdata/sf0.001").head()["n"] == n - 1
+
+
+def test_edges_of_some_sources_are_those_of_the_whole_graph(spark):
+    x = points(90)
+    ranked = spark.createDataFrame([(i + 1, x[i].tolist()) for i in range(90)], "rank bigint, vec array<double>")
+    part = exact.between_graph(ranked, sources=(20, 45))
+    want = exact.between_graph(ranked).where("src between 20 and 45")
+    assert sorted(map(tuple, part.collect())) == sorted(map(tuple, want.collect()))
+    assert part.select("src").distinct().count() == 26
