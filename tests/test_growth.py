@@ -96,3 +96,16 @@ def test_late_rows_are_counted_against_earlier_batches(spark, tmp_path):
     again = spark.readStream.schema("event_id bigint, ts string").parquet(str(tmp_path / "in"))
     stream.late_rows(again, 3_600, root).awaitTermination()
     assert [r.late for r in spark.read.parquet(f"{root}/rows").orderBy("batch").collect()][4:] == [1]
+
+
+def test_walks_over_several_slices_of_vectors_are_the_same(spark, monkeypatch):
+    x = np.random.default_rng(16).normal(size=(40, 2))
+    ranked = ranked_of(spark, x)
+    start, nbrs = kernels.build(x, kernels.Params(3, 0, 3, prune="spatial"))
+    edges = spark.createDataFrame([(a + 1, int(b) + 1) for a in range(40) for b in nbrs[start[a] : start[a + 1]]], "src bigint, dst bigint")
+    pairs = spark.createDataFrame([(a, (a * 7) % 40 + 1) for a in range(1, 41)], "x bigint, y bigint")
+    monkeypatch.setattr(index, "SLICE_BYTES", 16 * 15)
+    assert [len(ranks) for ranks, _ in index.vector_slices(ranked)] == [15, 15, 10]
+    got = {(r.x, r.y): (r.hops, r.reached) for r in frontier.greedy_paths(ranked, edges, pairs).collect()}
+    paths = {(a, (a * 7) % 40 + 1): kernels.greedy_path(start, nbrs, x, a - 1, (a * 7) % 40) for a in range(1, 41)}
+    assert got == {p: (len(w) - 1, w[-1] == p[1] - 1) for p, w in paths.items()}
