@@ -109,3 +109,38 @@ def test_walks_over_several_slices_of_vectors_are_the_same(spark, monkeypatch):
     got = {(r.x, r.y): (r.hops, r.reached) for r in frontier.greedy_paths(ranked, edges, pairs).collect()}
     paths = {(a, (a * 7) % 40 + 1): kernels.greedy_path(start, nbrs, x, a - 1, (a * 7) % 40) for a in range(1, 41)}
     assert got == {p: (len(w) - 1, w[-1] == p[1] - 1) for p, w in paths.items()}
+
+
+@pytest.mark.parametrize("between", [True, False])
+def test_lunes_of_wide_balls_copies_and_borders(between):
+    rng = np.random.default_rng(17)
+    x = rng.normal(size=(300, 4))
+    x[200:260] = x[:60]  # copies: as far away as an end
+    x[260:] = np.round(x[260:], 0)  # exact ties
+    a, b = (v.ravel() for v in np.meshgrid(np.arange(0, 300, 7), np.arange(300)))
+    a, b = a[a != b], b[a != b]
+    want = []
+    for i, j in zip(a, b, strict=True):
+        d = kernels.d2(x[i], x)[j]
+        hit = (kernels.d2(x[i], x) < d) & (kernels.d2(x[j], x) < d)
+        z = np.arange(300)
+        want.append((hit & (z > min(i, j)) & (z < max(i, j)) if between else hit & (z != i) & (z != j)).sum())
+    for how in ({"few": 0}, {}, {"chunk": 37, "block": 11, "few": 3}):
+        assert kernels.lunes(a, b, np.arange(300), x, np.arange(300), x, between, **how).tolist() == want
+    assert kernels.lunes(a, b, np.arange(300), x * 2.0**80, np.arange(300), x * 2.0**80, between, few=0).tolist() == want
+
+
+@pytest.mark.parametrize("size", [64 << 20, 3 * 8 * 11])
+def test_lunes_and_neighbours_over_slices(spark, monkeypatch, size):
+    x = np.random.default_rng(18).normal(size=(40, 3))
+    x[5:17] = x[5]  # more copies than neighbours asked for
+    ranked = ranked_of(spark, x)
+    monkeypatch.setattr(index, "SLICE_BYTES", size)
+    pairs = spark.createDataFrame([(a, b) for a in range(1, 41) for b in range(1, 41, 3) if a != b] + [(1, 99), (77, 2)], "x bigint, y bigint")
+    got = {(r.x, r.y): r.n for r in frontier.lune_counts(ranked, pairs, False, shard_rows=9, block=8).collect()}
+    listed = frontier.range_lune(ranked, pairs, False).groupBy("x", "y").count().collect()
+    assert {p: n for p, n in got.items() if n} == {(r.x, r.y): r["count"] for r in listed}
+    assert len(got) == pairs.count() - 2
+    near = {(r.src, r.dst) for r in frontier.exact_knn(ranked, 4, shard_rows=7).collect()}
+    d = np.array([kernels.d2(v, x) for v in x])
+    assert near == {(i, int(j)) for i in range(40) for j in [j for j in np.lexsort((np.arange(40), d[i])) if j != i][:4]}
