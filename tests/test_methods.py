@@ -177,3 +177,41 @@ def test_table_function(spark, plain, tmp_path):
     queries.createOrReplaceTempView("asked")
     found = spark.sql(f"SELECT qid, t.* FROM asked, LATERAL range_knn('{tmp_path}/saved', qvec, lo, hi, k) t")
     assert answers(found) == answers(index.search(built, queries, graph_kernel(10_000)))
+
+
+def test_lists_made_when_read_are_those_of_the_whole_graph():
+    x = np.random.default_rng(19).normal(size=(500, 6))
+    how = kernels.Params(12, 0, 8, prune="spatial")
+    start, nbrs = kernels.build(x, how)
+    lists = kernels.Lists(x, how)
+    q, none = x[3] + 0.1, np.zeros(0, np.int64)
+    assert kernels.beam(none, none, x, q, 100, 400, 10, 20, 250, through=True, expand=lists) == kernels.beam(start, nbrs, x, q, 100, 400, 10, 20, 250, through=True)
+    assert 0 < len(lists.made) < 300  # what is not read is not made
+    assert all(lists(i).tolist() == nbrs[start[i] : start[i + 1]].tolist() for i in range(500))
+    with pytest.raises(ValueError):
+        kernels.Lists(x, kernels.Params(12, 4, 8, prune="spatial"))
+
+
+def test_closest_keeps_ties_and_names():
+    x = np.random.default_rng(20).normal(size=(900, 5))
+    x[100:400] = x[7]  # more copies than asked for
+    for q, names in ((x[7], None), (x[7] + 1e-9, np.arange(900)[::-1]), (x[0], None)):
+        d = kernels.d2(q, x)
+        want = np.lexsort((np.arange(900) if names is None else names, d))[:12]
+        at, dist = kernels.closest(q, x, 12, names)
+        assert at.tolist() == want.tolist() and dist.tolist() == d[want].tolist()
+
+
+def test_an_interval_that_holds_a_shard_is_walked_once(monkeypatch):
+    from types import SimpleNamespace
+
+    x = np.random.default_rng(21).normal(size=(300, 5))
+    start, nbrs = kernels.build(x, kernels.Params(6, 4, 8))
+    s = SimpleNamespace(ids=np.arange(300), vecs=x, start=start, nbrs=nbrs, closer=kernels.previous_closer(kernels.d2(x.mean(axis=0), x)))
+    walks, plain = [], kernels.reached
+    monkeypatch.setattr(kernels, "reached", lambda *a: (walks.append(a[2:]), plain(*a))[1])
+    kernel, fresh = index.graph_kernel(10**6), lambda *a: index.graph_kernel(10**6)(*a)
+    asks = [(q, *span) for q in x[:4] for span in ((0, 299), (20, 299), (0, 299))]
+    got = [kernel(s, q, lo, hi, 10, 0) for q, lo, hi in asks]
+    assert len(walks) == 5
+    assert got == [fresh(s, q, lo, hi, 10, 0) for q, lo, hi in asks]
