@@ -215,3 +215,13 @@ def test_an_interval_that_holds_a_shard_is_walked_once(monkeypatch):
     got = [kernel(s, q, lo, hi, 10, 0) for q, lo, hi in asks]
     assert len(walks) == 5
     assert got == [fresh(s, q, lo, hi, 10, 0) for q, lo, hi in asks]
+
+
+def test_long_searches_of_the_curve_are_dealt_to_tasks():
+    from types import SimpleNamespace
+
+    from rangeknn.plans import methods
+
+    kinds = methods.contenders(SimpleNamespace(built=lambda *a: None, packed=lambda: None))
+    dealt = {n for n, (_, make) in kinds.items() if not getattr(make(lambda qid: 10), "builds", False)}
+    assert {"range covers", "layered graph, in-filter"} <= dealt and "rectangle labels" not in dealt
